@@ -8,8 +8,10 @@ from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 #: Fixed value: the white space that separates words in every contract of this subpackage.
 SPACE = r"[\x20\x09-\x0D]+"
@@ -46,6 +48,11 @@ def drop_path(spark: SparkSession, path: str) -> None:
     target.getFileSystem(spark._jsc.hadoopConfiguration()).delete(target, True)
 
 
+def extended(df: DataFrame, more: str) -> StructType:
+    """The schema of df and further fields."""
+    return StructType(df.schema.fields + StructType.fromDDL(more).fields)
+
+
 def shuffle_width(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
@@ -72,7 +79,7 @@ def gathered(batches: Iterable[pa.RecordBatch], column: str, most: int = 8 << 20
         values = batch.column(batch.schema.get_field_index(column))
         start = 0
         if values.nbytes > 2 * most and batch.num_rows > 1:
-            lengths = pa.compute.fill_null(pa.compute.binary_length(values), 0).to_numpy(zero_copy_only=False)
+            lengths = pc.fill_null(pc.binary_length(values), 0).to_numpy(zero_copy_only=False)
             ends = np.flatnonzero(np.diff(np.cumsum(lengths) // most, prepend=0))
             for end in ends:
                 if end > start:
@@ -90,7 +97,6 @@ def gathered(batches: Iterable[pa.RecordBatch], column: str, most: int = 8 << 20
 
 def texts_of(part: pa.Table, column: str = "text") -> pa.Array:
     """The texts as one Arrow array with 64-bit offsets, null as empty."""
-    import pyarrow.compute as pc
 
     whole = part.column(column).cast(pa.large_string()).combine_chunks()
     if isinstance(whole, pa.ChunkedArray):
@@ -100,7 +106,6 @@ def texts_of(part: pa.Table, column: str = "text") -> pa.Array:
 
 def word_codes(texts: pa.Array) -> tuple[np.ndarray, pa.Array, np.ndarray]:
     """(code of each word, distinct words, first word of each text and the end): words as SPACE splits them."""
-    import pyarrow.compute as pc
 
     lists = pc.ascii_split_whitespace(texts)
     flat, offsets = lists.flatten(), lists.offsets.to_numpy() - lists.offsets[0].as_py()
