@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from progmatch.llm import fingerprints, jaccard_join, language_id, mixing, piece_codec, quality_nbsvm, quality_rules, secrets, token_files
+from progmatch.llm import fingerprints, jaccard_join, language_id, mixing, piece_codec, quality_nbsvm, quality_rules, secrets, suffix_dedup, token_files
 
 QUERIES = {
     "op1_piece_codec": piece_codec.op1_piece_codec,
     "op2_document_fingerprints": fingerprints.op2_document_fingerprints,
+    "op3_suffix_dedup": suffix_dedup.op3_suffix_dedup,
     "op4_mix_sources": mixing.op4_mix_sources,
     "op5_secret_scans": secrets.op5_secret_scans,
     "op6_token_binary": token_files.op6_token_binary,
