@@ -1,4 +1,63 @@
-from progmatch.llm.mixing import mixed
-STAGES = []
-def run(spark, sf_dir):
-    return mixed(spark.read.parquet(f"{sf_dir}/documents.parquet"))
+"""A training corpus from `documents`: quality, near duplicates, secrets, source mix, token ids.
+
+Each stage takes (spark, docs, sf_dir) and works on all rows that its predecessor kept. All but the last return the columns
+of documents; the last returns, for each document of the mix, its ids and whether they decode to its text again.
+Null and empty texts pass through every stage with a defined result (see the operators); an empty table stays empty.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from progmatch.llm import jaccard_join, mixing, piece_codec, quality_nbsvm, secrets
+from progmatch.llm.common import settle, table
+
+
+def quality_classifier(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that the classifier, trained on the labelled ones among them, scores at its threshold or above."""
+    model = quality_nbsvm.train(docs, table(spark, sf_dir, "labels"))
+    judged = quality_nbsvm.with_scores(docs, model, score="__score", predicted="__predicted")
+    return judged.where("__predicted = 1").select(*docs.columns)
+
+
+def ngram_jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class of near duplicates."""
+    return jaccard_join.one_of_each(docs)
+
+
+def secret_scans(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """All documents, with secrets masked and n_chars counted anew."""
+    clean = secrets.redacted(docs)
+    return clean.withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns) if "n_chars" in docs.columns else clean
+
+
+def mixing_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents as often as the mix takes them."""
+    return mixing.mixed(docs)
+
+
+def sentencepiece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Token ids of each document."""
+    import public_tokenizers
+
+    pieces = piece_codec.Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
+    both = piece_codec.with_text(piece_codec.with_ids(docs.select("doc_id", "source", "text"), pieces), pieces)
+    return both.select("doc_id", "source", F.size("ids").cast("long").alias("n_tokens"), "ids", (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
+
+
+STAGES = [
+    ("quality classifier", quality_classifier),
+    ("n-gram Jaccard join", ngram_jaccard_join),
+    ("secret scans", secret_scans),
+    ("mixing sources to target weights", mixing_sources),
+    ("SentencePiece encoding and decoding", sentencepiece_encoding),
+]
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)

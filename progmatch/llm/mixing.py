@@ -70,9 +70,9 @@ def with_copies(docs: DataFrame, seed: int = 7, **shares) -> DataFrame:
 
 def mixed(docs: DataFrame, seed: int = 7, **shares) -> DataFrame:
     """The documents of the mix: each row as often as its copies say."""
-    columns = docs.columns
-    taken = with_copies(docs, seed, **shares).where("copies > 0")
-    return taken.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select(*columns)
+    carried = docs.select("doc_id", "source", "text", F.struct("*").alias("__row"))
+    taken = with_copies(carried, seed, **shares).where("copies > 0")
+    return taken.withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("copies")))).select("__row.*")
 
 
 def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:

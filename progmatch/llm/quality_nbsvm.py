@@ -195,18 +195,17 @@ def train(docs: DataFrame, labels: DataFrame, fit_rows: int = FIT_ROWS, bits: in
     return fitted(log_count_ratios(low, high), [np.frombuffer(r, "<i4") for r, _ in picks], label, bits)
 
 
-def with_scores(docs: DataFrame, model: Model, threshold: float = THRESHOLD) -> DataFrame:
-    """Adds score and predicted to docs, which has a column text; columns of these names are replaced."""
-    docs = docs.drop("score", "predicted")
-    fields = extended(docs, "score double, predicted int")
+def with_scores(docs: DataFrame, model: Model, threshold: float = THRESHOLD, score: str = "score", predicted: str = "predicted") -> DataFrame:
+    """Adds a score and a predicted class to docs, which has a column text; columns of these names are replaced."""
+    docs = docs.drop(score, predicted)
 
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part in gathered(batches, "text"):
             s = model.scores(texts_of(part))
-            made = part.append_column("score", pa.array(s)).append_column("predicted", pa.array((s >= threshold).astype(np.int32)))
+            made = part.append_column(score, pa.array(s)).append_column(predicted, pa.array((s >= threshold).astype(np.int32)))
             yield from made.to_batches()
 
-    return docs.mapInArrow(score, fields)
+    return docs.mapInArrow(judge, extended(docs, f"`{score}` double, `{predicted}` int"))
 
 
 def op7_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -98,8 +98,8 @@ def scan_ledger(versions: DataFrame, text: str = "text", ledger: DataFrame | Non
     return settle(made.select("blob", "rules", "spans"), "secret-ledger")
 
 
-def with_findings(versions: DataFrame, ledger: DataFrame, text: str = "text", rules: tuple[SecretRule, ...] = RULES) -> DataFrame:
-    """Adds secret_spans to every row: the findings of its blob by the kinds of `rules`, by start, then in the order of rules."""
+def with_findings(versions: DataFrame, ledger: DataFrame, text: str = "text", rules: tuple[SecretRule, ...] = RULES, out: str = "secret_spans") -> DataFrame:
+    """Adds a column of spans to every row: the findings of its blob by the kinds of `rules`, by start, then in the order of rules."""
     order = F.array(*[F.lit(r.kind) for r in rules])
     hits = ledger.where(F.size("spans") > 0).select(F.col("blob").alias("__blob"), F.col("spans").alias("__spans"))
     joined = versions.withColumn("__key", blob(F.col(text))).join(hits, F.col("__key") == F.col("__blob"), "left")
@@ -107,13 +107,13 @@ def with_findings(versions: DataFrame, ledger: DataFrame, text: str = "text", ru
         F.filter(F.coalesce("__spans", F.array().cast(SPANS)), lambda s: F.array_contains(order, s["kind"])),
         lambda s: F.struct(s["start"].alias("start"), F.array_position(order, s["kind"]).alias("rank"), s["end"].alias("end"), s["kind"].alias("kind")),
     )
-    return joined.withColumn("secret_spans", F.sort_array(keyed)).drop("__key", "__blob", "__spans")
+    return joined.withColumn(out, F.sort_array(keyed)).drop("__key", "__blob", "__spans")
 
 
 def redacted(versions: DataFrame, text: str = "text", mask: str = "[SECRET]") -> DataFrame:
     """The rows with every secret replaced; spans that overlap become one mask."""
     columns = versions.columns
-    found = with_findings(versions, scan_ledger(versions, text), text)
+    found = with_findings(versions, scan_ledger(versions, text), text, out="__secrets")
     start = F.struct(F.lit("").alias("out"), F.lit(0).alias("at"))
 
     def step(a: Column, s: Column) -> Column:
@@ -122,7 +122,7 @@ def redacted(versions: DataFrame, text: str = "text", mask: str = "[SECRET]") ->
         return F.struct(put.alias("out"), F.greatest(a["at"], s["end"]).alias("at"))
 
     rest = lambda a: F.concat(a["out"], F.substring(F.col(text), a["at"] + 1, F.length(text)))
-    clean = F.when(F.size("secret_spans") > 0, F.aggregate("secret_spans", start, step, rest)).otherwise(F.col(text))
+    clean = F.when(F.size("__secrets") > 0, F.aggregate("__secrets", start, step, rest)).otherwise(F.col(text))
     return found.withColumn(text, clean).select(*columns)
 
 
