@@ -1,0 +1 @@
+"""Progressive record matching on Spark: filter, weight, schedule, match."""
