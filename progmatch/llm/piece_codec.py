@@ -33,6 +33,8 @@ from progmatch.llm.word_memo import WordMemo, spread
 MARK = "▁"
 START, FAR = -2, np.int64(2**40)
 CACHE_BITS = 21
+#: Characters of distinct units in one suffix array, bytes of text in one batch, ids decoded at once.
+SLICE, BATCH_BYTES, DECODE_IDS = 300_000, 4 << 20, 500_000
 
 
 def merge_all(text: str, rank: dict[str, int]) -> tuple[list[str], tuple[str, str] | None]:
@@ -236,8 +238,15 @@ class Tables:
         return start, self.sizes[some][rows], self.ids[some][rows]
 
     def encode_units(self, units: list[str]) -> tuple[np.ndarray, np.ndarray]:
-        """(ids of all units, number of ids of each)."""
+        """(ids of all units, number of ids of each). Units are put together up to SLICE characters at a time, which bounds the edges held."""
         sizes = np.fromiter((len(u) for u in units), np.int64, len(units))
+        cuts = [0, *(np.flatnonzero(np.diff(np.cumsum(sizes) // SLICE)) + 1).tolist(), len(units)]
+        made = [self._encode(units[a:b], sizes[a:b]) for a, b in zip(cuts[:-1], cuts[1:], strict=True) if b > a]
+        if not made:
+            return np.empty(0, np.uint32), np.empty(0, np.int64)
+        return np.concatenate([m[0] for m in made]), np.concatenate([m[1] for m in made])
+
+    def _encode(self, units: list[str], sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         points = np.frombuffer("".join(units).encode("utf-32-le"), np.uint32)
         unit_of = np.repeat(np.arange(len(units)), sizes)
         firsts = np.cumsum(sizes + 1) - sizes - 1
@@ -363,7 +372,7 @@ def with_ids(docs: DataFrame, pieces: Pieces, text: str = "text", ids: str = "id
     fields = extended(docs, f"`{ids}` array<int>")
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in gathered(batches, text):
+        for part in gathered(batches, text, BATCH_BYTES):
             found, offsets = encode_batch(held.value, texts_of(part, text))
             made = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(found.astype(np.int32)))
             yield from part.append_column(ids, made).to_batches()
@@ -382,8 +391,12 @@ def with_text(docs: DataFrame, pieces: Pieces, ids: str = "ids", text: str = "de
             lists = batch.column(batch.schema.get_field_index(ids))
             sizes = pc.fill_null(pc.list_value_length(lists), 0).to_numpy(zero_copy_only=False)
             flat = lists.flatten().to_numpy(zero_copy_only=False)
-            texts = decode_batch(held.value, flat, np.concatenate(([0], np.cumsum(sizes))))
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(texts, pa.string())], [*batch.schema.names, text])
+            offsets = np.concatenate(([0], np.cumsum(sizes)))
+            cuts = [0, *(np.flatnonzero(np.diff(offsets[1:] // DECODE_IDS)) + 1).tolist(), len(sizes)]
+            for a, b in zip(cuts[:-1], cuts[1:], strict=True):
+                if b > a:
+                    texts = decode_batch(held.value, flat[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a])
+                    yield pa.RecordBatch.from_arrays([*batch.slice(a, b - a).columns, pa.array(texts, pa.string())], [*batch.schema.names, text])
 
     return docs.mapInArrow(decode, fields)
 
