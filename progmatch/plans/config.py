@@ -9,6 +9,7 @@ from itertools import product
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from progmatch.operators import blocking, dense, encoders, measures, sortedlist, sparse
 from progmatch.operators.matching import Budget, Matcher, run_matching
@@ -179,6 +180,35 @@ def evaluate(dataset: str, family: str, name: str, edges: DataFrame, truth: Data
     return reduce(DataFrame.unionByName, parts)
 
 
+def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], linkage: bool, kind: str = "edge", anchor: str = "left") -> DataFrame:
+    """(config, scheduler, budget, found, recall, pr) of many configurations at once. stacked: (config, l, r, w); kind: edge or breadth.
+
+    One window ranks every configuration's pairs, cut at the largest budget while ranking, and one aggregation of the hits
+    serves all budgets: the cost of a grid is that of one run, not one plan for each configuration.
+    """
+    n, most = truth.count(), max(budgets)
+    edges = stacked.where("w > 0")
+    if kind == "edge":
+        order = [F.desc("w"), F.col("l"), F.col("r")]
+    elif kind == "breadth":
+        node, other = ("l", "r") if anchor == "left" else ("r", "l")
+        if not linkage:
+            raise ValueError("breadth-first stacks are for linkage")
+        own = Window.partitionBy("config", node)
+        edges = edges.withColumn("t", F.row_number().over(own.orderBy(F.desc("w"), other))).withColumn("s", -F.round(F.avg("w").over(own), 9))
+        order = [F.col("t"), F.col("s"), F.col(node)]
+    else:
+        raise ValueError(f"unknown scheduler of stacks: {kind}")
+    placed = edges.withColumn("pos", F.row_number().over(Window.partitionBy("config").orderBy(*order))).where(F.col("pos") <= most)
+    names = stacked.select("config").distinct()
+    found = placed.join(truth.select("l", "r"), ["l", "r"], "left_semi").select("config", "pos")
+    asked = names.withColumn("budget", F.explode(F.array(*[F.lit(b).cast("long") for b in sorted(set(budgets))])))
+    hit = asked.join(found, "config", "left").withColumn("pos", F.when(F.col("pos") <= F.col("budget"), F.col("pos")))
+    sums = hit.groupBy("config", "budget").agg(F.count("pos").alias("found"), F.coalesce(F.sum(F.col("budget") - F.col("pos") + 1), F.lit(0)).alias("area"))
+    whole = F.lit(float(n)) if n else F.lit(None).cast("double")
+    return sums.select("config", F.lit(kind).alias("scheduler"), "budget", "found", (F.col("found") / whole).alias("recall"), F.try_divide(F.col("area") / whole, F.col("budget").cast("double")).alias("pr"))
+
+
 def tune(dataset: str, task: Task, configs: list, truth: DataFrame, budgets: list[int], schedulers: tuple[str, ...] = SCHEDULERS) -> DataFrame:
     """(family, config, scheduler, mean_dft), the least first. A driver loop over configurations; each one's edges are settled once."""
     parts = [evaluate(dataset, c.family, to_json(c), settle(candidates(task, c), "edges"), truth, budgets, task.linkage, schedulers) for c in configs]

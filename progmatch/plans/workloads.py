@@ -7,10 +7,11 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from progmatch.operators import baselines, blocking, dense, measures, sortedlist, sparse
+from progmatch.operators import baselines, blocking, dense, encoders, measures, sortedlist, sparse
 from progmatch.operators.schedule import SCHEDULERS, schedule, schedule_batch, schedule_ideal
-from progmatch.plans.config import BEST, WINNERS, BlockConfig, SortedConfig, SparseConfig, evaluate
+from progmatch.plans.config import BEST, WINNERS, BlockConfig, SortedConfig, SparseConfig, evaluate, evaluate_stack
 from progmatch.plans.fixtures import Fixtures, once
 from progmatch.session import settle
 from progmatch.sources.profiles import MultiSource, Task
@@ -181,12 +182,11 @@ def windows(spark: SparkSession, d: str) -> DataFrame:
     fx = Fixtures(spark, d)
     truth = fx.docs_linkage_truth()
     n = truth.count()
-    parts = []
-    for scope in sortedlist.SCOPES:
-        for w in range(1, 11):
-            rows = measures.recall_table(schedule(sorted_edges(fx, "id", scope, w, True), "edge", n, True), truth, [n])
-            parts.append(rows.select(F.lit("id").alias("weight"), F.lit(scope).alias("scope"), F.lit(w).cast("long").alias("w"), F.col("found").alias("n_hits"), "recall", "pr"))
-    return rounded(reduce(DataFrame.unionByName, parts))
+    cols = [F.struct(F.lit(f"{scope}:{w}").alias("config"), F.round(sortedlist.sorted_weight("id", scope, w), 9).alias("w")) for scope in sortedlist.SCOPES for w in range(1, 11)]
+    stacked = docs_histogram(fx, True).select("l", "r", F.explode(F.array(*cols)).alias("x")).select("x.config", "l", "r", "x.w")
+    rows = evaluate_stack(stacked, truth, [n], True)
+    part = lambda i: F.get(F.split("config", ":"), F.lit(i))
+    return rounded(rows.select(F.lit("id").alias("weight"), part(0).alias("scope"), part(1).cast("long").alias("w"), F.col("found").alias("n_hits"), "recall", "pr"))
 
 
 def grid_results(family: str) -> Query:
@@ -196,20 +196,30 @@ def grid_results(family: str) -> Query:
         fx = Fixtures(spark, d)
         _, task, truth = _docs_linkage(fx)[0]
         n = truth.count()
-        made: dict[str, DataFrame] = {}
+        wide = lambda df, cols: df.select("l", "r", F.explode(F.array(*[F.struct(F.lit(k).alias("config"), c.alias("w")) for k, c in cols.items()])).alias("x")).select("x.config", "l", "r", "x.w")
         if family == "block":
-            made = {w: block_edges(fx, w, True) for w in blocking.BLOCK_WEIGHTS}
+            stacked = wide(docs_grid(fx, True), {w: F.col(w) for w in blocking.BLOCK_WEIGHTS})
         elif family == "sorted":
-            made = {f"{x}_{s}_{w}": sorted_edges(fx, x, s, w, True) for x in sortedlist.SORTED_WEIGHTS for s in sortedlist.SCOPES for w in (1, 3, 10)}
-        elif family == "sparse":
-            made = {f"{t}_{c}_{m}_{k}": sparse_edges(fx, task, "docs_linkage", t, c, m, k, "both") for t in ("word1", "char5") for c in sparse.SCORINGS for m in sparse.SIMILARITIES for k in (1, 5)}
+            stacked = wide(docs_histogram(fx, True), {f"{x}_{s}_{w}": F.round(sortedlist.sorted_weight(x, s, w), 9) for x in sortedlist.SORTED_WEIGHTS for s in sortedlist.SCOPES for w in range(1, 11)})
         else:
-            from progmatch.plans.config import DenseConfig
-
-            made = {f"{e}_{m}_{k}": edges_of(fx, "docs_linkage", task, DenseConfig(e, m, k, "both")) for e in ("hash-words", "hash-chars", "ctx", "sent") for m in sparse.SIMILARITIES for k in (1, 5)}
-        parts = [evaluate("docs_linkage", family, name, edges, truth, [n, 5 * n], True, ("edge", "breadth")) for name, edges in made.items()]
-        results = measures.distance_from_top(settle(reduce(DataFrame.unionByName, parts), "grid"), by=("dataset", "budget"))
-        return rounded(measures.mean_dft(results))
+            parts = []
+            if family == "sparse":
+                for t in ("word1", "word2", "char4"):
+                    sims = {f"{t}_{c}_{m}": sparse.similarity(m, c) for c in sparse.SCORINGS for m in sparse.SIMILARITIES}
+                    parts.append(wide(sparse_dots(fx, task, "docs_linkage", t), sims))
+            else:
+                for e in ("hash-words", "hash-chars", "ctx", "sent"):
+                    vectors = once(spark, d, f"vectors_{e}", lambda e=e: encoders.encode(task, e))
+                    for m in sparse.SIMILARITIES:
+                        parts.append(dense.dense_candidates(vectors, "linkage", m, 10, "both").select(F.lit(f"{e}_{m}").alias("config"), "l", "r", "w"))
+            pairs = once(spark, d, f"stack_{family}", lambda: reduce(DataFrame.unionByName, parts).where("w > 0"))
+            place = lambda q, i: F.row_number().over(Window.partitionBy("config", q).orderBy(F.desc("w"), i))
+            ranked = pairs.withColumn("best", F.least(place("l", "r"), place("r", "l"))).where("best <= 10")
+            ks = F.explode(F.filter(F.array(F.lit(1), F.lit(5), F.lit(10)), lambda k: F.col("best") <= k))
+            stacked = ranked.withColumn("k", ks).select(F.concat_ws("_", "config", "k").alias("config"), "l", "r", "w")
+        stacked = once(spark, d, f"stacked_{family}", lambda: stacked.where("w > 0"))
+        results = reduce(DataFrame.unionByName, [evaluate_stack(stacked, truth, [n, 5 * n], True, kind) for kind in ("edge", "breadth")])
+        return rounded(measures.mean_dft(measures.distance_from_top(results, by=("budget",)), ("config", "scheduler")))
 
     return run
 
