@@ -25,6 +25,8 @@ from progmatch.llm.common import extended, gathered, mixed64, table, texts_of, w
 from progmatch.llm.quality_nbsvm import fold
 
 BUCKET_BITS, SIZES, PENALTY, LEAST_SHARE, MOST_LANGUAGES = 16, (1, 2, 3, 4), 10.0, 0.01, 512
+#: Bytes of text looked at together.
+BATCH_BYTES = 3 << 20
 #: First code point of script ranges and the script, "" where there is none of its own.
 SCRIPT_RANGES = (
     (0x0000, ""), (0x0041, "Latin"), (0x0370, "Greek"), (0x0400, "Cyrillic"), (0x0530, "Armenian"), (0x0590, "Hebrew"),
@@ -193,7 +195,7 @@ def train(docs: DataFrame, bits: int = BUCKET_BITS, penalty: float = PENALTY) ->
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         grams, scripts = np.zeros((k, 1 << bits)), np.zeros((k, len(SCRIPTS)))
-        for part in gathered(batches, "text"):
+        for part in gathered(batches, "text", BATCH_BYTES):
             codes, words, offsets = word_codes(texts_of(part))
             w = examined(words, bits)
             lang = np.repeat([number[x] for x in part.column("lang").to_pylist()], np.diff(offsets)).astype(np.int64)
@@ -219,7 +221,7 @@ def with_language(docs: DataFrame, model: Model) -> DataFrame:
     fields = extended(docs, "lang_pred string, score double")
 
     def predict(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part in gathered(batches, "text", 16 << 20):
+        for part in gathered(batches, "text", BATCH_BYTES):
             langs, scores = model.predict(texts_of(part))
             yield from part.append_column("lang_pred", pa.array(langs, pa.string())).append_column("score", pa.array(scores)).to_batches()
 
