@@ -40,7 +40,15 @@ def settle(df: DataFrame, what: str) -> DataFrame:
     spark = df.sparkSession
     path = shared_path(spark, what)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    made = spark.read.schema(df.schema).parquet(path)
+    made.settled_at = path
+    return made
+
+
+def discard(*settled: DataFrame) -> None:
+    """Deletes settled tables that no later step reads."""
+    for df in settled:
+        drop_path(df.sparkSession, df.settled_at)
 
 
 def drop_path(spark: SparkSession, path: str) -> None:

@@ -26,9 +26,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from progmatch.llm.common import extended, gathered, mixed64, settle, table, texts_of
+from progmatch.llm.common import discard, extended, gathered, mixed64, settle, table, texts_of
 
-SPAN, WINDOW, GRAM, PIECE = 400, 160, 16, 4 << 20
+SPAN, WINDOW, GRAM, PIECE = 400, 160, 16, 2 << 20
 #: Up to so many rows of keys are broadcast; more are joined by a shuffle.
 BROADCAST_ROWS = 1_000_000
 _MULTIPLY = 0x9E3779B97F4A7C15
@@ -107,21 +107,21 @@ def _pieces(texts: pa.Array, span: int) -> Iterator[tuple[int, int, np.ndarray,
         a = b
 
 
-PHRASES = "text_key long, size int, start int, windows int, trigger int, shared long, context long"
+PHRASES = "__text_key long, __text_size int, start int, windows int, trigger int, shared long, context long"
 
 
 def with_text_key(docs: DataFrame) -> DataFrame:
     text = F.coalesce("text", F.lit(""))
-    return docs.withColumn("text_key", F.xxhash64(text)).withColumn("size", F.octet_length(text))
+    return docs.withColumn("__text_key", F.xxhash64(text)).withColumn("__text_size", F.octet_length(text))
 
 
 def parse(docs: DataFrame, span: int = SPAN, window: int = WINDOW) -> DataFrame:
     """The phrases of all texts. A text is named by its hash and size, so equal texts have equal rows."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = ["text_key", "size", "start", "windows", "trigger", "shared", "context"]
+        names = ["__text_key", "__text_size", "start", "windows", "trigger", "shared", "context"]
         for part in gathered(batches, "text", PIECE):
-            key, size = part.column("text_key").to_numpy(), part.column("size").to_numpy()
+            key, size = part.column("__text_key").to_numpy(), part.column("__text_size").to_numpy()
             for first, at, data, ends in _pieces(texts_of(part), span):
                 text, start, windows, trigger, shared, context = phrases(data, ends, span, window)
                 begin = np.concatenate(([0], ends[:-1]))[text] - at
@@ -131,7 +131,7 @@ def parse(docs: DataFrame, span: int = SPAN, window: int = WINDOW) -> DataFrame:
                 made = [pa.array(v.astype(k.to_pandas_dtype()), k) for v, k in zip(whole, kinds, strict=True)]
                 yield pa.RecordBatch.from_arrays([*made, pa.array(shared.view(np.int64)), pa.array(context.view(np.int64))], names)
 
-    return with_text_key(docs.where(F.octet_length("text") >= span)).select("text_key", "size", "text").mapInArrow(make, PHRASES)
+    return with_text_key(docs.where(F.octet_length("text") >= span)).select("__text_key", "__text_size", "text").mapInArrow(make, PHRASES)
 
 
 def _few(df: DataFrame) -> DataFrame:
@@ -140,25 +140,26 @@ def _few(df: DataFrame) -> DataFrame:
 
 
 def repeated_spans(docs: DataFrame, span: int = SPAN, window: int = WINDOW) -> DataFrame:
-    """(text_key, size, spans) of the texts that have repeats: [start, end) in bytes, not yet merged."""
+    """(text_key, size, spans) of the texts that have repeats: [start, end) in bytes, not yet merged; settled."""
     if not GRAM + window < span:
         raise ValueError(f"span must exceed {GRAM + window}: {span}")
     parsed = settle(parse(docs, span, window), "phrases")
     again = settle(parsed.groupBy("shared").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shared"), "shared")
-    names = ["text_key", "size", "start", "windows", "trigger", "shared", "context"]
+    names = ["__text_key", "__text_size", "start", "windows", "trigger", "shared", "context"]
     rows = parsed.join(_few(again), "shared", "left_semi").groupBy(*names).agg(F.count(F.lit(1)).alias("k"))
     rows = settle(rows, "parse")
-    dictionary = rows.groupBy("shared", "context", "windows").agg(F.sum("k").alias("times"), F.min(F.struct("text_key", "size", "start", "trigger")).alias("at"))
+    discard(parsed, again)
+    dictionary = rows.groupBy("shared", "context", "windows").agg(F.sum("k").alias("times"), F.min(F.struct("__text_key", "__text_size", "start", "trigger")).alias("at"))
     dictionary = settle(dictionary, "dictionary")
     seams = settle(dictionary.where("times = 1").select("shared").distinct(), "seams")
     inner = rows.join(dictionary.where("times > 1").select("shared", "context", "windows"), ["shared", "context", "windows"], "left_semi")
-    inner = inner.select("text_key", "size", "start", (F.col("start") + F.col("windows") - 1 + span).alias("end"))
+    inner = inner.select("__text_key", "__text_size", "start", (F.col("start") + F.col("windows") - 1 + span).alias("end"))
 
     asked = dictionary.join(_few(seams), "shared", "left_semi").select("shared", "windows", "times", "at.*")
-    asked = asked.groupBy("text_key", "size").agg(F.collect_list(F.struct("start", "windows", "shared", "times")).alias("asked"))
+    asked = asked.groupBy("__text_key", "__text_size").agg(F.collect_list(F.struct("start", "windows", "shared", "times")).alias("asked"))
     asked = settle(asked, "asked")
-    texts = with_text_key(docs).select("text_key", "size", "text").join(_few(asked.select("text_key", "size")), ["text_key", "size"], "left_semi")
-    texts = texts.groupBy("text_key", "size").agg(F.first("text").alias("text")).join(asked, ["text_key", "size"])
+    texts = with_text_key(docs).select("__text_key", "__text_size", "text").join(_few(asked.select("__text_key", "__text_size")), ["__text_key", "__text_size"], "left_semi")
+    texts = texts.groupBy("__text_key", "__text_size").agg(F.first("text").alias("text")).join(asked, ["__text_key", "__text_size"])
 
     def look(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         kinds = (pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.int64())
@@ -179,19 +180,22 @@ def repeated_spans(docs: DataFrame, span: int = SPAN, window: int = WINDOW) -> D
             if held:
                 yield _batch(held, kinds)
 
-    looked = texts.select("text_key", "size", "text", "asked").mapInArrow(look, "text_key long, size int, start int, shared long, window long, times long")
+    looked = texts.select("__text_key", "__text_size", "text", "asked").mapInArrow(look, "__text_key long, __text_size int, start int, shared long, window long, times long")
     looked = settle(looked, "windows")
+    discard(seams, asked)
     twice = looked.groupBy("shared", "window").agg(F.sum("times").alias("n")).where("n > 1").select("shared", "window")
-    outer = looked.where("times = 1").join(twice, ["shared", "window"], "left_semi").select("text_key", "size", "start")
+    outer = looked.where("times = 1").join(twice, ["shared", "window"], "left_semi").select("__text_key", "__text_size", "start")
     # windows of one phrase lie within `span` of one another: what they cover has no gap
-    outer = outer.groupBy("text_key", "size", F.floor(F.col("start") / (span // 2)).alias("b")).agg(F.min("start").alias("start"), (F.max("start") + span).alias("end"))
-    spans = inner.union(outer.select("text_key", "size", "start", "end"))
-    return spans.groupBy("text_key", "size").agg(F.collect_list(F.struct("start", "end")).alias("spans"))
+    outer = outer.groupBy("__text_key", "__text_size", F.floor(F.col("start") / (span // 2)).alias("b")).agg(F.min("start").alias("start"), (F.max("start") + span).alias("end"))
+    spans = inner.union(outer.select("__text_key", "__text_size", "start", "end"))
+    spans = settle(spans.groupBy("__text_key", "__text_size").agg(F.collect_list(F.struct("start", "end")).alias("spans")), "spans")
+    discard(rows, dictionary, looked)
+    return spans
 
 
 def _batch(held: list[tuple], kinds: tuple) -> pa.RecordBatch:
     columns = [np.concatenate(v) for v in zip(*held, strict=True)]
-    return pa.RecordBatch.from_arrays([pa.array(v.astype(k.to_pandas_dtype()), k) for v, k in zip(columns, kinds, strict=True)], ["text_key", "size", "start", "shared", "window", "times"])
+    return pa.RecordBatch.from_arrays([pa.array(v.astype(k.to_pandas_dtype()), k) for v, k in zip(columns, kinds, strict=True)], ["__text_key", "__text_size", "start", "shared", "window", "times"])
 
 
 def merged(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -205,13 +209,13 @@ def merged(start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def without_repeats(docs: DataFrame, span: int = SPAN, window: int = WINDOW, digest: bool = False) -> DataFrame:
     """Adds n_bytes, n_removed, n_spans and kept (binary) to docs; with digest kept_sha256 instead, and no text."""
-    spans = settle(repeated_spans(docs, span, window), "spans")
+    spans = repeated_spans(docs, span, window)
     total = spans.agg(F.sum(F.size("spans"))).first()[0] or 0
     small = F.broadcast(spans) if total <= 4 * BROADCAST_ROWS else spans
-    keyed = with_text_key(docs).join(small, ["text_key", "size"], "left")
+    keyed = with_text_key(docs).join(small.withColumnRenamed("spans", "__spans"), ["__text_key", "__text_size"], "left")
     columns = [c for c in docs.columns if c not in ("n_bytes", "n_removed", "n_spans", "kept", "kept_sha256") and not (digest and c == "text")]
     last = "kept_sha256 string" if digest else "kept binary"
-    given = keyed.select(*columns, F.coalesce("text", F.lit("")).alias("__text"), "spans")
+    given = keyed.select(*columns, F.coalesce("text", F.lit("")).alias("__text"), "__spans")
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
