@@ -36,9 +36,14 @@ def docs_blocks(fx: Fixtures, linkage: bool, purge: str = "size", ratio: float |
     return blocks, blocks.select("bkey", "n", "card").distinct(), task
 
 
+def docs_graph(fx: Fixtures, linkage: bool) -> DataFrame:
+    blocks, stats, task = docs_blocks(fx, linkage)
+    return once(fx.spark, fx.sf_dir, f"graph_{task.kind}", lambda: blocking.block_graph(blocks, stats, linkage))
+
+
 def docs_grid(fx: Fixtures, linkage: bool) -> DataFrame:
     blocks, stats, task = docs_blocks(fx, linkage)
-    return once(fx.spark, fx.sf_dir, f"grid_{task.kind}", lambda: blocking.block_grid(blocking.block_graph(blocks, stats, linkage), blocks, stats, linkage))
+    return once(fx.spark, fx.sf_dir, f"grid_{task.kind}", lambda: blocking.block_grid(docs_graph(fx, linkage), blocks, stats, linkage))
 
 
 def docs_histogram(fx: Fixtures, linkage: bool, window: int = 10) -> DataFrame:
@@ -53,6 +58,9 @@ def docs_histogram(fx: Fixtures, linkage: bool, window: int = 10) -> DataFrame:
 
 
 def block_edges(fx: Fixtures, weight: str, linkage: bool) -> DataFrame:
+    plain = {"cb": F.col("cb").cast("double"), "sn_cb": F.col("sn"), "cn_cb": F.col("cn")}
+    if weight in plain:  # no statistics of nodes
+        return docs_graph(fx, linkage).select("l", "r", F.round(plain[weight], 9).alias("w")).where("w > 0")
     return docs_grid(fx, linkage).select("l", "r", F.col(weight).alias("w")).where("w > 0")
 
 
@@ -279,7 +287,7 @@ def method_queries() -> dict[str, Query]:
     q["block_purge_size"] = lambda s, d: blocking.purge_blocks(tokens(s, d), blocking.block_stats(tokens(s, d), False), "size", fx(s, d).docs().profiles.count())
     q["block_purge_adaptive"] = lambda s, d: blocking.purge_blocks(tokens(s, d), blocking.block_stats(tokens(s, d), False), "adaptive")
     q["block_filter"] = lambda s, d: docs_blocks(fx(s, d), False)[0].select("pid", "bkey", "n", "card")
-    q["block_graph"] = lambda s, d: rounded(blocking.block_graph(*docs_blocks(fx(s, d), True)[:2], True))
+    q["block_graph"] = lambda s, d: rounded(docs_graph(fx(s, d), True))
     for w in blocking.BLOCK_WEIGHTS:
         q[f"w_{w}"] = lambda s, d, w=w: rounded(docs_grid(fx(s, d), True).select("l", "r", F.col(w).alias("w")))
 
