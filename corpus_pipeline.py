@@ -42,7 +42,7 @@ def sentencepiece_encoding(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
     import public_tokenizers
 
     pieces = piece_codec.Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
-    both = piece_codec.with_text(piece_codec.with_ids(docs.select("doc_id", "source", "text"), pieces), pieces)
+    both = piece_codec.with_ids(docs.select("doc_id", "source", "text"), pieces, decoded="decoded")
     return both.select("doc_id", "source", F.size("ids").cast("long").alias("n_tokens"), "ids", (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
 
 

@@ -79,7 +79,7 @@ def id_ranges(df: DataFrame, key: str, ranges: int) -> tuple[Column, list[int]]:
     return F.when(F.col(key).isNull(), -1).otherwise(at), bounds
 
 
-def gathered(batches: Iterable[pa.RecordBatch], column: str, most: int = 8 << 20) -> Iterator[pa.Table]:
+def gathered(batches: Iterable[pa.RecordBatch], column: str, most: int = 3 << 20) -> Iterator[pa.Table]:
     """Arrow batches put together until their text has about `most` bytes; a longer single text comes alone or last."""
     held: list[pa.RecordBatch] = []
     size = 0

@@ -34,7 +34,7 @@ MARK = "▁"
 START, FAR = -2, np.int64(2**40)
 CACHE_BITS = 21
 #: Characters of distinct units in one suffix array, bytes of text in one batch, ids decoded at once.
-SLICE, BATCH_BYTES, DECODE_IDS = 300_000, 4 << 20, 500_000
+SLICE, BATCH_BYTES, DECODE_IDS = 150_000, 2 << 20, 250_000
 
 
 def merge_all(text: str, rank: dict[str, int]) -> tuple[list[str], tuple[str, str] | None]:
@@ -81,15 +81,15 @@ class Pieces:
         return cls([model.id_to_piece(i) for i in range(n)], [model.get_score(i) for i in range(n)], ordinary, byte_id, special, merges)
 
     def __getstate__(self) -> dict:
-        return {k: v for k, v in self.__dict__.items() if k not in ("_state", "tables", "decoder", "memo")} | {"_state": {}}
+        return {k: v for k, v in self.__dict__.items() if k not in ("_state", "tables", "decoder")} | {"_state": {}}
 
     @cached_property
     def tables(self) -> Tables:
         return Tables(self)
 
-    @cached_property
     def memo(self) -> WordMemo:
-        return WordMemo(self.tables.encode_units)
+        """Of one task: what a worker keeps between tasks are the tables alone."""
+        return WordMemo(self.tables.encode_units, 250_000)
 
     @cached_property
     def decoder(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -348,10 +348,10 @@ def _cut(text: str) -> list[str]:
     return re.findall(" +[^ ]*", text)
 
 
-def encode_batch(pieces: Pieces, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+def encode_batch(pieces: Pieces, texts: pa.Array, memo: WordMemo | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(ids of all texts, first id of each and the end)."""
     codes, units, offsets = units_of(texts)
-    ids, starts, lengths = pieces.memo(units.to_pylist())
+    ids, starts, lengths = (memo or pieces.memo())(units.to_pylist())
     out, ends = spread(ids, starts, lengths, codes.astype(np.int64))
     return out, np.concatenate(([0], ends))[offsets]
 
@@ -365,17 +365,20 @@ def decode_batch(pieces: Pieces, ids: np.ndarray, offsets: np.ndarray) -> list[s
     return [t[1:] if t.startswith(" ") else t for t in texts]
 
 
-def with_ids(docs: DataFrame, pieces: Pieces, text: str = "text", ids: str = "ids") -> DataFrame:
-    """Adds the ids of a text column; a column of that name is replaced."""
-    docs = docs.drop(ids)
+def with_ids(docs: DataFrame, pieces: Pieces, text: str = "text", ids: str = "ids", decoded: str | None = None) -> DataFrame:
+    """Adds the ids of a text column, and with `decoded` the text that these ids decode to; columns of those names are replaced."""
+    docs = docs.drop(ids, *([decoded] if decoded else []))
     held = docs.sparkSession.sparkContext.broadcast(pieces)  # a vocabulary: it does not grow with the data
-    fields = extended(docs, f"`{ids}` array<int>")
+    fields = extended(docs, f"`{ids}` array<int>" + (f", `{decoded}` string" if decoded else ""))
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        memo = held.value.memo()
         for part in gathered(batches, text, BATCH_BYTES):
-            found, offsets = encode_batch(held.value, texts_of(part, text))
-            made = pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(found.astype(np.int32)))
-            yield from part.append_column(ids, made).to_batches()
+            found, offsets = encode_batch(held.value, texts_of(part, text), memo)
+            made = part.append_column(ids, pa.ListArray.from_arrays(pa.array(offsets.astype(np.int32)), pa.array(found.astype(np.int32))))
+            if decoded:
+                made = made.append_column(decoded, pa.array(decode_batch(held.value, found, offsets), pa.string()))
+            yield from made.to_batches()
 
     return docs.mapInArrow(encode, fields)
 
@@ -406,5 +409,5 @@ def op1_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     pieces = Pieces.load(public_tokenizers.path("piece_bpe_32k.model"))
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    both = with_text(with_ids(docs, pieces), pieces)
+    both = with_ids(docs, pieces, decoded="decoded")
     return both.select("doc_id", F.size("ids").cast("long").alias("n_tokens"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"), (F.col("decoded") == F.coalesce("text", F.lit(""))).alias("round_trip"))
