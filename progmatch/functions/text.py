@@ -24,20 +24,20 @@ def with_grams(df: DataFrame, tokenizer: str, text: str = "text", out: str = "gr
     if tokenizer not in TOKENIZERS:
         raise ValueError(f"unknown tokenizer: {tokenizer}")
     kind, n = TOKENIZERS[tokenizer]
-    base = "__base"
-    df = df.withColumn(base, words(F.col(text)) if kind == "word" else normalised(F.col(text)))
-    if kind == "word":
-        w, size = F.col(base), F.size(base)
-        if n == 1:
-            made = w
-        else:
-            runs = F.transform(F.sequence(F.lit(0), size - n), lambda i: F.concat_ws(" ", *[F.get(w, i + k) for k in range(n)]))
-            made = F.when(size >= n, runs).when(size > 0, F.array(F.array_join(w, " "))).otherwise(F.array().cast("array<string>"))
-    else:
-        t, size = F.col(base), F.length(base)
-        runs = F.transform(F.sequence(F.lit(1), size - n + 1), lambda i: F.substring(t, i, F.lit(n)))
-        made = F.when(size >= n, runs).when(size > 0, F.array(t)).otherwise(F.array().cast("array<string>"))
-    return df.withColumn(out, made).drop(base)
+    parts = words(F.col(text)) if kind == "word" else F.split(normalised(F.col(text)), "")
+    if (kind, n) == ("word", 1):
+        return df.withColumn(out, parts)
+    return df.withColumn(out, _runs(F.filter(parts, lambda p: p != ""), n, " " if kind == "word" else ""))
+
+
+def _runs(parts: Column, n: int, between: str) -> Column:
+    """Joined runs of n parts. The parts are a lambda's variable: as a plain expression they would be made anew for each run."""
+
+    def of(p: Column) -> Column:
+        runs = F.transform(F.sequence(F.lit(0), F.size(p) - n), lambda i: F.concat_ws(between, *[F.get(p, i + k) for k in range(n)]))
+        return F.when(F.size(p) >= n, runs).when(F.size(p) > 0, F.array(F.array_join(p, between))).otherwise(F.array().cast("array<string>"))
+
+    return F.get(F.transform(F.array(parts), of), 0)
 
 
 def register_sql(spark: SparkSession) -> None:
