@@ -11,6 +11,7 @@ from progmatch.operators.pairs import KEY_ROWS, meet, with_cells
 from progmatch.sources.profiles import Task
 
 SCORINGS, SIMILARITIES, SIDES = ("bool", "tf", "tfidf"), ("cosine", "euclid"), ("smallest", "largest", "both")
+SAME = 1e-12  # a squared distance of less, as a share of both squared norms, is the rounding of sums: equal vectors
 
 
 def term_counts(task: Task, tokenizer: str) -> DataFrame:
@@ -62,7 +63,8 @@ def similarity(sim: str, scoring: str) -> Column:
     if sim == "cosine":
         return F.round(F.coalesce(F.try_divide(x, F.sqrt(a * b)), F.lit(0.0)), 9)
     if sim == "euclid":
-        return F.round(1 / (1 + F.sqrt(F.greatest(F.lit(0.0), a + b - 2 * x))), 9)
+        square = a + b - 2 * x
+        return F.round(1 / (1 + F.sqrt(F.when(square > SAME * (a + b), square).otherwise(0.0))), 9)
     raise ValueError(f"unknown similarity: {sim}")
 
 
