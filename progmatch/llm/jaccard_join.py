@@ -9,7 +9,8 @@ shingle sets. A pair that meets in several buckets is handled in the first band
 
 Links are never written out as pairs: a task adds up, for each node, the documents it is linked to, and gives spanning
 links. Buckets beyond a block size are cut into blocks whose pairs are dealt to many tasks, so no bucket has to fit into
-one. Classes are the connected components of links; a class's id is its least doc_id.
+one. Classes are the connected components of links; a class's id is its least doc_id. A class without an id, or whose least
+id is also that of another class (ids may be repeated), gets a negative number made from its least node instead.
 
 With 32 bands of 4 hashes a pair at similarity 0.8 misses all bands with probability 5e-8, and pruning loses a pair with
 probability of about the tolerance; both are the method's own errors, no pair is capped or sampled away. Null texts are
@@ -27,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from progmatch.llm.common import SHINGLE_WORDS, gathered, mixed64, settle, shuffle_width, table, texts_of, word_codes, word_hashes
+from progmatch.llm.common import SHINGLE_WORDS, extended, gathered, mixed64, settle, shuffle_width, table, texts_of, word_codes, word_hashes
 from progmatch.llm.components import components
 
 THRESHOLD, BANDS, ROWS, STEP, TOLERANCE, BLOCK = 0.8, 32, 4, 16, 1e-6, 2048
@@ -205,9 +206,9 @@ def _band_keys(sig: DataFrame) -> DataFrame:
 
 
 def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: float = TOLERANCE, block: int = BLOCK) -> DataFrame:
-    """(doc_id, class_id, n_links, node): a row for each row of docs (doc_id, text).
+    """(doc_id, class_id, n_links, node, chosen): a row for each row of docs (doc_id, text).
 
-    n_links is the number of other rows at a Jaccard similarity of the threshold or more, exact copies included.
+    chosen marks the rows of a class's least doc_id and its node: one of them stands for the class. n_links is the number of other rows at a Jaccard similarity of the threshold or more, exact copies included.
     """
     if threshold < THRESHOLD:
         raise ValueError(f"the bands are made for similarities of {THRESHOLD} or more: {threshold}")
@@ -263,9 +264,16 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     roots = components(links.select("a", "b"))
     linked = links.groupBy(F.col("a").alias("node")).agg(F.sum("linked").alias("linked"))
     named = nodes.select("node", "first", "times").join(roots, "node", "left").join(linked, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    least_id = named.groupBy("root").agg(F.min("first").alias("class_id"))
-    placed = named.join(least_id, "root").select("node", "class_id", (F.col("times") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links"))
-    return rows.select("doc_id", "node").join(placed, "node").select("doc_id", "class_id", "n_links", "node")
+    picked = F.min(F.struct(F.col("first").isNull().alias("none"), "first", "node")).alias("p")
+    classes = settle(named.groupBy("root").agg(picked).select("root", F.col("p.first").alias("least"), F.col("p.node").alias("stands")), "classes")
+    shared = classes.where("least is not null").groupBy("least").agg(F.count(F.lit(1)).alias("m"), F.min("root").alias("owner")).where("m > 1").select("least", "owner")
+    made = -F.pmod(F.xxhash64("root"), F.lit(2**63 - 1)) - 1
+    class_id = F.when(F.col("least").isNull() | (F.col("owner") != F.col("root")), made).otherwise(F.col("least"))
+    classes = classes.join(shared, "least", "left").select("root", "least", "stands", class_id.alias("class_id"))
+    linked = (F.col("times") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links")
+    placed = named.join(classes, "root").select("node", "class_id", linked, F.when(F.col("node") == F.col("stands"), F.col("least")).alias("least"), (F.col("node") == F.col("stands")).alias("stands"))
+    chosen = F.col("stands") & F.col("doc_id").eqNullSafe(F.col("least"))
+    return rows.select("doc_id", "node").join(placed, "node").select("doc_id", "class_id", "n_links", "node", chosen.alias("chosen"))
 
 
 def _spanning(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -299,15 +307,33 @@ def _sets(docs: DataFrame, needed: DataFrame) -> DataFrame:
     return made.join(needed.select("node"), "node", "left_semi").dropDuplicates(["node"])
 
 
+def _with_node(docs: DataFrame) -> DataFrame:
+    """docs with `__node`, the name of each row's shingle set."""
+
+    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part in gathered(batches, "text"):
+            yield from part.append_column("__node", pa.array(_names(*shingles(texts_of(part))), pa.string())).to_batches()
+
+    return docs.mapInArrow(make, extended(docs, "__node string"))
+
+
 def one_of_each(docs: DataFrame) -> DataFrame:
-    """The documents without near duplicates: of each class the row with its least doc_id, and one row for equal ids."""
-    classes = jaccard_classes(docs)
-    kept = settle(classes.where(F.col("doc_id").eqNullSafe(F.col("class_id"))).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")), "kept")
-    again = kept.where("n > 1 or doc_id is null").limit(1).count()
-    n = kept.count()
-    ids = kept.select(F.col("doc_id").alias("__kept"))
-    rows = docs.join(F.broadcast(ids) if n <= BROADCAST_ROWS else ids, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi")
-    return rows.dropDuplicates(["doc_id"]) if again else rows
+    """The documents without near duplicates: one row of each class, of its least doc_id.
+
+    Where an id is null or repeated, it does not tell the rows of different classes apart: those rows are picked by id and
+    shingle set.
+    """
+    classes = settle(jaccard_classes(docs).select("doc_id", "node", "chosen"), "kept")
+    ids = settle(classes.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n"), F.max("chosen").alias("chosen")).where("chosen").select(F.col("doc_id").alias("__kept"), "n"), "ids")
+    plain, unclear = ids.where("n = 1 and __kept is not null").select("__kept"), ids.where("n > 1 or __kept is null").select("__kept")
+    n = plain.count()
+    rows = docs.join(F.broadcast(plain) if n <= BROADCAST_ROWS else plain, F.col("doc_id") == F.col("__kept"), "left_semi")
+    if not unclear.limit(1).count():
+        return rows
+    picked = classes.where("chosen").join(unclear, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi").select(F.col("doc_id").alias("__kept"), F.col("node").alias("__node")).distinct()
+    named = _with_node(docs.join(unclear, F.col("doc_id").eqNullSafe(F.col("__kept")), "left_semi"))
+    alike = F.col("doc_id").eqNullSafe(F.col("__kept")) & (named["__node"] == picked["__node"])
+    return rows.unionByName(named.join(picked, alike, "left_semi").dropDuplicates(["doc_id", "__node"]).drop("__node"))
 
 
 def op9_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -247,6 +247,17 @@ def test_jaccard_classes_are_brute_force(spark, block):
     assert jaccard_join.jaccard_classes(table(spark, [])).count() == 0
 
 
+def test_jaccard_keeps_all_texts_of_null_and_repeated_ids(spark):
+    a, b, c, d, e = (sentence(200 + i, 50) for i in range(5))
+    rows = [(None, a), (None, a + " end"), (None, b), (1, c), (4, c + " end"), (4, d), (4, d), (4, e), (3, b + " end"), (None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    kept = Counter((r["doc_id"], r["text"]) for r in jaccard_join.one_of_each(docs).collect())
+    (first,) = {(None, a), (None, a + " end")} & set(kept)
+    assert kept == Counter([first, (1, c), (4, d), (4, e), (3, b + " end"), (None, None)])
+    classes = Counter(r["class_id"] for r in jaccard_join.jaccard_classes(docs).collect())
+    assert sorted(classes.values()) == [1, 1, 2, 2, 2, 2] and {1, 3, 4} <= set(classes)
+
+
 def test_pruning_keeps_likely_pairs():
     least = jaccard_join.least_agreements()
     assert len(least) == 8 and least == sorted(least) and least[0] < 16 * 0.8 and least[-1] < 128 * 0.8 * 0.9
