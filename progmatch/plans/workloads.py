@@ -261,15 +261,19 @@ def dft_results(fx: Fixtures) -> DataFrame:
 
 
 def incremental(spark: SparkSession, d: str) -> DataFrame:
-    """Documents in ten increments by id; the number of pairs and true pairs each batch emits."""
+    """Documents in ten increments by id; the number of pairs and true pairs each batch emits, and the flush behind them.
+
+    A batch emits as many pairs as there are true ones, so the increments end at the budgets of 1 to 10 times their number.
+    """
     fx = Fixtures(spark, d)
-    p = fx.docs().profiles
+    p, truth = fx.docs().profiles, fx.docs_truth()
     top = (p.agg(F.max("pid")).first()[0] or 0) + 1
-    state = Incremental(spark, 200)
+    state = Incremental(spark, truth.count())
     for i in range(10):
         state.add(p.where((F.col("pid") >= top * i // 10) & (F.col("pid") < top * (i + 1) // 10)))
-    truth = fx.docs_truth().withColumn("hit", F.lit(1))
-    return state.schedule().join(truth, ["l", "r"], "left").groupBy("batch").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("hit"), F.lit(0)).alias("found"))
+    state.flush()
+    hit = truth.withColumn("hit", F.lit(1))
+    return state.schedule().join(hit, ["l", "r"], "left").groupBy("batch").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("hit"), F.lit(0)).alias("found"))
 
 
 def method_queries() -> dict[str, Query]:

@@ -4,32 +4,33 @@ from __future__ import annotations
 
 import os
 import uuid
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from progmatch.operators.blocking import token_blocks
+from progmatch.operators.order import positioned
 from progmatch.operators.pairs import meet
 from progmatch.session import settle, shared_root
 from progmatch.sources.profiles import Dedup
 
 
 class Incremental:
-    """State: token rows of all profiles so far, and pending pairs, both as tables in the shared folder.
+    """State: token rows of all profiles so far, and the pairs of each batch, as tables in the shared folder.
 
     A batch joins only its new token rows with the old and new ones; pairs get 1 / ||b|| summed over the shared blocks as
-    known then. A profile keeps its `keep` best pending pairs; what does not fit is written aside, and flush() emits it, so in
-    the end every pair that shares a block has been emitted once.
+    known then. Every pair not yet emitted competes in every later batch. What is emitted of a batch's pairs is always the
+    head of their order, so a table of pairs is written once, and the last key emitted since tells what is left of it.
+    flush() emits the rest, so in the end every pair that shares a block has been emitted once.
     """
 
-    def __init__(self, spark: SparkSession, budget: int, keep: int = 50):
+    def __init__(self, spark: SparkSession, budget: int):
         if budget < 0:
             raise ValueError(f"negative budget: {budget}")
-        self.spark, self.budget, self.keep = spark, budget, keep
+        self.spark, self.budget = spark, budget
         self.rows: DataFrame | None = None
-        self.pending: DataFrame | None = None
-        self.aside: list[DataFrame] = []
+        self.runs: list[tuple[DataFrame, tuple | None]] = []
         self.emitted: list[DataFrame] = []
         self.n = 0
 
@@ -45,30 +46,32 @@ class Incremental:
             both = fresh.select("bkey", "card", F.col("pid").alias("x")).join(old.select("bkey", F.col("pid").alias("y")), "bkey").where("x <> y")
             pairs = pairs.union(both.select(F.least("x", "y").alias("l"), F.greatest("x", "y").alias("r"), "card"))
         weighted = pairs.groupBy("l", "r").agg(F.round(F.sum(1 / F.col("card")), 9).alias("w"))
-        pool = weighted if self.pending is None else self.pending.unionByName(weighted)
-        pool = settle(pool, "pool")
         self.rows = everything
-        return self._emit(pool, self.budget)
-
-    def _emit(self, pool: DataFrame, budget: int) -> DataFrame:
-        top = pool.orderBy(F.desc("w"), "l", "r").limit(budget)
-        out = settle(top.withColumn("pos", F.row_number().over(Window.orderBy(F.desc("w"), "l", "r"))).select(F.lit(self.n).alias("batch"), "pos", "l", "r", "w"), "emitted")
-        left = pool.join(out.select("l", "r"), ["l", "r"], "left_anti")
-        place = lambda side: F.row_number().over(Window.partitionBy(side).orderBy(F.desc("w"), "l", "r"))
-        ranked = settle(left.withColumn("a", place("l")).withColumn("b", place("r")), "ranked")
-        self.pending = ranked.where(F.least("a", "b") <= self.keep).select("l", "r", "w")
-        self.aside.append(ranked.where(F.least("a", "b") > self.keep).select("l", "r", "w"))
+        self.runs.append((settle(weighted, "pairs"), None))
+        return self._emit(self.budget)
+
+    def left(self) -> DataFrame | None:
+        """(l, r, w) not yet emitted; None if nothing can be left."""
+        parts = [df if last is None else df.where(_behind(*last)) for df, last in self.runs]
+        return reduce(DataFrame.union, parts) if parts else None
+
+    def _emit(self, budget: int | None) -> DataFrame:
+        """The best `budget` pairs left, or all."""
+        keyed = self.left().withColumn("k", -F.col("w"))
+        made = positioned(keyed, ["k", "l", "r"], limit=budget).select(F.lit(self.n).alias("batch"), "pos", "l", "r", "w")
+        out = settle(made, "emitted")
+        if budget is None:
+            self.runs = []
+        elif last := out.orderBy(F.desc("pos")).select("w", "l", "r").first():
+            self.runs = [(df, tuple(last)) for df, _ in self.runs]
         self.emitted.append(out)
         self.n += 1
         return out
 
-    def flush(self) -> DataFrame:
-        """Everything not yet emitted, best first."""
-        pool = self.pending
-        for df in self.aside:
-            pool = df if pool is None else pool.union(df)
-        self.aside = []
-        return self._emit(settle(pool, "pool"), pool.count())
+    def flush(self) -> DataFrame | None:
+        """Everything not yet emitted, best first; no batch if nothing is left."""
+        rest = self.left()
+        return None if rest is None or rest.isEmpty() else self._emit(None)
 
     def schedule(self) -> DataFrame:
         """(batch, pos, l, r, w) of all batches."""
@@ -78,13 +81,19 @@ class Incremental:
         return out
 
 
+def _behind(w: float, l: int, r: int) -> Column:  # noqa: E741
+    """Behind a pair in the order of emission."""
+    return (F.col("w") < w) | ((F.col("w") == w) & ((F.col("l") > l) | ((F.col("l") == l) & (F.col("r") > r))))
+
+
 def run_stream(spark: SparkSession, folder: str, schema: str, budget: int, files_per_batch: int = 1) -> Incremental:
-    """Reads a growing folder of Parquet profiles (source, pid, text) to its present end, one batch after another."""
+    """Reads a growing folder of Parquet profiles (source, pid, text) to its present end, one batch after another, then the rest."""
     state = Incremental(spark, budget)
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", files_per_batch).parquet(folder)
     checkpoint = os.path.join(shared_root(spark), f"progmatch/stream-{uuid.uuid4().hex}")
     query = stream.writeStream.foreachBatch(lambda df, _: state.add(df) and None).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
+    state.flush()
     return state
 
 

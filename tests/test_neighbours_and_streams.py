@@ -97,6 +97,38 @@ def test_incremental_reaches_the_batch(spark, tmp_path):
     assert state.n == 4 and isinstance(state, Incremental)
 
 
+def test_incremental_emits_the_best_left_and_the_rest(spark, tmp_path):
+    texts = ["red green"] * 110 + ["red blue"] * 5 + ["white"] * 3
+    p = profiles(spark, texts)
+    state = Incremental(spark, 7)
+    got = []
+    for low, high, budget in ((0, 110, 7), (110, 118, 6000)):
+        state.budget = budget
+        got.append([(r["l"], r["r"], r["w"]) for r in state.add(p.where((F.col("pid") >= low) & (F.col("pid") < high))).orderBy("pos").collect()])
+    old = 2 / (110 * 109 / 2)
+    green = [(i, j, round(old, 9)) for i in range(110) for j in range(i + 1, 110)]
+    red, blue, white = 1 / (115 * 114 / 2), 1 / 10, 1 / 3
+    later = [(i, j, round(red + blue * (i >= 110), 9)) for i in range(115) for j in range(max(i + 1, 110), 115)] + [(i, j, round(white, 9)) for i in range(115, 118) for j in range(i + 1, 118)]
+    order = sorted([*green[7:], *later], key=lambda x: (-x[2], x[0], x[1]))
+    assert got == [green[:7], order[:6000]]
+    assert [(r["l"], r["r"], r["w"]) for r in state.flush().orderBy("pos").collect()] == order[6000:]
+    assert state.flush() is None and state.n == 3
+    p.coalesce(1).write.parquet(str(tmp_path / "in"))
+    assert run_stream(spark, str(tmp_path / "in"), "source string, pid long, text string", budget=2).schedule().count() == 115 * 114 // 2 + 3
+
+
+def test_incremental_query_emits_every_pair(spark):
+    from progmatch.plans.fixtures import Fixtures
+    from progmatch.plans.workloads import incremental
+
+    d = "/root/testdata/sf0.001"
+    rows = incremental(spark, d).collect()
+    words = [set(r["text"].lower().split()) for r in Fixtures(spark, d).docs().profiles.select("text").collect()]
+    truth = Fixtures(spark, d).docs_truth().count()
+    assert sum(r["found"] for r in rows) == truth and max(r["n"] for r in rows if r["batch"] < 10) <= truth
+    assert sum(r["n"] for r in rows) >= sum(bool(words[i] & words[j]) for i in range(len(words)) for j in range(i))
+
+
 def test_streams(spark, tmp_path):
     rows = [(1, 1, "2024-01-01 00:00:00", 1.0), (2, 1, "2024-01-01 00:00:05", 3.0), (3, 2, "2024-01-01 00:01:00", 2.0)]
     e = spark.createDataFrame(rows, "event_id long, user_id long, ts string, value double").withColumn("ts", F.to_timestamp("ts"))
