@@ -104,12 +104,10 @@ def _docs_linkage(fx: Fixtures) -> list[tuple[str, Task, DataFrame]]:
     return [("docs_linkage", fx.docs_linkage(), fx.docs_linkage_truth())]
 
 
-def family_curves(family: str, more: bool = True) -> Query:
+def family_curves(family: str) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         fx = Fixtures(spark, d)
-        names = _docs_linkage(fx)
-        if more:
-            names += [("bench_linkage", fx.bench_linkage(), fx.bench_truth()), ("cust_linkage", fx.cust_linkage(), fx.cust_linkage_truth())]
+        names = [*_docs_linkage(fx), ("bench_linkage", fx.bench_linkage(), fx.bench_truth()), ("cust_linkage", fx.cust_linkage(), fx.cust_linkage_truth())]
         found = curves(fx, names, [(family, s, BEST[family, s]) for s in SCHEDULERS])
         return rounded(measures.distance_from_top(found, by=("dataset", "budget", "family")))
 
@@ -360,7 +358,7 @@ def method_queries() -> dict[str, Query]:
         for kind in SCHEDULERS:
             q[f"wl_best_{f}_{kind}"] = lambda s, d, f=f, kind=kind: rounded(curves(fx(s, d), _docs_linkage(fx(s, d)), [(f, kind, BEST[f, kind])], (1, 2, 5, 10)))
     q["wl_nn_curves"] = nn_curves
-    q["wl_join_curves"] = family_curves("sparse", more=False)
+    q["wl_join_curves"] = family_curves("sparse")
     q["wl_block_curves"] = family_curves("block")
     q["wl_sorted_curves"] = family_curves("sorted")
     q["wl_winners_linkage"] = winners(True)

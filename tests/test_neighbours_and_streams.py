@@ -129,6 +129,13 @@ def test_incremental_query_emits_every_pair(spark):
     assert sum(r["n"] for r in rows) >= sum(bool(words[i] & words[j]) for i in range(len(words)) for j in range(i))
 
 
+def test_join_curves_cover_every_data_set(spark):
+    from progmatch.plans.workloads import MULTIPLES, SCHEDULERS, method_queries
+
+    rows = method_queries()["wl_join_curves"](spark, "/root/testdata/sf0.001").select("dataset", "scheduler", "multiple").collect()
+    assert {tuple(r) for r in rows} == {(d, s, m) for d in ("docs_linkage", "bench_linkage", "cust_linkage") for s in SCHEDULERS for m in MULTIPLES}
+
+
 def test_streams(spark, tmp_path):
     rows = [(1, 1, "2024-01-01 00:00:00", 1.0), (2, 1, "2024-01-01 00:00:05", 3.0), (3, 2, "2024-01-01 00:01:00", 2.0)]
     e = spark.createDataFrame(rows, "event_id long, user_id long, ts string, value double").withColumn("ts", F.to_timestamp("ts"))
