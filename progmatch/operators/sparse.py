@@ -92,6 +92,23 @@ def nearest(pairs: DataFrame, k: int, linkage: bool, side: str, sizes: dict[str,
     return found.groupBy("l", "r").agg(F.max("w").alias("w")) if len(queries) > 1 else found
 
 
+def nearest_stack(stacked: DataFrame, ks: tuple[int, ...], linkage: bool, sizes: dict[str, int]) -> DataFrame:
+    """(config, l, r, w): what `nearest` gives for every index side and k, of many configurations (config, l, r, w) at once."""
+    place = lambda q, i: F.row_number().over(Window.partitionBy("config", q).orderBy(F.desc("w"), i))
+    if linkage:
+        small, large = "lr" if sizes.get("L", 0) <= sizes.get("R", 0) else "rl"
+        pairs = stacked.withColumn("t_l", place("l", "r")).withColumn("t_r", place("r", "l"))
+        places = {"smallest": F.col(f"t_{large}"), "largest": F.col(f"t_{small}"), "both": F.least("t_l", "t_r")}
+    else:
+        ends = stacked.select("config", F.explode(F.array(F.struct(F.col("l").alias("q"), F.col("r").alias("i")), F.struct(F.col("r").alias("q"), F.col("l").alias("i")))).alias("e"), "w").select("config", "e.*", "w")
+        ends = ends.withColumn("t", place("q", "i")).where(F.col("t") <= max(ks))
+        pairs = ends.groupBy("config", F.least("q", "i").alias("l"), F.greatest("q", "i").alias("r")).agg(F.max("w").alias("w"), F.min("t").alias("t"))
+        places = {"both": F.col("t")}
+    choices = F.array(*[F.struct(F.lit(f"{side}_{k}").alias("name"), (t <= k).alias("near")) for side, t in places.items() for k in ks])
+    near = pairs.where(F.least(*places.values(), F.lit(max(ks) + 1)) <= max(ks)) if len(places) > 1 else pairs
+    return near.select("config", "l", "r", "w", F.explode(F.filter(choices, lambda c: c["near"])).alias("c")).select(F.concat_ws("_", "config", "c.name").alias("config"), "l", "r", "w")
+
+
 def sparse_pairs(task: Task, tokenizer: str, scorings: tuple[str, ...], max_df: int | None = None) -> DataFrame:
     sizes = task.sizes()
     counts = term_counts(task, tokenizer)

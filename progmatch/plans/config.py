@@ -181,24 +181,30 @@ def evaluate(dataset: str, family: str, name: str, edges: DataFrame, truth: Data
 
 
 def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], linkage: bool, kind: str = "edge", anchor: str = "left") -> DataFrame:
-    """(config, scheduler, budget, found, recall, pr) of many configurations at once. stacked: (config, l, r, w); kind: edge or breadth.
+    """(config, scheduler, budget, found, recall, pr) of many configurations at once. stacked: (config, l, r, w).
 
     One window ranks every configuration's pairs, cut at the largest budget while ranking, and one aggregation of the hits
     serves all budgets: the cost of a grid is that of one run, not one plan for each configuration.
     """
+    if kind not in SCHEDULERS:
+        raise ValueError(f"unknown scheduler of stacks: {kind}")
     n, most = truth.count(), max(budgets)
     edges = stacked.where("w > 0")
     if kind == "edge":
         order = [F.desc("w"), F.col("l"), F.col("r")]
-    elif kind == "breadth":
-        node, other = ("l", "r") if anchor == "left" else ("r", "l")
-        if not linkage:
-            raise ValueError("breadth-first stacks are for linkage")
-        own = Window.partitionBy("config", node)
-        edges = edges.withColumn("t", F.row_number().over(own.orderBy(F.desc("w"), other))).withColumn("s", -F.round(F.avg("w").over(own), 9))
-        order = [F.col("t"), F.col("s"), F.col(node)]
     else:
-        raise ValueError(f"unknown scheduler of stacks: {kind}")
+        end = lambda node, other: F.struct(F.col(node).alias("node"), F.col(other).alias("other"))
+        sides = [end("l", "r"), end("r", "l")] if not linkage else [end("l", "r")] if anchor == "left" else [end("r", "l")]
+        own = Window.partitionBy("config", "node")
+        ends = edges.select("config", "l", "r", "w", F.explode(F.array(*sides)).alias("e")).select("config", "l", "r", "w", "e.*")
+        ends = ends.withColumn("t", F.row_number().over(own.orderBy(F.desc("w"), "other"))).withColumn("s", -F.round(F.avg("w").over(own), 9))
+        keys = ("t", "s", "node") if kind == "breadth" else ("s", "node", "t")
+        edges = ends.groupBy("config", "l", "r").agg(F.first("w").alias("w"), F.min("t").alias("best"), F.min(F.struct(*keys)).alias("k"))
+        order = [F.col(f"k.{k}") for k in keys]
+        if kind == "hybrid":
+            first = F.col("best") == 1
+            order = [F.when(first, 1).otherwise(2), F.when(first, -F.col("w")).otherwise(F.col("k.s")), F.when(first, F.col("l")).otherwise(F.col("k.node")), F.when(first, F.col("r")).otherwise(F.col("k.t").cast("long"))]
+        order += [F.col("l"), F.col("r")]
     placed = edges.withColumn("pos", F.row_number().over(Window.partitionBy("config").orderBy(*order))).where(F.col("pos") <= most)
     names = stacked.select("config").distinct()
     found = placed.join(truth.select("l", "r"), ["l", "r"], "left_semi").select("config", "pos")

@@ -7,11 +7,10 @@ from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.window import Window
 
 from progmatch.operators import baselines, blocking, dense, encoders, measures, sortedlist, sparse
 from progmatch.operators.schedule import SCHEDULERS, schedule, schedule_batch, schedule_ideal
-from progmatch.plans.config import BEST, WINNERS, BlockConfig, SortedConfig, SparseConfig, evaluate, evaluate_stack
+from progmatch.plans.config import BEST, WINNERS, BlockConfig, SortedConfig, SparseConfig, evaluate, evaluate_stack, grid
 from progmatch.plans.fixtures import Fixtures, once
 from progmatch.session import settle
 from progmatch.sources.profiles import MultiSource, Task
@@ -195,37 +194,43 @@ def windows(spark: SparkSession, d: str) -> DataFrame:
     return rounded(rows.select(F.lit("id").alias("weight"), part(0).alias("scope"), part(1).cast("long").alias("w"), F.col("found").alias("n_hits"), "recall", "pr"))
 
 
+def grid_stack(fx: Fixtures, family: str, name: str, task: Task) -> DataFrame:
+    """(config, l, r, w) of every configuration that config.grid() lists for the family, from one-pass grids."""
+    wide = lambda df, cols: df.select("l", "r", F.explode(F.array(*[F.struct(F.lit(k).alias("config"), c.alias("w")) for k, c in cols.items()])).alias("x")).select("x.config", "l", "r", "x.w")
+    if family == "block":
+        return wide(docs_grid(fx, task.linkage), {w: F.col(w) for w in blocking.BLOCK_WEIGHTS})
+    if family == "sorted":
+        return wide(docs_histogram(fx, task.linkage), {f"{x}_{s}_{w}": F.round(sortedlist.sorted_weight(x, s, w), 9) for x in sortedlist.SORTED_WEIGHTS for s in sortedlist.SCOPES for w in range(1, 11)})
+    axes = grid(family, task.linkage)
+    ks, parts = tuple(dict.fromkeys(c.k for c in axes)), []
+    if family == "sparse":
+        for t in dict.fromkeys(c.tokenizer for c in axes):
+            sims = {f"{t}_{c}_{m}": sparse.similarity(m, c) for c in sparse.SCORINGS for m in sparse.SIMILARITIES}
+            parts.append(wide(sparse_dots(fx, task, name, t), sims))
+    else:
+        for e in dict.fromkeys(c.encoder for c in axes):
+            vectors = once(fx.spark, fx.sf_dir, f"vectors_{name}_{e}", lambda e=e: encoders.encode(task, e))
+            for m in sparse.SIMILARITIES:
+                parts.append(dense.dense_candidates(vectors, task.kind, m, max(ks), "both").select(F.lit(f"{e}_{m}").alias("config"), "l", "r", "w"))
+    pairs = once(fx.spark, fx.sf_dir, f"stack_{family}_{name}", lambda: reduce(DataFrame.unionByName, parts).where("w > 0"))
+    return sparse.nearest_stack(pairs, ks, task.linkage, task.sizes())
+
+
 def grid_results(family: str) -> Query:
-    """Mean distance from the best of every configuration of a family under two schedulers, linkage of documents, from one-pass grids."""
+    """(dataset, config, scheduler, mean_dft): mean distance from the best over the budgets of every configuration of a family
+    under every scheduler, linkage and dedup of documents."""
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         fx = Fixtures(spark, d)
-        _, task, truth = _docs_linkage(fx)[0]
-        n = truth.count()
-        wide = lambda df, cols: df.select("l", "r", F.explode(F.array(*[F.struct(F.lit(k).alias("config"), c.alias("w")) for k, c in cols.items()])).alias("x")).select("x.config", "l", "r", "x.w")
-        if family == "block":
-            stacked = wide(docs_grid(fx, True), {w: F.col(w) for w in blocking.BLOCK_WEIGHTS})
-        elif family == "sorted":
-            stacked = wide(docs_histogram(fx, True), {f"{x}_{s}_{w}": F.round(sortedlist.sorted_weight(x, s, w), 9) for x in sortedlist.SORTED_WEIGHTS for s in sortedlist.SCOPES for w in range(1, 11)})
-        else:
-            parts = []
-            if family == "sparse":
-                for t in ("word1", "word2", "char4"):
-                    sims = {f"{t}_{c}_{m}": sparse.similarity(m, c) for c in sparse.SCORINGS for m in sparse.SIMILARITIES}
-                    parts.append(wide(sparse_dots(fx, task, "docs_linkage", t), sims))
-            else:
-                for e in ("hash-words", "hash-chars", "ctx", "sent"):
-                    vectors = once(spark, d, f"vectors_{e}", lambda e=e: encoders.encode(task, e))
-                    for m in sparse.SIMILARITIES:
-                        parts.append(dense.dense_candidates(vectors, "linkage", m, 10, "both").select(F.lit(f"{e}_{m}").alias("config"), "l", "r", "w"))
-            pairs = once(spark, d, f"stack_{family}", lambda: reduce(DataFrame.unionByName, parts).where("w > 0"))
-            place = lambda q, i: F.row_number().over(Window.partitionBy("config", q).orderBy(F.desc("w"), i))
-            ranked = pairs.withColumn("best", F.least(place("l", "r"), place("r", "l"))).where("best <= 10")
-            ks = F.explode(F.filter(F.array(F.lit(1), F.lit(5), F.lit(10)), lambda k: F.col("best") <= k))
-            stacked = ranked.withColumn("k", ks).select(F.concat_ws("_", "config", "k").alias("config"), "l", "r", "w")
-        stacked = once(spark, d, f"stacked_{family}", lambda: stacked.where("w > 0"))
-        results = reduce(DataFrame.unionByName, [evaluate_stack(stacked, truth, [n, 5 * n], True, kind) for kind in ("edge", "breadth")])
-        return rounded(measures.mean_dft(measures.distance_from_top(results, by=("budget",)), ("config", "scheduler")))
+        parts = []
+        for name, task, truth in (*_docs_linkage(fx), ("docs_dedup", fx.docs(), fx.docs_truth())):
+            n = truth.count()
+            stacked = once(spark, d, f"stacked_{family}_{name}", lambda name=name, task=task: grid_stack(fx, family, name, task).where("w > 0"))
+            for kind in SCHEDULERS:
+                made = evaluate_stack(stacked, truth, [m * n for m in MULTIPLES], task.linkage, kind)
+                parts.append(settle(made.select(F.lit(name).alias("dataset"), *made.columns), "grid"))
+        results = reduce(DataFrame.unionByName, parts)
+        return rounded(measures.mean_dft(measures.distance_from_top(results), ("dataset", "config", "scheduler")))
 
     return run
 

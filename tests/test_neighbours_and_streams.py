@@ -136,6 +136,28 @@ def test_join_curves_cover_every_data_set(spark):
     assert {tuple(r) for r in rows} == {(d, s, m) for d in ("docs_linkage", "bench_linkage", "cust_linkage") for s in SCHEDULERS for m in MULTIPLES}
 
 
+@pytest.mark.parametrize("linkage", [True, False])
+def test_stacks_are_the_single_runs(spark, linkage):
+    from progmatch.plans.config import SCHEDULERS, evaluate, evaluate_stack
+
+    rng = np.random.default_rng(5)
+    pairs = [(i, j) for i in range(12) for j in range(9) if linkage or i < j]
+    rows = [(c, i, j, float(rng.integers(1, 9)) / 8) for c in ("a", "b") for i, j in pairs if rng.random() < 0.7]
+    stacked = spark.createDataFrame(rows, "config string, l long, r long, w double")
+    truth = spark.createDataFrame([p for p in pairs if sum(p) % 3 == 0], "l long, r long")
+    one = stacked.where("config = 'a'").select("l", "r", "w")
+    for kind in SCHEDULERS:
+        want = evaluate("x", "y", "a", one, truth, [5, 20, 60], linkage, (kind,)).select("budget", "found", "recall", "pr").collect()
+        got = evaluate_stack(stacked, truth, [5, 20, 60], linkage, kind).where("config = 'a'").select("budget", "found", "recall", "pr").collect()
+        assert sorted(got) == sorted(want)
+    near = sparse.nearest_stack(stacked, (1, 3), linkage, {"L": 12, "R": 9})
+    sides = sparse.SIDES if linkage else ("both",)
+    assert {r[0] for r in near.select("config").distinct().collect()} == {f"{c}_{s}_{k}" for c in "ab" for s in sides for k in (1, 3)}
+    for side in sides:
+        want = sparse.nearest(one, 3, linkage, side, {"L": 12, "R": 9}).collect()
+        assert sorted(near.where(f"config = 'a_{side}_3'").select("l", "r", "w").collect()) == sorted(want)
+
+
 def test_streams(spark, tmp_path):
     rows = [(1, 1, "2024-01-01 00:00:00", 1.0), (2, 1, "2024-01-01 00:00:05", 3.0), (3, 2, "2024-01-01 00:01:00", 2.0)]
     e = spark.createDataFrame(rows, "event_id long, user_id long, ts string, value double").withColumn("ts", F.to_timestamp("ts"))
