@@ -84,30 +84,81 @@ def test_fingerprints(spark):
     assert joint.where("source = 's1'").count() == len(set().union(*(by[i] for i in range(len(TEXTS)) if i % 3 == 1)))
 
 
-@pytest.mark.parametrize("extra", [[], [PASSAGE[:450]], ["x" * 399, "y" * 400, "ab" * 500]])
-def test_repeats_are_brute_force(spark, extra):
-    texts = TEXTS + extra
+def in_other_rows(texts, least=51):
+    """(passages, words in them) of each text: runs of at least that many words that another row has too."""
+    split = [[w for w in BLANK.split(t or "") if w] for t in texts]
+    owners = {}
+    for i, w in enumerate(split):
+        for p in range(len(w) - least + 1):
+            owners.setdefault(tuple(w[p : p + least]), set()).add(i)
+    found = []
+    for w in split:
+        hit = np.zeros(len(w), bool)
+        for p in range(len(w) - least + 1):
+            if len(owners[tuple(w[p : p + least])]) > 1:
+                hit[p : p + least] = True
+        found.append((int((hit & ~np.concatenate(([False], hit[:-1]))).sum()) if len(w) else 0, int(hit.sum())))
+    return found
+
+
+def of_repeats(texts):
+    """(kept, removed, runs, bytes) of each text."""
     data = [(t or "").encode() for t in texts]
     count = Counter(d[p : p + 400] for d in data for p in range(len(d) - 399))
-    got = {r["doc_id"]: r for r in suffix_dedup.without_repeats(table(spark, texts)).collect()}
-    assert len(got) == len(texts)
-    for i, d in enumerate(data):
+    for d in data:
         gone = np.zeros(len(d), bool)
         for p in range(len(d) - 399):
             if count[d[p : p + 400]] > 1:
                 gone[p : p + 400] = True
         kept = np.frombuffer(d, np.uint8)[~gone].tobytes()
-        runs = int((gone & ~np.concatenate(([False], gone[:-1]))).sum()) if len(d) else 0
-        assert (bytes(got[i]["kept"]), got[i]["n_removed"], got[i]["n_spans"], got[i]["n_bytes"]) == (kept, int(gone.sum()), runs, len(d)), i
+        yield kept, int(gone.sum()), int((gone & ~np.concatenate(([False], gone[:-1]))).sum()) if len(d) else 0, len(d)
+
+
+ENTERED = [sentence(700 + k, 12 + k) + " " + PASSAGE + " " + sentence(800 + k, 20) for k in range(12)]
+
+
+@pytest.mark.parametrize("extra", [[], [PASSAGE[:450]], ["x" * 399, "y" * 400, "ab" * 500], ENTERED])
+@pytest.mark.parametrize("limits", [{}, {"HOT": 2, "BROADCAST_ROWS": 0}, {"SLICE": 1000}])
+def test_repeats_are_brute_force(spark, monkeypatch, extra, limits):
+    for name, value in limits.items():
+        monkeypatch.setattr(suffix_dedup, name, value)
+    texts = TEXTS + extra
+    got = {r["doc_id"]: r for r in suffix_dedup.without_repeats(table(spark, texts)).collect()}
+    assert len(got) == len(texts)
+    for i, (want, passages) in enumerate(zip(of_repeats(texts), in_other_rows(texts), strict=True)):
+        assert (bytes(got[i]["kept"]), got[i]["n_removed"], got[i]["n_spans"], got[i]["n_bytes"]) == want, i
+        assert (got[i]["n_passages"], got[i]["n_passage_words"]) == passages, i
+        assert got[i]["size"] == "own"
+
+
+def test_repeats_of_an_empty_table_and_without_passages(spark):
+    assert suffix_dedup.without_repeats(table(spark, [])).count() == 0
+    assert "n_passages" not in suffix_dedup.without_repeats(table(spark), passages=None).columns
+
+
+@pytest.mark.parametrize("kind", [np.uint8, np.uint64])
+def test_suffix_ranks(kind):
+    rng = np.random.default_rng(5)
+    symbols = rng.integers(0, 3, 400).astype(kind)
+    symbols[200:300] = symbols[50:150]
+    depth = 51
+    got = suffix_dedup.ranks(symbols, depth)[: 400 - depth]
+    cut = [tuple(symbols[i : i + depth]) for i in range(400 - depth)]
+    order = {c: k for k, c in enumerate(sorted(set(cut)))}
+    want = np.array([order[c] for c in cut])
+    assert ((got[:, None] < got[None]) == (want[:, None] < want[None])).all()
 
 
 def test_very_long_texts_in_pieces(spark, monkeypatch):
     monkeypatch.setattr(suffix_dedup, "PIECE", 3000)
-    a = suffix_dedup.parse(table(spark)).select("start", "windows").where("windows < 1").count()
-    assert a == 0
-    rows = suffix_dedup._pieces(pa.array(["x" * 10_000], pa.large_string()), 400)
+    assert suffix_dedup.parse(table(spark)).where("windows < 1").count() == 0
+    rows = suffix_dedup.pieces(*suffix_dedup.symbols_of(pa.array(["x" * 10_000], pa.large_string()), suffix_dedup.BYTES), 400)
     seen = sorted(at + p for _, at, d, _ in rows for p in range(len(d) - 399))
     assert seen == list(range(9601))
+    texts = [LONG * 2, "z " + LONG]
+    got = {r["doc_id"]: r for r in suffix_dedup.without_repeats(table(spark, texts)).collect()}
+    assert [(bytes(got[i]["kept"]), got[i]["n_removed"]) for i in (0, 1)] == [w[:2] for w in of_repeats(texts)]
+    assert [(got[i]["n_passages"], got[i]["n_passage_words"]) for i in (0, 1)] == in_other_rows(texts)
 
 
 def test_mixing(spark):
