@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import contextlib
+import gc
 import tempfile
 import uuid
 from collections.abc import Iterable, Iterator
@@ -23,9 +25,12 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_root(spark: SparkSession) -> str:
-    """The folder that driver and executors share. Only where the session names none (tests) is one made up here."""
+    """The folder that driver and executors share. Only where the session names none and all runs in one process (tests) is one made up here."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
+        master = spark.sparkContext.master
+        if not master.startswith("local") or master.startswith("local-cluster"):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
         named = tempfile.mkdtemp(prefix="progmatch-shared-")
         spark.conf.set("spark.checkpoint.dir", named)
     return named if "://" in named else f"file://{named}"
@@ -40,11 +45,25 @@ def settle(df: DataFrame, what: str) -> DataFrame:
     spark = df.sparkSession
     path = shared_path(spark, what)
     df.write.parquet(path)
+    release(spark)
     made = spark.read.schema(df.schema).parquet(path)
     made.settled_at = path
     return made
 
 
+def release(spark: SparkSession) -> None:
+    """Gives back what finished plans held: shuffle files and broadcasts go once the driver collects its garbage.
+
+    The driver's native memory is trimmed where its virtual machine has that command.
+    """
+    gc.collect()
+    jvm = spark._jvm
+    jvm.System.gc()
+    with contextlib.suppress(Exception):
+        beans = jvm.java.lang.management.ManagementFactory.getPlatformMBeanServer()
+        beans.invoke(jvm.javax.management.ObjectName("com.sun.management:type=DiagnosticCommand"), "systemTrimNativeHeap", None, None)
+
+
 def discard(*settled: DataFrame) -> None:
     """Deletes settled tables that no later step reads."""
     for df in settled:

@@ -28,10 +28,10 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from progmatch.llm.common import SHINGLE_WORDS, extended, gathered, mixed64, settle, shuffle_width, table, texts_of, word_codes, word_hashes
+from progmatch.llm.common import SHINGLE_WORDS, discard, extended, gathered, mixed64, settle, shuffle_width, table, texts_of, word_codes, word_hashes
 from progmatch.llm.components import components
 
-THRESHOLD, BANDS, ROWS, STEP, TOLERANCE, BLOCK = 0.8, 32, 4, 16, 1e-6, 2048
+THRESHOLD, BANDS, ROWS, STEP, TOLERANCE, BLOCK = 0.8, 32, 4, 16, 1e-6, 512
 HASHES = BANDS * ROWS
 #: So many documents' ids at most are broadcast to pick their texts; more are joined by a shuffle.
 BROADCAST_ROWS = 500_000
@@ -243,7 +243,8 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
 
     left = settle(dealt(cells).mapInArrow(prune, "bucket long, part_a int, part_b int, band int, part int, node string"), "pruned")
     needed = left.select("node").distinct().join(nodes.select("node", "first"), "node")
-    sets = _sets(docs, settle(needed.select("node", "first"), "needed"))
+    needed = settle(needed.select("node", "first"), "needed")
+    sets = _sets(docs, needed)
     full = left.join(sets, "node").join(nodes.select("node", "n", "sig", "times"), "node")
     full = full.select("bucket", "part_a", "part_b", "band", "part", "node", "n", "sig", "times", "shingles")
 
@@ -261,17 +262,20 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
                 yield pa.RecordBatch.from_arrays([pa.array([names[k] for k in some]), pa.array([names[root[k]] for k in some]), pa.array(linked[some].astype(np.int64))], ["a", "b", "linked"])
 
     links = settle(dealt(full).mapInArrow(verify, "a string, b string, linked long"), "links")
+    discard(left, needed)
     roots = components(links.select("a", "b"))
     linked = links.groupBy(F.col("a").alias("node")).agg(F.sum("linked").alias("linked"))
     named = nodes.select("node", "first", "times").join(roots, "node", "left").join(linked, "node", "left").withColumn("root", F.coalesce("root", "node"))
     picked = F.min(F.struct(F.col("first").isNull().alias("none"), "first", "node")).alias("p")
-    classes = settle(named.groupBy("root").agg(picked).select("root", F.col("p.first").alias("least"), F.col("p.node").alias("stands")), "classes")
+    named_classes = classes = settle(named.groupBy("root").agg(picked).select("root", F.col("p.first").alias("least"), F.col("p.node").alias("stands")), "classes")
     shared = classes.where("least is not null").groupBy("least").agg(F.count(F.lit(1)).alias("m"), F.min("root").alias("owner")).where("m > 1").select("least", "owner")
     made = -F.pmod(F.xxhash64("root"), F.lit(2**63 - 1)) - 1
     class_id = F.when(F.col("least").isNull() | (F.col("owner") != F.col("root")), made).otherwise(F.col("least"))
     classes = classes.join(shared, "least", "left").select("root", "least", "stands", class_id.alias("class_id"))
     linked = (F.col("times") - 1 + F.coalesce("linked", F.lit(0))).alias("n_links")
     placed = named.join(classes, "root").select("node", "class_id", linked, F.when(F.col("node") == F.col("stands"), F.col("least")).alias("least"), (F.col("node") == F.col("stands")).alias("stands"))
+    placed = settle(placed, "placed")
+    discard(nodes, links, named_classes)
     chosen = F.col("stands") & F.col("doc_id").eqNullSafe(F.col("least"))
     return rows.select("doc_id", "node").join(placed, "node").select("doc_id", "class_id", "n_links", "node", chosen.alias("chosen"))
 
