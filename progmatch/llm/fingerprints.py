@@ -4,7 +4,7 @@ A sketch keeps every shingle hash below a fixed fraction of the hash range, so i
 sketches can be merged by union, and the share of one that lies in the other estimates containment even between very
 unequal documents. Shingles have five words; a text of one to four words is one shingle, an empty text is the shingle of
 no words. A sketch that would be empty keeps its lowest hash, so that equal texts always have equal, non-empty sketches.
-Null texts count as empty, repeated rows give repeated results, further columns are ignored.
+Null texts count as empty, repeated rows give repeated results, further columns are kept.
 """
 
 from __future__ import annotations
@@ -13,17 +13,21 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from progmatch.llm.common import SHINGLE_WORDS, id_ranges, shuffle_width, table
+from progmatch.llm.common import SHINGLE_WORDS, settle, shuffle_width, table
 from progmatch.llm.native_text import with_shingle_hashes, with_word_hashes
 
-FRACTION = 0.125
+FRACTION = 0.25
+
+
+def _top(fraction: float) -> int:
+    return min(2**63 - 1, -(2**63) + int(fraction * 2**64))
 
 
 def with_sketch(df: DataFrame, text: str, out: str, fraction: float = FRACTION, size: int = SHINGLE_WORDS) -> DataFrame:
     """Adds `out`: the ascending array of the distinct shingle hashes below `fraction` of the 64-bit range."""
     if not 0 < fraction <= 1:
         raise ValueError(f"fraction must lie in (0, 1]: {fraction}")
-    top = min(2**63 - 1, -(2**63) + int(fraction * 2**64))
+    top = _top(fraction)
     h, g, s = f"__{out}_h", f"__{out}_g", f"__{out}_s"
     df = with_shingle_hashes(with_word_hashes(df, text, h), h, g, size)
     short = F.array(F.xxhash64(F.array_join(F.transform(F.col(h), lambda x: x.cast("string")), ",")))
@@ -39,9 +43,12 @@ def likeness(a: Column, b: Column) -> Column:
     return both / (F.size(a) + F.size(b) - both)
 
 
-def containment(a: Column, b: Column) -> Column:
-    """Estimated share of the first document's shingles that the second has."""
-    return F.size(F.array_intersect(a, b)) / F.size(a)
+def containment(a: Column, b: Column, fraction: float = FRACTION) -> Column:
+    """Estimated share of the first document's shingles that the second has; null where the first kept only its lowest hash.
+
+    Such a hash lies above the limit, so a longer document's sketch could not hold it.
+    """
+    return F.when(F.get(a, F.lit(0)) <= _top(fraction), F.size(F.array_intersect(a, b)) / F.size(a))
 
 
 def merged(sketches: DataFrame, key: str, sketch: str) -> DataFrame:
@@ -56,34 +63,29 @@ def as_text(sketch: Column) -> Column:
 def with_follower(docs: DataFrame, carried: list[str], ranges: int) -> DataFrame:
     """Adds next_<c> for each carried column: its value in the next document, by descending doc_id; after the last, the first.
 
-    The documents are shuffled once, by ranges of doc_id. The first row of each range is also sent to the range above
-    (and the very first to the last range), so a range finds the follower of its last row without any other exchange.
-    Documents without an id come last; equal ids follow one another by their text's hash.
+    The documents are dealt to ranges of (doc_id, text hash) and settled with their range's number; the first row of each
+    range is also sent to the range before it (that of the first to the last), so a range finds the follower of its last row.
+    Documents without an id come last; equal or missing ids follow one another by their text's hash, and can fill many
+    ranges. Columns of the names added are replaced.
     """
-    at, _ = id_ranges(docs, "doc_id", ranges)
-    ranged = docs.withColumn("__r", at)
-    tops = [tuple(r) for r in ranged.groupBy("__r").agg(F.max("doc_id")).orderBy("__r").collect()]  # a row for each range
-    if not tops:
-        return docs.select("*", *[F.col(c).alias(f"next_{c}") for c in carried])
-    numbers = [r for r, _ in tops]
-    above = dict(zip(numbers, numbers[1:] + numbers[:1], strict=True))
-    keys = F.array(*[F.lit(r) for r in numbers])
-    first = F.map_from_arrays(keys, F.array(*[F.lit(t).cast("bigint") for _, t in tops]))
-    target = F.map_from_arrays(keys, F.array(*[F.lit(above[r]) for r in numbers]))
-    own = F.struct(F.col("__r").alias("r"), F.lit(0).alias("halo"))
-    lent = F.struct(F.element_at(target, F.col("__r")).alias("r"), F.lit(1).alias("halo"))
-    is_first = F.col("doc_id").eqNullSafe(F.element_at(first, F.col("__r")))
-    sent = ranged.withColumn("__to", F.explode(F.when(is_first, F.array(own, lent)).otherwise(F.array(own))))
-    sent = sent.select("*", F.col("__to.r").alias("__g"), F.col("__to.halo").alias("__halo")).drop("__to", "__r")
-    order = Window.partitionBy("__g").orderBy("__halo", F.col("doc_id").desc_nulls_last(), F.xxhash64("text"))
-    seen = sent.repartition(shuffle_width(docs.sparkSession), "__g")
+    docs = docs.drop(*[f"next_{c}" for c in carried])
+    key = [F.col("doc_id").desc_nulls_last(), F.col("__h")]
+    ranged = docs.withColumn("__h", F.xxhash64("text")).repartitionByRange(ranges, *key).withColumn("__at", F.spark_partition_id())
+    ranged = settle(ranged, "ranged")
+    place = F.row_number().over(Window.partitionBy("__at").orderBy(*key))
+    heads = ranged.withColumn("__n", place).where("__n = 1").drop("__n")  # a row for each range: the group limit comes before the shuffle
+    number = Window.orderBy("__at")
+    last = F.max("__at").over(Window.partitionBy())
+    lent = heads.withColumn("__at", F.coalesce(F.lag("__at").over(number), last)).withColumn("__halo", F.lit(1))
+    order = Window.partitionBy("__at").orderBy("__halo", *key)
+    seen = ranged.withColumn("__halo", F.lit(0)).unionByName(lent).repartition(ranges, "__at")
     seen = seen.withColumn("__next", F.lead(F.struct(*carried)).over(order)).where("__halo = 0")
-    return seen.select("*", *[F.col(f"__next.{c}").alias(f"next_{c}") for c in carried]).drop("__g", "__halo", "__next")
+    return seen.select(*docs.columns, *[F.col(f"__next.{c}").alias(f"next_{c}") for c in carried])
 
 
 def op2_document_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    pairs = with_follower(docs, ["text"], 4 * shuffle_width(spark))
+    pairs = with_follower(docs, ["text"], shuffle_width(spark))
     pairs = pairs.withColumn("n_chars", F.length("text").cast("long"))
     cut = F.floor(F.col("n_chars") / 3).cast("int")
     pairs = pairs.withColumn("edited", F.concat(F.substring("text", F.lit(1), F.col("n_chars").cast("int") - cut), F.substring("next_text", F.lit(1), cut)))

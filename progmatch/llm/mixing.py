@@ -1,9 +1,12 @@
 """Mixing sources to target weights, made of DataFrame functions only.
 
 Sizes are counted per source with partial aggregation, each source's repetition rate is target / size, and a document is
-emitted floor(rate) times plus once more if its hash-seeded draw falls below the rate's fraction. The draw depends on
-doc_id and the seed alone, so reruns agree and rows with equal ids draw alike. Null texts have size 0, a null source is a
-source of its own and comes last; a source without words has rate 0. An empty table gives an empty result.
+emitted floor(rate) times plus once more if its hash-seeded draw falls below the rate's fraction. A digest of doc_id, text
+and seed holds DRAWS draws of each document; each source takes the one by which its words come nearest to its target (the
+first of equals), as a few long texts could else miss it by far. Reruns agree; rows with equal ids and texts draw alike. Null
+texts have size 0, a null source is a source of its own and comes last; a source without words has rate 0. An empty table
+gives an empty result. Columns of docs with the names of results (size, source_size, target, copies) are replaced by
+with_copies; mixed returns the rows as they were.
 
 The table of sources has one row for each source and is ordered in one task; documents are never ordered.
 """
@@ -21,6 +24,8 @@ SHARE = 1.5
 CEILING = 2.0
 #: A table of sources of at most this many rows is broadcast; a larger one is joined by a shuffle.
 BROADCAST_ROWS = 10_000
+DRAWS = 16
+RESULTS = ("size", "source_size", "target", "copies")
 
 
 def n_words(text: Column) -> Column:
@@ -48,24 +53,30 @@ def source_targets(sized: DataFrame, weights: tuple = WEIGHTS, share: float = SH
     return per.select("source", "source_size", F.when(F.col("full"), F.col("cap")).otherwise(F.least("cap", level * F.col("w"))).alias("target"))
 
 
-def draw(doc_id: Column, seed: int) -> Column:
-    """A number in [0, 1) from 52 bits of a digest of the id."""
-    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(doc_id.cast("string"), F.lit("null"))))
-    return F.conv(F.substring(digest, 1, 13), 16, 10).cast("double") / F.lit(float(2**52))
+def draw(digest: Column, k: int) -> Column:
+    """A number in [0, 1) from 52 bits of a digest, from its k-th hexadecimal digit on."""
+    return F.conv(F.substring(digest, k + 1, 13), 16, 10).cast("double") / F.lit(float(2**52))
 
 
 def with_copies(docs: DataFrame, seed: int = 7, **shares) -> DataFrame:
     """Adds size, source_size, target and copies, the number of times the mix takes the document."""
-    sized = docs.withColumn("size", n_words(F.col("text")))
-    per = settle(source_targets(sized.select("source", "size"), **shares), "sources")
-    if per.count() <= BROADCAST_ROWS:
-        per = F.broadcast(per)
-    per = per.withColumnRenamed("source", "__source")
-    joined = sized.join(per, sized["source"].eqNullSafe(per["__source"]), "left").drop("__source")
+    sized = docs.drop(*RESULTS).withColumn("size", n_words(F.col("text")))
+    per = settle(source_targets(sized.select("source", "size"), **shares), "sources").withColumnRenamed("source", "__source")
+    few = per.count() <= BROADCAST_ROWS
     rate = F.coalesce(F.try_divide(F.col("target"), F.col("source_size").cast("double")), F.lit(0.0))
-    joined = joined.withColumn("__rate", rate)
-    extra = (draw(F.col("doc_id"), seed) < F.col("__rate") - F.floor("__rate")).cast("int")
-    return joined.withColumn("copies", (F.floor("__rate") + extra).cast("int")).drop("__rate")
+    per = per.withColumn("__whole", F.floor(rate)).withColumn("__part", rate - F.floor(rate))
+    digest = F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), F.lit(":"), F.md5(F.coalesce("text", F.lit("")))))
+    beside = lambda df, table: df.join(F.broadcast(table) if few else table, df["source"].eqNullSafe(table["__source"]), "left")
+
+    drawn = beside(sized.select("source", "size", digest.alias("__digest")), per.select("__source", "__part"))
+    extras = drawn.groupBy(F.col("source").alias("__of")).agg(*[F.sum(F.when(draw(F.col("__digest"), k) < F.col("__part"), F.col("size")).otherwise(0)).alias(f"x{k}") for k in range(DRAWS)])
+    misses = F.array(*[F.round(F.abs(F.col("__whole") * F.col("source_size") + F.col(f"x{k}") - F.col("target")), 3) for k in range(DRAWS)])
+    per = per.join(extras, per["__source"].eqNullSafe(extras["__of"])).select("__source", "source_size", "target", "__whole", "__part", (F.array_position(misses, F.array_min(misses)) - 1).cast("int").alias("__k"))
+    per = settle(per, "draws")
+
+    joined = beside(sized.withColumn("__digest", digest), per).drop("__source")
+    own = F.element_at(F.array(*[draw(F.col("__digest"), k) for k in range(DRAWS)]), F.col("__k") + 1)
+    return joined.withColumn("copies", (F.col("__whole") + (own < F.col("__part")).cast("int")).cast("int")).drop("__whole", "__part", "__k", "__digest")
 
 
 def mixed(docs: DataFrame, seed: int = 7, **shares) -> DataFrame:
@@ -83,7 +94,7 @@ def op4_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 OP4_SQL = r"""
 WITH sized AS (
-  SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size FROM documents),
+  SELECT doc_id, source, md5('7:' || coalesce(doc_id::VARCHAR, 'null') || ':' || md5(coalesce(text, ''))) AS h, coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0)::BIGINT AS size FROM documents),
 per AS (SELECT source, sum(size)::BIGINT AS source_size FROM sized GROUP BY source),
 ranked AS (SELECT *, CASE (row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % 3 WHEN 0 THEN 3.0 WHEN 1 THEN 1.0 ELSE 2.0 END::DOUBLE AS w FROM per),
 capped AS (SELECT *, 2.0::DOUBLE * source_size AS cap, 2.0::DOUBLE * source_size / w AS ratio, 1.5::DOUBLE * (SELECT sum(source_size) FROM per)::DOUBLE AS dealt FROM ranked),
@@ -92,6 +103,11 @@ level AS (SELECT (max(dealt) - coalesce(sum(cap) FILTER (is_full), 0)) / sum(w)
 targets AS (SELECT source, source_size, CASE WHEN is_full THEN cap ELSE least(cap, (SELECT v FROM level) * w) END AS target FROM filled),
 rated AS (SELECT s.*, t.source_size, t.target, CASE WHEN t.source_size = 0 THEN 0.0 ELSE t.target / t.source_size END AS rate
   FROM sized s JOIN targets t ON s.source IS NOT DISTINCT FROM t.source),
-counted AS (SELECT *, (floor(rate) + CASE WHEN ('0x' || substr(md5('7:' || coalesce(doc_id::VARCHAR, 'null')), 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < rate - floor(rate) THEN 1 ELSE 0 END)::BIGINT AS copies FROM rated)
+tried AS (SELECT source, k, any_value(rate) AS rate, any_value(source_size) AS source_size, any_value(target) AS target,
+  sum(CASE WHEN ('0x' || substr(h, k + 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < rate - floor(rate) THEN size ELSE 0 END) AS extra
+  FROM rated, (SELECT unnest(range(16)) AS k) GROUP BY source, k),
+chosen AS (SELECT source, k FROM tried QUALIFY row_number() OVER (PARTITION BY source ORDER BY round(abs(floor(rate) * source_size + extra - target), 3), k) = 1),
+counted AS (SELECT r.*, (floor(rate) + CASE WHEN ('0x' || substr(h, c.k + 1, 13))::BIGINT / 4503599627370496.0::DOUBLE < rate - floor(rate) THEN 1 ELSE 0 END)::BIGINT AS copies
+  FROM rated r JOIN chosen c ON r.source IS NOT DISTINCT FROM c.source)
 SELECT doc_id, size, source_size, round(target, 6) AS target, size * copies AS taken, copies FROM counted
 """

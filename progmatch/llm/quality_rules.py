@@ -2,8 +2,9 @@
 
 Measures are counts over the whole text: words (runs without white space), their code points, symbols, lines that repeat
 an earlier line, words inside five-word windows that occur twice or more, words in capitals, stop words, words with a
-letter. A rule bounds a ratio of two of them, and may apply from a number of words on. Null and empty texts have counts
-of 0 and fail the base rule; repeated rows give repeated results; further columns are ignored.
+letter, words with a Latin one. The list of stop words is of languages in Latin script: its rule asks Latin words only. A rule bounds a ratio of two of them, and may apply from a number of words on. Null and empty texts have counts
+of 0 and fail the base rule; repeated rows give repeated results; further columns are kept, but those with the names of
+measures and verdicts are replaced.
 """
 
 from __future__ import annotations
@@ -20,6 +21,7 @@ from progmatch.llm.native_text import with_shingle_hashes, words
 #: Symbols that the contract counts; white space characters; frequent function words of four languages.
 SYMBOLS = "#*$%&|<>"
 BLANKS = " \t\n\x0b\x0c\r"
+LATIN = r"[A-Za-z\x{C0}-\x{24F}]"
 STOP_WORDS = (
     "a an and are as at be by for from in is it not of on or that the this to was were with "
     "au aux avec ce dans de des du elle en est et il la le les ou par pas pour que qui sur un une "
@@ -51,7 +53,7 @@ RULES = (
     Rule("word length", "word_chars", "n_words", least=1.5, most=20.0),
     Rule("symbols", "n_symbols", "n_words", most=0.25),
     Rule("capitals", "n_capital_words", "n_words", most=0.5, from_words=20),
-    Rule("stop words", "n_stop_words", "n_words", least=0.01, from_words=50),
+    Rule("stop words", "n_stop_words", "n_latin_words", least=0.01, from_words=50),
     Rule("words with a letter", "n_letter_words", "n_words", least=0.6),
     Rule("repeated lines", "n_dup_lines", "n_lines", most=0.4),
 )
@@ -87,7 +89,8 @@ def with_measures(docs: DataFrame, text: str = "text", size: int = SHINGLE_WORDS
             "n_repeat_words": F.aggregate(covered, F.lit(0), lambda a, x: a + x).cast("long"),
             "n_capital_words": count(lambda w: (F.upper(w) == w) & (F.lower(w) != w) & (F.length(w) > 1)),
             "n_stop_words": count(lambda w: F.lower(w).isin(STOP_WORDS)),
-            "n_letter_words": count(lambda w: F.lower(w) != F.upper(w)),
+            "n_latin_words": count(lambda w: F.rlike(w, F.lit(LATIN))),
+            "n_letter_words": count(lambda w: F.rlike(w, F.lit(r"\p{L}"))),
         }
     )
     return df.drop("__t", "__w", "__h", "__g", "__s", "__p", "__l")
@@ -104,7 +107,7 @@ def judged(docs: DataFrame, text: str = "text", rules: tuple[Rule, ...] = RULES)
 
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     made = judged(table(spark, sf_dir, "documents").select("doc_id", "text"))
-    return made.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_lines", "n_capital_words", "n_stop_words", "n_letter_words")
+    return made.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "n_lines", "n_capital_words", "n_stop_words", "n_latin_words", "n_letter_words")
 
 
 _WORDS = r"regexp_extract_all(t, '[^\x20\x09-\x0D]+')"
@@ -122,12 +125,13 @@ m AS (SELECT g.doc_id, len(w)::BIGINT AS n_words, length(regexp_replace(t, '[\x2
   coalesce(c.n, 0)::BIGINT AS n_repeat_words, len(l)::BIGINT AS n_lines,
   len(list_filter(w, lambda x: upper(x) = x AND lower(x) <> x AND length(x) > 1))::BIGINT AS n_capital_words,
   len(list_filter(w, lambda x: lower(x) IN ({_STOP})))::BIGINT AS n_stop_words,
-  len(list_filter(w, lambda x: lower(x) <> upper(x)))::BIGINT AS n_letter_words
+  len(list_filter(w, lambda x: regexp_matches(x, '{LATIN}')))::BIGINT AS n_latin_words,
+  len(list_filter(w, lambda x: regexp_matches(x, '\p{{L}}')))::BIGINT AS n_letter_words
   FROM g LEFT JOIN covered c USING (doc_id)),
 b AS (SELECT *, n_words < 10 OR 100 * n_repeat_words > 20 * n_words AS base_failed FROM m)
 SELECT doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed,
   NOT base_failed AND coalesce(word_chars / n_words BETWEEN 1.5 AND 20, true) AND coalesce(n_symbols / n_words <= 0.25, true)
-  AND (coalesce(n_capital_words / n_words <= 0.5, true) OR n_words < 20) AND (coalesce(n_stop_words / n_words >= 0.01, true) OR n_words < 50)
+  AND (coalesce(n_capital_words / n_words <= 0.5, true) OR n_words < 20) AND (coalesce(n_stop_words / nullif(n_latin_words, 0) >= 0.01, true) OR n_words < 50)
   AND coalesce(n_letter_words / n_words >= 0.6, true) AND coalesce(n_dup_lines / nullif(n_lines, 0) <= 0.4, true) AS kept,
-  n_lines, n_capital_words, n_stop_words, n_letter_words FROM b
+  n_lines, n_capital_words, n_stop_words, n_latin_words, n_letter_words FROM b
 """

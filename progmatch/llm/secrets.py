@@ -132,7 +132,8 @@ def _listed(spans: Column) -> Column:
 
 def op5_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    ledger = scan_ledger(docs)
+    # the rules come in two versions of the set: the second scan runs on each blob only what the ledger lacks
+    ledger = scan_ledger(docs, ledger=scan_ledger(docs, rules=BASE_RULES))
     found = with_findings(docs, ledger).select("doc_id", "secret_spans")
     base = F.filter("secret_spans", lambda s: s["kind"].isin([r.kind for r in BASE_RULES]))
     n = lambda kind: F.size(F.filter("secret_spans", lambda s: s["kind"] == kind)).cast("long").alias(f"n_{kind}")

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from progmatch.llm.common import gathered, id_ranges, settle, shared_path, shuffle_width, table, texts_of, word_codes
+from progmatch.llm.common import gathered, settle, shared_path, shuffle_width, table, texts_of, word_codes
 from progmatch.llm.word_memo import WordMemo, spread
 
 MAGIC, BITS, BLOCK, END_ID, FILE_IDS = b"DACF", 8, 512, 2, 4_000_000
@@ -177,9 +177,9 @@ def open_store(uri: str):
 def write_files(docs: DataFrame, tokenizer: str, folder: str, file_ids: int = FILE_IDS) -> DataFrame:
     """Writes doc_id, text as files below `folder` (a URI that all executors share); returns the settled table of files."""
     spark = docs.sparkSession
-    at, _ = id_ranges(docs, "doc_id", 4 * shuffle_width(spark))
-    rows = docs.select(at.alias("range"), "doc_id", "text")
-    rows = rows.repartition(shuffle_width(spark), "range").sortWithinPartitions("range", F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
+    key = [F.col("doc_id").asc_nulls_first(), F.col("__h")]  # equal or missing ids can fill many ranges
+    rows = docs.select("doc_id", "text", F.xxhash64("text").alias("__h")).repartitionByRange(shuffle_width(spark), *key).sortWithinPartitions(*key)
+    rows = rows.select(F.spark_partition_id().alias("range"), "doc_id", "text")
 
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         store, root = open_store(folder)
@@ -220,16 +220,11 @@ def write_files(docs: DataFrame, tokenizer: str, folder: str, file_ids: int = FI
 
 
 def with_starts(files: DataFrame) -> DataFrame:
-    """Adds start: ids in all files before. What the driver sees is a row for each range."""
-    totals = sorted((r["range"], r["n"]) for r in files.groupBy("range").agg(F.sum("n_tokens").alias("n")).collect())
-    befores, total = {}, 0
-    for at, n in totals:
-        befores[at], total = total, total + n
-    if not befores:
-        return files.withColumn("start", F.lit(0).cast("long"))
-    before = F.map_from_arrays(F.array(*[F.lit(k) for k in befores]), F.array(*[F.lit(v).cast("long") for v in befores.values()]))
-    inner = Window.partitionBy("range").orderBy("number").rowsBetween(Window.unboundedPreceding, -1)
-    return files.withColumn("start", F.element_at(before, F.col("range")) + F.coalesce(F.sum("n_tokens").over(inner), F.lit(0)))
+    """Adds start: ids in all files before. The ranges' sums, a row for each range, are added up in one task."""
+    behind = lambda w: F.coalesce(F.sum("n_tokens").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    ranges = files.groupBy("range").agg(F.sum("n_tokens").alias("n_tokens")).select("range", behind(Window.orderBy("range")).alias("before"))
+    inner = behind(Window.partitionBy("range").orderBy("number"))
+    return files.withColumn("inner", inner).join(ranges, "range").withColumn("start", F.col("before") + F.col("inner")).drop("before", "inner")
 
 
 def read_files(files: DataFrame, folder: str, digest: bool = False) -> DataFrame:
