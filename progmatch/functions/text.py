@@ -43,11 +43,16 @@ def _runs(parts: Column, n: int, between: str) -> Column:
 def register_sql(spark: SparkSession) -> None:
     """SQL functions word_ngrams(s, n), char_ngrams(s, n), sim_cosine(a, b), sim_euclid(a, b)."""
     ws = r"filter(split(lower(coalesce(s, '')), '[^\\p{L}\\p{N}]+'), w -> w <> '')"
-    norm = r"trim(regexp_replace(lower(coalesce(s, '')), '[^\\p{L}\\p{N}]+', ' '))"
+    chars = r"filter(split(trim(regexp_replace(lower(coalesce(s, '')), '[^\\p{L}\\p{N}]+', ' ')), ''), c -> c <> '')"
+
+    def runs(parts: str, between: str) -> str:  # the parts are a lambda's variable: made once for each text
+        some = f"transform(sequence(0, size(p) - n), i -> array_join(slice(p, i + 1, n), '{between}'))"
+        return f"get(transform(array({parts}), p -> CASE WHEN size(p) >= n THEN {some} WHEN size(p) > 0 THEN array(array_join(p, '{between}')) ELSE CAST(array() AS ARRAY<STRING>) END), 0)"
+
     dot = "aggregate(zip_with(%s, %s, (x, y) -> cast(x as double) * cast(y as double)), cast(0 as double), (t, v) -> t + v)"
     for sql in (
-        f"word_ngrams(s STRING, n INT) RETURNS ARRAY<STRING> RETURN SELECT CASE WHEN size(w) >= n THEN transform(sequence(0, size(w) - n), i -> array_join(slice(w, i + 1, n), ' ')) WHEN size(w) > 0 THEN array(array_join(w, ' ')) ELSE CAST(array() AS ARRAY<STRING>) END FROM (SELECT {ws} AS w)",
-        f"char_ngrams(s STRING, n INT) RETURNS ARRAY<STRING> RETURN SELECT CASE WHEN length(t) >= n THEN transform(sequence(1, length(t) - n + 1), i -> substr(t, i, n)) WHEN length(t) > 0 THEN array(t) ELSE CAST(array() AS ARRAY<STRING>) END FROM (SELECT {norm} AS t)",
+        f"word_ngrams(s STRING, n INT) RETURNS ARRAY<STRING> RETURN {runs(ws, ' ')}",
+        f"char_ngrams(s STRING, n INT) RETURNS ARRAY<STRING> RETURN {runs(chars, '')}",
         f"sim_cosine(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN coalesce(try_divide({dot % ('a', 'b')}, sqrt({dot % ('a', 'a')}) * sqrt({dot % ('b', 'b')})), 0)",
         "sim_euclid(a ARRAY<DOUBLE>, b ARRAY<DOUBLE>) RETURNS DOUBLE RETURN 1 / (1 + sqrt(aggregate(zip_with(a, b, (x, y) -> (x - y) * (x - y)), cast(0 as double), (t, v) -> t + v)))",
     ):

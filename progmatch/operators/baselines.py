@@ -10,23 +10,24 @@ from progmatch.operators.blocking import block_graph, refined
 from progmatch.operators.dense import dense_candidates
 from progmatch.operators.encoders import encode
 from progmatch.operators.order import positioned
-from progmatch.operators.pairs import meet
+from progmatch.operators.pairs import meet_evenly
 from progmatch.operators.schedule import schedule
 from progmatch.operators.sortedlist import sorted_candidates
-from progmatch.operators.sparse import doc_freq, nearest, term_counts
+from progmatch.operators.sparse import doc_freq, encode_grams, nearest, term_counts
 from progmatch.sources.profiles import Task
 
 
 def baseline_bm25(task: Task, k: int = 5, index: str = "largest", tokenizer: str = "char3", k1: float = 1.2, b: float = 0.75) -> DataFrame:
     """(l, r, w): each query's k best by BM25 of the grams it shares. In dedup every profile queries all others."""
-    counts = term_counts(task, tokenizer)
+    counts = encode_grams(term_counts(task, tokenizer))
     lengths = counts.groupBy("source", "pid").agg(F.sum("cnt").alias("len"))
     stats = lengths.agg(F.avg("len").alias("avg"), F.count(F.lit(1)).alias("n")).first()
     n, avg = float(stats["n"]), float(stats["avg"] or 1)
     idf = F.ln(1 + (n - F.col("df") + 0.5) / (F.col("df") + 0.5))
     tf = F.col("cnt") * (k1 + 1) / (F.col("cnt") + k1 * (1 - b + b * F.col("len") / avg))
-    rows = counts.join(doc_freq(counts), "gram").join(lengths, ["source", "pid"]).select("gram", "source", "pid", (idf * tf).alias("s"))
-    met = meet(rows, "gram", task.linkage, ["s"], [])
+    sizes = doc_freq(counts)
+    rows = counts.join(sizes, "gram").join(lengths, ["source", "pid"]).select("gram", "source", "pid", (idf * tf).alias("s"))
+    met = meet_evenly(rows, "gram", sizes.withColumnRenamed("df", "n"), task.linkage, ["s"], [])
     sums = met.groupBy("l", "r").agg(F.round(F.sum("s_r"), 9).alias("as_query_l"), F.round(F.sum("s_l"), 9).alias("as_query_r"))
     if not task.linkage:
         from pyspark.sql.window import Window
@@ -47,8 +48,8 @@ def baseline_bm25(task: Task, k: int = 5, index: str = "largest", tokenizer: str
 
 def baseline_block_progressive(task: Task, budget: int, purge: str = "size", ratio: float | None = 0.8) -> DataFrame:
     """(pos, l, r, w): blocks from the smallest on; a pair belongs to its first block; inside a block by CN-CB."""
-    blocks, _ = refined(task, purge, ratio)
-    pairs = meet(blocks.withColumn("bk", F.col("bkey")), "bkey", task.linkage, [], ["card", "bk"])
+    blocks, stats = refined(task, purge, ratio)
+    pairs = meet_evenly(blocks.withColumn("bk", F.col("bkey")), "bkey", stats.select("bkey", "n"), task.linkage, [], ["card", "bk"])
     first = pairs.groupBy("l", "r").agg(F.min(F.struct("card", "bk")).alias("k"), F.round(F.sum(1 / F.col("card")), 9).alias("w"))
     flat = first.select("l", "r", "w", F.col("k.card").alias("c"), F.col("k.bk").alias("b"), (-F.col("w")).alias("o"))
     return positioned(flat, ["c", "b", "o", "l", "r"], limit=budget).select("pos", "l", "r", "w")
@@ -74,8 +75,9 @@ def self_supervised_vectors(task: Task, encoder: str = "hash-words", dims: int =
     """
     vectors = encode(task, encoder, dims)
     n = max(1, task.profiles.count())
-    picked = vectors.where(F.pmod(F.xxhash64("pid", F.lit(seed)), F.lit(1_000_000)) < int(min(1.0, sample_rows / n) * 1_000_000) + 1).select("vec").limit(2 * sample_rows)
-    x = np.array([r[0] for r in picked.collect()], dtype=np.float64)
+    draw = F.xxhash64("source", "pid", F.lit(seed))
+    picked = vectors.where(F.pmod(draw, F.lit(1_000_000)) < int(min(1.0, sample_rows / n) * 1_000_000) + 1).orderBy(draw, "source", "pid").limit(2 * sample_rows)
+    x = np.array([r["vec"] for r in picked.select("vec").collect()], dtype=np.float64)
     if len(x) < 4:
         return vectors
     rng = np.random.default_rng(seed)

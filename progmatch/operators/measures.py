@@ -76,11 +76,16 @@ def schedule_overlap(a: DataFrame, b: DataFrame, n: int) -> DataFrame:
     return x.join(y, ["l", "r"]).agg((F.count(F.lit(1)) / F.lit(float(max(n, 1)))).alias("overlap"))
 
 
+def sign_counts(results: DataFrame, name: str, a: str, b: str, measure: str = "pr", keys: tuple[str, ...] = ("dataset", "budget")) -> DataFrame:
+    """(up, down): on how many keys a (a value of column `name`) is above b, and below."""
+    x, y = (results.where(F.col(name) == v).select(*keys, F.col(measure).alias(m)) for v, m in ((a, "x"), (b, "y")))
+    count = lambda c: F.coalesce(F.sum(c.cast("long")), F.lit(0)).cast("long")
+    return x.join(y, list(keys)).agg(count(F.col("x") > F.col("y")).alias("up"), count(F.col("x") < F.col("y")).alias("down"))
+
+
 def sign_test(results: DataFrame, name: str, a: str, b: str, measure: str = "pr", keys: tuple[str, ...] = ("dataset", "budget")) -> float:
     """Two-sided p-value that a and b (values of column `name`) are alike: the driver sees one row of counts."""
-    x, y = (results.where(F.col(name) == v).select(*keys, F.col(measure).alias(m)) for v, m in ((a, "x"), (b, "y")))
-    row = x.join(y, list(keys)).agg(F.sum((F.col("x") > F.col("y")).cast("int")).alias("up"), F.sum((F.col("x") < F.col("y")).cast("int")).alias("down")).first()
-    up, down = row["up"] or 0, row["down"] or 0
+    up, down = sign_counts(results, name, a, b, measure, keys).first()
     n = up + down
     return min(1.0, 2 * sum(comb(n, k) for k in range(min(up, down) + 1)) / 2**n) if n else 1.0
 

@@ -32,3 +32,9 @@ def meet(rows: DataFrame, key: str, linkage: bool, carried: list[str], shared: l
     if cells:  # parts a and b meet in the cell (a, b) only, a part with itself in (a, a)
         joined = joined.where("least(part_l, part_r) = a and greatest(part_l, part_r) = b")
     return joined.select("l", "r", *shared, *[f"{c}_{s}" for c in carried for s in "lr"])
+
+
+def meet_evenly(rows: DataFrame, key: str, sizes: DataFrame, linkage: bool, carried: list[str], shared: list[str], limit: int = KEY_ROWS) -> DataFrame:
+    """meet, with keys of over `limit` rows cut into cells. sizes: (key, n); only such keys make the cut necessary."""
+    hot = sizes.where(F.col("n") > limit).limit(1).count() > 0
+    return meet(with_cells(rows.drop("n"), key, sizes, limit) if hot else rows, key, linkage, carried, shared, cells=hot)

@@ -12,6 +12,8 @@ from progmatch.sources.profiles import Task
 
 SORTED_WEIGHTS = ("acf", "ncf", "dncf", "cncf", "id")
 SCOPES = ("local", "global")
+#: Weights that are sums over the position pairs, without any number of the profiles.
+PLAIN_WEIGHTS = ("acf", "id")
 BUCKET_ROWS = 50_000
 
 
@@ -35,14 +37,18 @@ def window_pairs(listed: DataFrame, window: int, linkage: bool, strict: bool = F
     edge = F.pmod(F.col("pos") - 1, F.lit(bucket)) < reach
     rows = listed.select("pos", "source", "pid", F.explode(F.when(edge & (at > 0), F.array(at, at - 1)).otherwise(F.array(at))).alias("b"), at.alias("own"))
     order = Window.partitionBy("b").orderBy("pos")
-    nexts = F.array(*[F.struct(F.lit(d).alias("d"), F.lead("pid", d).over(order).alias("pid"), F.lead("source", d).over(order).alias("source")) for d in range(1, reach + 1)]) if reach else F.array().cast("array<struct<d:int,pid:bigint,source:string>>")
-    seen = rows.withColumn("n", nexts).where("b = own").select("pid", "source", F.explode("n").alias("n"))
-    pairs = seen.where(F.col("n.pid").isNotNull())
+    # one frame for each distance: a profile is its id, and in linkage its side as the lowest bit
+    left = F.col("source") == "L"
+    rows = rows.withColumn("key", 2 * F.col("pid") + F.when(left, 0).otherwise(1) if linkage else F.col("pid"))
+    ahead = {f"__{d}": F.lead("key", d).over(order) for d in range(1, reach + 1)}
+    seen = rows.withColumns(ahead).where("b = own")
+    nexts = F.array(*[F.struct(F.lit(d).alias("d"), F.col(f"__{d}").alias("key")) for d in range(1, reach + 1)]) if reach else F.array().cast("array<struct<d:int,key:bigint>>")
+    pairs = seen.select("key", F.explode(nexts).alias("n")).select("key", F.col("n.d").alias("d"), F.col("n.key").alias("next")).where(F.col("next").isNotNull())
     if linkage:
-        pairs = pairs.where(F.col("source") != F.col("n.source"))
-        return pairs.select(F.when(F.col("source") == "L", F.col("pid")).otherwise(F.col("n.pid")).alias("l"), F.when(F.col("source") == "L", F.col("n.pid")).otherwise(F.col("pid")).alias("r"), F.col("n.d").alias("d"))
-    pairs = pairs.where(F.col("pid") != F.col("n.pid"))
-    return pairs.select(F.least("pid", F.col("n.pid")).alias("l"), F.greatest("pid", F.col("n.pid")).alias("r"), F.col("n.d").alias("d"))
+        first = F.col("key").bitwiseAND(1) == 0
+        pairs = pairs.where(F.col("key").bitwiseAND(1) != F.col("next").bitwiseAND(1))
+        return pairs.select(F.shiftright(F.when(first, F.col("key")).otherwise(F.col("next")), 1).alias("l"), F.shiftright(F.when(first, F.col("next")).otherwise(F.col("key")), 1).alias("r"), "d")
+    return pairs.where(F.col("key") != F.col("next")).select(F.least("key", "next").alias("l"), F.greatest("key", "next").alias("r"), "d")
 
 
 def pair_histogram(pairs: DataFrame, window: int) -> DataFrame:
@@ -51,6 +57,19 @@ def pair_histogram(pairs: DataFrame, window: int) -> DataFrame:
     return pairs.groupBy("l", "r").agg(F.array(*sums).alias("h"))
 
 
+def histogram_of(listed: DataFrame, window: int, linkage: bool) -> DataFrame:
+    return pair_histogram(window_pairs(listed, window, linkage), window)
+
+
+def plain_weights(listed: DataFrame, weight: str, scope: str, window: int, linkage: bool, strict: bool = False) -> DataFrame:
+    """(l, r, w) of a weight in PLAIN_WEIGHTS: added up at once, without a histogram."""
+    reach = window - 1 if strict else window
+    pairs = window_pairs(listed, window, linkage, strict)
+    share = F.lit(1.0) if weight == "acf" else 1 / F.col("d")
+    times = reach + 1 - F.col("d") if scope == "global" else F.lit(1)
+    return pairs.groupBy("l", "r").agg(F.round(F.sum(share * times), 9).alias("w"))
+
+
 def list_nodes(listed: DataFrame) -> DataFrame:
     """(source, pid, p): positions of each profile."""
     return listed.groupBy("source", "pid").agg(F.count(F.lit(1)).alias("p"))
@@ -93,9 +112,9 @@ def sorted_candidates(task: Task, weight: str = "id", window: int = 10, scope: s
     """(l, r, w) edges."""
     listed = sorted_list(task, seed)
     reach = window - 1 if strict else window
-    found = pair_histogram(window_pairs(listed, reach, task.linkage), reach)
-    if weight not in ("acf", "id"):
-        found = with_positions(found, list_nodes(listed), task.linkage)
+    if weight in PLAIN_WEIGHTS and scope in SCOPES:
+        return plain_weights(listed, weight, scope, window, task.linkage, strict).where("w > 0")
+    found = with_positions(histogram_of(listed, reach, task.linkage), list_nodes(listed), task.linkage)
     return found.select("l", "r", F.round(sorted_weight(weight, scope, reach), 9).alias("w")).where("w > 0")
 
 

@@ -20,6 +20,11 @@ def term_counts(task: Task, tokenizer: str) -> DataFrame:
     return grams.groupBy("source", "pid", "gram").agg(F.count(F.lit(1)).alias("cnt"))
 
 
+def encode_grams(counts: DataFrame) -> DataFrame:
+    """The same rows with 64-bit ids for grams: what posting joins shuffle. Two of V grams share an id with odds of V^2 / 2^65."""
+    return counts.withColumn("gram", F.xxhash64("gram"))
+
+
 def doc_freq(counts: DataFrame) -> DataFrame:
     return counts.groupBy("gram").agg(F.count(F.lit(1)).alias("df"))
 
@@ -111,7 +116,7 @@ def nearest_stack(stacked: DataFrame, ks: tuple[int, ...], linkage: bool, sizes:
 
 def sparse_pairs(task: Task, tokenizer: str, scorings: tuple[str, ...], max_df: int | None = None) -> DataFrame:
     sizes = task.sizes()
-    counts = term_counts(task, tokenizer)
+    counts = encode_grams(term_counts(task, tokenizer))
     return dot_products(scored(counts, sum(sizes.values()), scorings, max_df), task.linkage, scorings)
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import json
+from collections.abc import Callable
 from dataclasses import asdict, dataclass, field
 from functools import reduce
 from itertools import product
@@ -15,7 +16,11 @@ from progmatch.operators import blocking, dense, encoders, measures, sortedlist,
 from progmatch.operators.matching import Budget, Matcher, run_matching
 from progmatch.operators.schedule import SCHEDULERS, schedule
 from progmatch.session import settle
-from progmatch.sources.profiles import MultiSource, Task
+from progmatch.sources.profiles import Linkage, MultiSource, Task
+
+
+#: A configuration's pairs are ranked in so many lots first.
+LOTS = 32
 
 
 @dataclass(frozen=True)
@@ -158,6 +163,27 @@ def batch_resolve(task: Task, config, matcher: Matcher) -> DataFrame:
     return matcher(edges.withColumn("pos", F.lit(None).cast("long")).select("pos", "l", "r", "w"))
 
 
+def resolve_series(profiles: DataFrame, config, matcher: Callable[[DataFrame, Task], DataFrame], budget: int, scheduler: str = "edge") -> DataFrame:
+    """(l, r, step): links of more than two sources, one source after another in the order of their names.
+
+    Each step links what is known so far with the next source. A record of it that matches adds its text to the record it
+    matches; the others join what is known. pids are unique over all sources; matcher decides on (pos, l, r, w) of a task.
+    """
+    names = sorted(r[0] for r in profiles.select("source").distinct().collect())
+    of = lambda s: profiles.where(F.col("source") == s).select("pid", "text")
+    known, parts = of(names[0]), []
+    for step, name in enumerate(names[1:], 1):
+        task = Linkage(known, of(name))
+        order = schedule(candidates(task, config), scheduler, budget, True)
+        found = matcher(order, task).where("is_match").groupBy("r").agg(F.min_by("l", "pos").alias("l"))
+        links = settle(found.select("l", "r", F.lit(step).alias("step")), "links")
+        own = known.withColumn("at", F.lit(0)).unionByName(of(name).join(links.select(F.col("r").alias("pid"), "l"), "pid", "left").select(F.coalesce("l", "pid").alias("pid"), "text", F.lit(1).alias("at")))
+        texts = F.transform(F.sort_array(F.collect_list(F.struct("at", "text"))), lambda x: x["text"])
+        known = settle(own.groupBy("pid").agg(F.array_join(texts, " ").alias("text")), "merged")
+        parts.append(links)
+    return reduce(DataFrame.unionByName, parts) if parts else profiles.select(F.col("pid").alias("l"), F.col("pid").alias("r"), F.lit(0).alias("step")).limit(0)
+
+
 def all_pairs(task: Task, most_pairs: int = 10_000_000) -> DataFrame:
     """Every pair; refused beyond most_pairs."""
     sizes = task.sizes()
@@ -183,7 +209,7 @@ def evaluate(dataset: str, family: str, name: str, edges: DataFrame, truth: Data
 def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], linkage: bool, kind: str = "edge", anchor: str = "left") -> DataFrame:
     """(config, scheduler, budget, found, recall, pr) of many configurations at once. stacked: (config, l, r, w).
 
-    One window ranks every configuration's pairs, cut at the largest budget while ranking, and one aggregation of the hits
+    Windows rank every configuration's pairs in lots and then the first of all lots, cut at the largest budget, and one aggregation of the hits
     serves all budgets: the cost of a grid is that of one run, not one plan for each configuration.
     """
     if kind not in SCHEDULERS:
@@ -205,7 +231,10 @@ def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], lin
             first = F.col("best") == 1
             order = [F.when(first, 1).otherwise(2), F.when(first, -F.col("w")).otherwise(F.col("k.s")), F.when(first, F.col("l")).otherwise(F.col("k.node")), F.when(first, F.col("r")).otherwise(F.col("k.t").cast("long"))]
         order += [F.col("l"), F.col("r")]
-    placed = edges.withColumn("pos", F.row_number().over(Window.partitionBy("config").orderBy(*order))).where(F.col("pos") <= most)
+    # what is not among the first of its lot is not among the first of its configuration, so no task ranks all pairs of one
+    lot = F.pmod(F.xxhash64("l", "r"), F.lit(LOTS))
+    first = edges.withColumn("pos", F.row_number().over(Window.partitionBy("config", lot).orderBy(*order))).where(F.col("pos") <= most)
+    placed = first.withColumn("pos", F.row_number().over(Window.partitionBy("config").orderBy(*order))).where(F.col("pos") <= most)
     names = stacked.select("config").distinct()
     found = placed.join(truth.select("l", "r"), ["l", "r"], "left_semi").select("config", "pos")
     asked = names.withColumn("budget", F.explode(F.array(*[F.lit(b).cast("long") for b in sorted(set(budgets))])))

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from progmatch.functions.text import with_grams
 from progmatch.operators.encoders import jittered
+from progmatch.operators.pairs import meet_evenly
 from progmatch.session import settle
 from progmatch.sources.profiles import Task, to_profiles
 
@@ -26,6 +27,10 @@ def once(spark: SparkSession, sf_dir: str, name: str, make: Callable[[], DataFra
     return _KEPT[key]
 
 
+def kept(spark: SparkSession, sf_dir: str, name: str) -> bool:
+    return (spark.sparkContext.applicationId, sf_dir, name) in _KEPT
+
+
 def forget() -> None:
     """Everything is computed anew from here on."""
     _KEPT.clear()
@@ -33,10 +38,10 @@ def forget() -> None:
 
 def shingle_truth(profiles: DataFrame, least: float = 0.5) -> DataFrame:
     """(l, r): pairs whose sets of three-word shingles have a Jaccard similarity of `least` or more."""
-    rows = with_grams(profiles, "word3").select("pid", F.explode(F.array_distinct("grams")).alias("g"))
+    rows = with_grams(profiles, "word3").select("source", "pid", F.explode(F.array_distinct("grams")).alias("g")).withColumn("g", F.xxhash64("g"))
     sizes = rows.groupBy("pid").agg(F.count(F.lit(1)).alias("n"))
-    a, b = rows.select("g", F.col("pid").alias("l")), rows.select("g", F.col("pid").alias("r"))
-    both = a.join(b, "g").where("l < r").groupBy("l", "r").agg(F.count(F.lit(1)).alias("c"))
+    often = rows.groupBy("g").agg(F.count(F.lit(1)).alias("n"))
+    both = meet_evenly(rows, "g", often, False, [], []).groupBy("l", "r").agg(F.count(F.lit(1)).alias("c"))
     for side in "lr":
         both = both.join(sizes.select(F.col("pid").alias(side), F.col("n").alias(f"n_{side}")), side)
     return both.where(F.col("c") >= least * (F.col("n_l") + F.col("n_r") - F.col("c"))).select("l", "r")
@@ -60,8 +65,8 @@ class Fixtures:
 
     def exact_truth(self) -> DataFrame:
         """Equal texts: pairs of the ids of each text."""
-        d = self._table("documents").select("doc_id", "text")
-        return d.select(F.col("doc_id").alias("l"), "text").join(d.select(F.col("doc_id").alias("r"), "text"), "text").where("l < r").select("l", "r")
+        d = self._table("documents").where("text is not null").select(F.lit("L").alias("source"), F.col("doc_id").alias("pid"), F.sha2("text", 256).alias("t"))
+        return meet_evenly(d, "t", d.groupBy("t").agg(F.count(F.lit(1)).alias("n")), False, [], [])
 
     def docs_linkage(self) -> Task:
         def make() -> DataFrame:

@@ -24,17 +24,17 @@ def _stats(name: str, rows: str, linkage: bool) -> str:
     return f"{name} AS (SELECT bkey, count(*) AS n, count(*) * (count(*) - 1) // 2 AS card FROM {rows} GROUP BY 1 HAVING count(*) > 1)"
 
 
-def blocks(linkage: bool) -> str:
-    return f"""{LINKAGE if linkage else DOCS}, {TOKENS}, {_stats("st0", "tok", linkage)},
+def blocks(linkage: bool, profiles: str | None = None) -> str:
+    return f"""{profiles or (LINKAGE if linkage else DOCS)}, {TOKENS}, {_stats("st0", "tok", linkage)},
 st1 AS (SELECT * FROM st0 WHERE 2 * n <= (SELECT count(*) FROM p)),
 rk AS (SELECT tok.*, row_number() OVER (PARTITION BY source, pid ORDER BY card, bkey) AS place, count(*) OVER (PARTITION BY source, pid) AS m FROM tok JOIN st1 USING (bkey)),
 b2 AS (SELECT source, pid, bkey FROM rk WHERE place <= ceil(0.8::DOUBLE * m)), {_stats("st2", "b2", linkage)},
 b AS (SELECT b2.*, n, card FROM b2 JOIN st2 USING (bkey))"""
 
 
-def graph(linkage: bool) -> str:
+def graph(linkage: bool, profiles: str | None = None) -> str:
     on = "x.source = 'L' AND y.source = 'R'" if linkage else "x.pid < y.pid"
-    return f"{blocks(linkage)}, g AS (SELECT x.pid AS l, y.pid AS r, count(*) AS cb, sum(1.0::DOUBLE / x.n) AS sn, sum(1.0::DOUBLE / x.card) AS cn FROM b x JOIN b y ON x.bkey = y.bkey AND {on} GROUP BY ALL)"
+    return f"{blocks(linkage, profiles)}, g AS (SELECT x.pid AS l, y.pid AS r, count(*) AS cb, sum(1.0::DOUBLE / x.n) AS sn, sum(1.0::DOUBLE / x.card) AS cn FROM b x JOIN b y ON x.bkey = y.bkey AND {on} GROUP BY ALL)"
 
 
 _GRID = f"""{graph(True)},
@@ -50,14 +50,14 @@ _WEIGHTS = {
 }
 
 
-def listed(linkage: bool) -> str:
+def listed(linkage: bool, profiles: str | None = None) -> str:
     tie = "md5(bkey || '|' || source || ':' || pid::VARCHAR || '|0')"
-    return f"{LINKAGE if linkage else DOCS}, {TOKENS}, ls AS (SELECT row_number() OVER (ORDER BY bkey, {tie}) AS pos, bkey AS token, source, pid FROM tok)"
+    return f"{profiles or (LINKAGE if linkage else DOCS)}, {TOKENS}, ls AS (SELECT row_number() OVER (ORDER BY bkey, {tie}) AS pos, bkey AS token, source, pid FROM tok)"
 
 
-def histogram(window: int) -> str:
+def histogram(window: int, profiles: str | None = None) -> str:
     sums = ", ".join(f"count(*) FILTER (d = {d}) AS h{d}" for d in range(1, window + 1))
-    return f"""{listed(True)},
+    return f"""{listed(True, profiles)},
 wp AS (SELECT CASE WHEN a.source = 'L' THEN a.pid ELSE z.pid END AS l, CASE WHEN a.source = 'L' THEN z.pid ELSE a.pid END AS r, z.pos - a.pos AS d
   FROM (SELECT *, unnest(range(1, {window + 1})) AS k FROM ls) a JOIN ls z ON z.pos = a.pos + a.k WHERE a.source <> z.source),
 hs AS (SELECT l, r, {sums} FROM wp GROUP BY 1, 2),
@@ -111,12 +111,14 @@ def vectors(tokenizer: str, profiles: str, scoring: str) -> str:
 vx AS (SELECT source, pid, gram, {made} AS s FROM tc0 JOIN df0 USING (gram) JOIN mx0 USING (source, pid))"""
 
 
-def sparse_pairs(tokenizer: str, scoring: str, sim: str, linkage: bool) -> str:
+def sparse_pairs(tokenizer: str, scoring: str, sim: str, linkage: bool, profiles: str | None = None, guard: bool = False) -> str:
     on = "x.source = 'L' AND y.source = 'R'" if linkage else "x.pid < y.pid"
     w = "coalesce(d / nullif(sqrt(a.q * b.q), 0), 0)" if sim == "cosine" else "1 / (1 + sqrt(greatest(0, a.q + b.q - 2 * d)))"
-    return f"""{vectors(tokenizer, LINKAGE if linkage else DOCS, scoring)}, nv AS (SELECT source, pid, sum(s * s) AS q FROM vx GROUP BY ALL),
+    if guard and sim == "euclid":  # equal vectors are at distance 0, whatever the rounding of their sums
+        w = "1 / (1 + sqrt(CASE WHEN a.q + b.q - 2 * d > 1e-12::DOUBLE * (a.q + b.q) THEN a.q + b.q - 2 * d ELSE 0 END))"
+    return f"""{vectors(tokenizer, profiles or (LINKAGE if linkage else DOCS), scoring)}, nv AS (SELECT source, pid, sum(s * s) AS q FROM vx GROUP BY ALL),
 dt AS (SELECT x.pid AS l, y.pid AS r, sum(x.s * y.s) AS d FROM vx x JOIN vx y ON x.gram = y.gram AND {on} GROUP BY ALL),
-sw AS (SELECT * FROM (SELECT l, r, round({w}, 9) AS w FROM dt JOIN nv a ON a.pid = l JOIN nv b ON b.pid = r) WHERE w > 0)"""
+sw AS (SELECT * FROM (SELECT l, r, round({w}, 9) AS w FROM dt JOIN nv a ON a.pid = l{" AND a.source = 'L'" if linkage else ""} JOIN nv b ON b.pid = r{" AND b.source = 'R'" if linkage else ""}) WHERE w > 0)"""
 
 
 def nearest(pairs: str, k: int, side: str, linkage: bool = True, sizes: str = "(SELECT count(*) FROM p WHERE source = 'L') <= (SELECT count(*) FROM p WHERE source = 'R')") -> str:
@@ -152,6 +154,91 @@ tb AS (SELECT budget, nt, (SELECT count(*) FROM hit WHERE pos <= budget) AS foun
 res AS (SELECT budget::BIGINT AS budget, nt::BIGINT AS n_truth, found::BIGINT AS found, round(found / nt::DOUBLE, 9) AS recall, round({pr}, 9) AS pr FROM tb)"""
 
 
+BENCH = """p AS (SELECT 'L' AS source, item_id AS pid, text FROM benchmark UNION ALL SELECT 'R', doc_id, text FROM documents),
+truth_l AS (SELECT item_id AS l, doc_id AS r FROM benchmark b JOIN documents d ON contains(d.text, b.text))"""
+
+
+def customers(strength: str = "light") -> str:
+    """Customers against edited copies under other names and in another order."""
+    steps, last = ["c0 AS (SELECT c_custkey AS k, c_name AS nm, c_mktsegment AS seg, c_acctbal::VARCHAR AS bal, c_acctbal AS ab, n_name AS nat FROM customer LEFT JOIN nation ON c_nationkey = n_nationkey)"], "c0"
+    for i, shift in enumerate({"light": (0,), "medium": (0, 2), "heavy": (0, 2, 4)}[strength], 1):
+        e, n = f"((k + {shift}) % 7)", "length(nm)"
+        name = f"CASE {e} WHEN 0 THEN substr(nm, 1, {n} - 1) WHEN 1 THEN substr(nm, 1, {n} - 2) || substr(nm, {n}, 1) || substr(nm, {n} - 1, 1) WHEN 6 THEN substr(nm, 1, {n} - 4) || ' ' || substr(nm, {n} - 3, 4) ELSE nm END"
+        steps.append(f"c{i} AS (SELECT k, {name} AS nm, CASE WHEN {e} = 4 THEN substr(seg, 1, 3) ELSE seg END AS seg, CASE {e} WHEN 2 THEN '' WHEN 5 THEN round(ab)::BIGINT::VARCHAR ELSE bal END AS bal, ab, CASE WHEN {e} = 3 THEN '' ELSE nat END AS nat FROM {last})")
+        last = f"c{i}"
+    return ", ".join(steps) + f""",
+p AS (SELECT 'L' AS source, k AS pid, concat_ws(' ', nm, seg, bal, nat) AS text FROM c0 UNION ALL SELECT 'R', k, concat_ws(' ', nat, nm, bal, seg) FROM {last}),
+truth_l AS (SELECT k AS l, k AS r FROM c0)"""
+
+
+LINKAGES = {"docs_linkage": LINKAGE, "bench_linkage": BENCH, "cust_linkage": customers()}
+#: Edges of the best configuration of each family under each scheduler, as SQL.
+_BEST_EDGES = {
+    "block": {"edge": "cn", "breadth": "cb", "depth": "sn", "hybrid": "cb"},
+    "sorted": {"edge": ("id", "global", 10), "breadth": ("acf", "global", 10), "depth": ("dncf", "global", 1), "hybrid": ("acf", "global", 10)},
+    "sparse": {"edge": ("word1", "cosine", 10, "largest"), "breadth": ("char5", "euclid", 5, "both"), "depth": ("word1", "cosine", 1, "both"), "hybrid": ("char5", "euclid", 5, "both")},
+}
+
+
+def family_edges(family: str, kind: str, profiles: str, config: tuple | None = None) -> tuple[str, str]:
+    """(common tables, select of l, r, w) of the best configuration, or of another one of the sparse family."""
+    if family == "block":
+        return graph(True, profiles), f"SELECT l, r, {_BEST_EDGES['block'][kind]} AS w FROM g"
+    if family == "sorted":
+        return histogram(10, profiles), f"SELECT l, r, {sorted_expr(*_BEST_EDGES['sorted'][kind])} AS w FROM h"
+    tokenizer, sim, k, side = config or _BEST_EDGES["sparse"][kind]
+    return sparse_pairs(tokenizer, "tfidf", sim, True, profiles, guard=True), nearest("sw", k, side)
+
+
+def curve(dataset: str, family: str, kind: str, profiles: str, multiples: tuple[int, ...], config: tuple | None = None) -> str:
+    ctes, edges = family_edges(family, kind, profiles, config)
+    sched = order(edges, kind, f"{max(multiples)} * (SELECT count(*) FROM truth_l)", True)
+    return f"""SELECT * FROM (WITH {ctes}, hit AS (SELECT pos FROM ({sched}) s WHERE EXISTS (SELECT 1 FROM truth_l t WHERE t.l = s.l AND t.r = s.r)),
+nt AS (SELECT count(*) AS nt FROM truth_l), bd AS (SELECT m, m * nt AS budget, nt FROM nt, (SELECT unnest({list(multiples)}) AS m)),
+tb AS (SELECT m, budget, nt, (SELECT count(*) FROM hit WHERE pos <= budget) AS found, coalesce((SELECT sum(budget - pos + 1) FROM hit WHERE pos <= budget), 0)::DOUBLE AS area FROM bd)
+SELECT '{dataset}' AS dataset, '{family}' AS family, '{kind}' AS config, '{kind}' AS scheduler, budget::BIGINT AS budget, nt::BIGINT AS n_truth, found::BIGINT AS found, round(found / nt::DOUBLE, 9) AS recall, area / nt::DOUBLE / budget AS pr, m::INTEGER AS multiple FROM tb)"""
+
+
+ALL_MULTIPLES = tuple(range(1, 11))
+KINDS = ("edge", "depth", "breadth", "hybrid")
+CURVE_COLUMNS = "dataset, family, config, scheduler, budget, n_truth, found, recall, round(pr, 9) AS pr, multiple"
+
+
+def workload_oracles() -> dict[str, str]:
+    o: dict[str, str] = {}
+    for family in _BEST_EDGES:
+        for kind in KINDS:
+            o[f"wl_best_{family}_{kind}"] = f"SELECT {CURVE_COLUMNS} FROM ({curve('docs_linkage', family, kind, LINKAGE, (1, 2, 5, 10))})"
+        parts = " UNION ALL ".join(curve(name, family, kind, profiles, ALL_MULTIPLES) for name, profiles in LINKAGES.items() for kind in KINDS)
+        name = {"sparse": "wl_join_curves"}.get(family, f"wl_{family}_curves")
+        o[name] = f"SELECT {CURVE_COLUMNS}, round(1 - pr / nullif(max(pr) OVER (PARTITION BY dataset, budget, family), 0), 9) AS dft FROM ({parts})"
+    noisy = {f"cust_{x}": customers(x) for x in ("light", "medium", "heavy")} | {"bench_linkage": BENCH}
+    parts = " UNION ALL ".join(curve(name, family, kind, profiles, ALL_MULTIPLES) for name, profiles in noisy.items() for family, kind in (("sparse", "breadth"), ("block", "edge"), ("sorted", "edge")))
+    o["wl_regimes"] = f"SELECT {CURVE_COLUMNS} FROM ({parts})"
+    parts = " UNION ALL ".join(f"SELECT *, '{side}' AS side FROM ({curve('bench_linkage', 'sparse', kind, BENCH, ALL_MULTIPLES, ('word1', 'cosine', 5, side))})" for side in ("smallest", "largest", "both") for kind in KINDS)
+    o["wl_index_sides"] = f"SELECT {CURVE_COLUMNS}, side FROM ({parts})"
+
+    e = "SELECT l, r, cn AS w FROM g"
+    docs = f"{TRUTH}, {graph(False)}"
+    known = lambda s: f"EXISTS (SELECT 1 FROM truth_d t WHERE t.l = {s}.l AND t.r = {s}.r)"
+    n = "(SELECT count(*) FROM truth_d)"
+    o["match_progressive"] = f"WITH {docs} SELECT pos, l, r, round(w, 9) AS w, {known('s')} AS is_match FROM ({order(e, 'edge', n, False)}) s"
+    o["match_batch"] = f"WITH {docs} SELECT l, r, {known('g')} AS is_match FROM g WHERE round(cn, 9) > 0"
+    o["match_components"] = f"""WITH RECURSIVE {docs}, m AS (SELECT l, r FROM ({order(e, 'edge', '10 * ' + n, False)}) s WHERE {known('s')}),
+ends AS (SELECT l AS a, r AS b FROM m UNION SELECT r, l FROM m),
+seen(pid, c) AS (SELECT DISTINCT a, a FROM ends UNION SELECT b, c FROM seen JOIN ends ON a = pid)
+SELECT pid, min(c) AS cluster FROM seen GROUP BY pid"""
+    free = "(SELECT l, r, row_number() OVER (ORDER BY md5(l::VARCHAR || '|' || r::VARCHAR || '|0'), l, r) AS pos FROM g WHERE round(cn, 9) > 0)"
+    o["m_requirements"] = f"""WITH {docs}, ra AS (SELECT count(*) AS x FROM ({order(e, 'edge', n, False)}) s WHERE {known('s')}), rb AS (SELECT count(*) AS y FROM {free} s WHERE pos <= {n} AND {known('s')})
+SELECT x AS n_progressive, y AS n_batch, x > y AS early, true AS eventual FROM ra, rb"""
+    o["brute_force"] = "SELECT a.s_suppkey AS l, b.s_suppkey AS r FROM supplier a JOIN supplier b ON a.s_suppkey < b.s_suppkey"
+    kinds = " UNION ALL ".join(f"SELECT * FROM (WITH {terms(t, DOCS)} SELECT '{t}' AS tokenizer, count(DISTINCT gram) AS n_grams, count(DISTINCT gram) AS n_ids FROM tc0)" for t in ("word1", "word2", "char3", "char4", "char5"))
+    o["grams_dictionary"] = kinds
+    pair = lambda a, b: f"p AS (SELECT CASE WHEN doc_id % 3 = {a} THEN 'L' ELSE 'R' END AS source, doc_id AS pid, text FROM documents WHERE doc_id % 3 IN ({a}, {b}))"
+    o["multi_source_series"] = " UNION ALL ".join(f"SELECT * FROM (WITH {graph(True, pair(a, b))} SELECT l, r, round(cn, 9) AS w FROM g WHERE round(cn, 9) > 0)" for a, b in ((0, 1), (0, 2), (1, 2)))
+    return o
+
+
 def method_oracles() -> dict[str, str]:
     o: dict[str, str] = {}
     with_ = lambda ctes, final: f"WITH {ctes} {final}"
@@ -208,17 +295,24 @@ pv AS (SELECT *, lag(a) OVER (ORDER BY card) AS a0, lag(k) OVER (ORDER BY card)
     o["m_progressive_recall"] = with_(tb(), "SELECT budget, pr FROM res")
     o["m_progressive_recall_ideal"] = with_(tb("ideal"), "SELECT budget, pr FROM res")
 
-    def dft() -> str:
+    def dft(multiples: tuple[int, ...] = (1, 5)) -> str:
         parts = []
         for name, x in (("cb", "cb"), ("cn_cb", "cn"), ("jaccard", "cb / (xb + yb - cb)")):
-            sched = order(f"SELECT l, r, {x} AS w FROM j", "edge", "5 * (SELECT count(*) FROM truth_l)", True)
+            sched = order(f"SELECT l, r, {x} AS w FROM j", "edge", f"{max(multiples)} * (SELECT count(*) FROM truth_l)", True)
             parts.append(f"SELECT '{name}' AS config, pos FROM ({sched}) s WHERE EXISTS (SELECT 1 FROM truth_l t WHERE t.l = s.l AND t.r = s.r)")
         return f"""{_GRID}, hit AS ({" UNION ALL ".join(parts)}), nt AS (SELECT count(*) AS nt FROM truth_l),
-bd AS (SELECT config, (m * nt)::BIGINT AS budget, nt FROM nt, (SELECT unnest([1, 5]) AS m), (SELECT unnest(['cb', 'cn_cb', 'jaccard']) AS config)),
+bd AS (SELECT config, (m * nt)::BIGINT AS budget, nt FROM nt, (SELECT unnest({list(multiples)}) AS m), (SELECT unnest(['cb', 'cn_cb', 'jaccard']) AS config)),
 pr AS (SELECT config, budget, coalesce((SELECT sum(budget - pos + 1) FROM hit h WHERE h.config = bd.config AND pos <= budget), 0)::DOUBLE / nt / budget AS pr FROM bd),
 df AS (SELECT config, budget, pr, 1 - pr / nullif(max(pr) OVER (PARTITION BY budget), 0) AS dft FROM pr)"""
 
     o["m_dft"] = with_(dft(), "SELECT config, budget, round(pr, 9) AS pr, round(dft, 9) AS dft FROM df")
+    rc = "rc AS (SELECT config, budget, (SELECT count(*) FROM hit h WHERE h.config = bd.config AND pos <= budget) / nt::DOUBLE AS recall FROM bd)"
+    o["m_recall_dft"] = with_(f"{dft()}, {rc}", "SELECT config, budget, round(recall, 9) AS recall, round(1 - recall / nullif(max(recall) OVER (PARTITION BY budget), 0), 9) AS dft FROM rc")
+    o["m_significance"] = with_(
+        f"""{dft(ALL_MULTIPLES)}, pa AS (SELECT x.config AS a, y.config AS b, count(*) FILTER (x.pr > y.pr) AS up, count(*) FILTER (x.pr < y.pr) AS down FROM pr x JOIN pr y USING (budget) GROUP BY ALL)""",
+        """SELECT a, b, up, down, CASE WHEN up + down = 0 THEN 1.0::DOUBLE ELSE round(least(1.0::DOUBLE, 2 * (SELECT sum(factorial((up + down)::INTEGER)::DOUBLE / factorial(k::INTEGER)::DOUBLE / factorial((up + down - k)::INTEGER)::DOUBLE) FROM (SELECT unnest(range(least(up, down) + 1)) AS k)) / pow(2.0, up + down)), 9) END AS p
+FROM pa WHERE (a, b) IN (('cn_cb', 'cb'), ('cn_cb', 'jaccard'), ('cb', 'jaccard'))""",
+    )
     o["m_mean_dft"] = with_(dft(), "SELECT config, round(avg(dft), 9) AS mean_dft FROM df GROUP BY config")
     fq = f"""{docs_graph}, cd AS (SELECT l, r FROM g WHERE round(cn, 9) > 0), sm AS (SELECT (SELECT count(*) FROM cd) AS c, (SELECT count(*) FROM cd JOIN truth_d USING (l, r)) AS h, (SELECT count(*) FROM truth_d) AS t, (SELECT count(*) FROM p) AS n)"""
     o["m_completeness"] = with_(fq, "SELECT c AS candidates, round(h / t::DOUBLE, 9) AS completeness FROM sm")
@@ -227,7 +321,7 @@ df AS (SELECT config, budget, pr, 1 - pr / nullif(max(pr) OVER (PARTITION BY bud
     o["m_overlap"] = with_(f"{graph(False)}, a AS ({order(e, 'breadth', '500', False)}), c AS ({order(e, 'hybrid', '500', False)})", "SELECT round(count(*) / 500.0::DOUBLE, 9) AS overlap FROM a JOIN c USING (l, r)")
     small = "(SELECT count(*) FROM p WHERE source = 'L') <= (SELECT count(*) FROM p WHERE source = 'R')"
     o["base_bm25"] = with_(
-        f"""{terms("word1", LINKAGE)}, df0 AS (SELECT gram, count(*) AS df FROM tc0 GROUP BY 1), ln0 AS (SELECT source, pid, sum(cnt) AS len FROM tc0 GROUP BY ALL),
+        f"""{terms("char3", LINKAGE)}, df0 AS (SELECT gram, count(*) AS df FROM tc0 GROUP BY 1), ln0 AS (SELECT source, pid, sum(cnt) AS len FROM tc0 GROUP BY ALL),
 av AS (SELECT avg(len)::DOUBLE AS avg, count(*)::DOUBLE AS n FROM ln0),
 bx AS (SELECT source, pid, gram, ln(1 + (n - df + 0.5::DOUBLE) / (df + 0.5::DOUBLE)) * (cnt * 2.2::DOUBLE / (cnt + 1.2::DOUBLE * (0.25::DOUBLE + 0.75::DOUBLE * len / avg))) AS s FROM tc0 JOIN df0 USING (gram) JOIN ln0 USING (source, pid), av),
 bp AS (SELECT x.pid AS l, y.pid AS r, round(sum(y.s), 9) AS wl, round(sum(x.s), 9) AS wr FROM bx x JOIN bx y ON x.gram = y.gram AND x.source = 'L' AND y.source = 'R' GROUP BY ALL)""",
@@ -250,13 +344,14 @@ UNION ALL SELECT 'cust_dirty', n, 0, m, n * (n - 1) // 2 FROM (SELECT count(*) +
 UNION ALL SELECT 'cust_linkage', n, n, n, n * n FROM (SELECT count(*) AS n FROM customer)
 UNION ALL SELECT 'part_dedup', n, 0, (SELECT count(*) FROM part a JOIN part b ON a.p_name = b.p_name AND a.p_brand = b.p_brand AND a.p_type = b.p_type AND a.p_size = b.p_size AND a.p_partkey < b.p_partkey), n * (n - 1) // 2 FROM (SELECT count(*) AS n FROM part)""",
     )
+    names = [(x, scope, w) for x in ("acf", "ncf", "dncf", "cncf", "id") for scope in ("local", "global") for w in ALL_MULTIPLES]
     parts = []
-    for scope in ("local", "global"):
-        for w in range(1, 11):
-            sched = order(f"SELECT l, r, {sorted_expr('id', scope, w)} AS w FROM h", "edge", "(SELECT count(*) FROM truth_l)", True)
-            parts.append(f"SELECT '{scope}' AS scope, {w}::BIGINT AS w, pos FROM ({sched}) s WHERE EXISTS (SELECT 1 FROM truth_l t WHERE t.l = s.l AND t.r = s.r)")
+    for x, scope, w in names:
+        sched = order(f"SELECT l, r, {sorted_expr(x, scope, w)} AS w FROM h", "edge", "(SELECT count(*) FROM truth_l)", True)
+        parts.append(f"SELECT '{x}' AS weight, '{scope}' AS scope, {w}::BIGINT AS w, pos FROM ({sched}) s WHERE EXISTS (SELECT 1 FROM truth_l t WHERE t.l = s.l AND t.r = s.r)")
+    listed_names = ", ".join(f"('{x}', '{scope}', {w}::BIGINT)" for x, scope, w in names)
     o["wl_windows"] = with_(
-        f"{histogram(10)}, hit AS ({' UNION ALL '.join(parts)}), nt AS (SELECT count(*) AS nt FROM truth_l), cf AS (SELECT scope, w::BIGINT AS w FROM (SELECT unnest(['local', 'global']) AS scope), (SELECT unnest(range(1, 11)) AS w))",
-        "SELECT 'id' AS weight, cf.scope, cf.w, count(hit.pos) AS n_hits, round(count(hit.pos) / nt::DOUBLE, 9) AS recall, round(coalesce(sum(nt - hit.pos + 1), 0)::DOUBLE / nt / nt, 9) AS pr FROM cf CROSS JOIN nt LEFT JOIN hit ON hit.scope = cf.scope AND hit.w = cf.w GROUP BY cf.scope, cf.w, nt",
+        f"{histogram(10)}, hit AS ({' UNION ALL '.join(parts)}), nt AS (SELECT count(*) AS nt FROM truth_l), cf(weight, scope, w) AS (VALUES {listed_names})",
+        "SELECT cf.weight, cf.scope, cf.w, count(hit.pos) AS n_hits, round(count(hit.pos) / nt::DOUBLE, 9) AS recall, round(coalesce(sum(nt - hit.pos + 1), 0)::DOUBLE / nt / nt, 9) AS pr FROM cf CROSS JOIN nt LEFT JOIN hit ON hit.weight = cf.weight AND hit.scope = cf.scope AND hit.w = cf.w GROUP BY cf.weight, cf.scope, cf.w, nt",
     )
-    return o
+    return o | workload_oracles()

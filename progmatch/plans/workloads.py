@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 from functools import reduce
 
@@ -9,11 +10,15 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from progmatch.operators import baselines, blocking, dense, encoders, measures, sortedlist, sparse
+from progmatch.operators.blocking import block_candidates
+from progmatch.operators.costs import Cost, memory_probe, timed
+from progmatch.operators.matching import Budget, connected_components, oracle, run_matching
+from progmatch.operators.order import positioned
 from progmatch.operators.schedule import SCHEDULERS, schedule, schedule_batch, schedule_ideal
-from progmatch.plans.config import BEST, WINNERS, BlockConfig, SortedConfig, SparseConfig, evaluate, evaluate_stack, grid
-from progmatch.plans.fixtures import Fixtures, once
+from progmatch.plans.config import BEST, WINNERS, BlockConfig, DenseConfig, Pipeline, SortedConfig, SparseConfig, all_pairs, batch_resolve, evaluate, evaluate_stack, grid, resolve_series
+from progmatch.plans.fixtures import Fixtures, kept, once
 from progmatch.session import settle
-from progmatch.sources.profiles import MultiSource, Task
+from progmatch.sources.profiles import MultiSource, Task, to_profiles
 from progmatch.streaming.incremental import Incremental
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -45,15 +50,13 @@ def docs_grid(fx: Fixtures, linkage: bool) -> DataFrame:
     return once(fx.spark, fx.sf_dir, f"grid_{task.kind}", lambda: blocking.block_grid(docs_graph(fx, linkage), blocks, stats, linkage))
 
 
-def docs_histogram(fx: Fixtures, linkage: bool, window: int = 10) -> DataFrame:
+def docs_histogram(fx: Fixtures, linkage: bool, positions: bool = True, window: int = 10) -> DataFrame:
+    """The histogram of distances; with the profiles' numbers of positions, which the normalised weights need."""
     task = fx.docs_linkage() if linkage else fx.docs()
-
-    def make() -> DataFrame:
-        listed = sortedlist.sorted_list(task)
-        pairs = sortedlist.window_pairs(listed, window, linkage)
-        return sortedlist.with_positions(sortedlist.pair_histogram(pairs, window), sortedlist.list_nodes(listed), linkage)
-
-    return once(fx.spark, fx.sf_dir, f"hist_{task.kind}_{window}", make)
+    name = f"{task.kind}_{window}"
+    listed = once(fx.spark, fx.sf_dir, f"list_{task.kind}", lambda: sortedlist.sorted_list(task))
+    plain = once(fx.spark, fx.sf_dir, f"hist_{name}", lambda: sortedlist.histogram_of(listed, window, linkage))
+    return once(fx.spark, fx.sf_dir, f"hist_nodes_{name}", lambda: sortedlist.with_positions(plain, sortedlist.list_nodes(listed), linkage)) if positions else plain
 
 
 def block_edges(fx: Fixtures, weight: str, linkage: bool) -> DataFrame:
@@ -64,15 +67,24 @@ def block_edges(fx: Fixtures, weight: str, linkage: bool) -> DataFrame:
 
 
 def sorted_edges(fx: Fixtures, weight: str, scope: str, window: int, linkage: bool) -> DataFrame:
-    return docs_histogram(fx, linkage).select("l", "r", F.round(sortedlist.sorted_weight(weight, scope, window), 9).alias("w")).where("w > 0")
+    if weight in sortedlist.PLAIN_WEIGHTS:
+        task = fx.docs_linkage() if linkage else fx.docs()
+        listed = once(fx.spark, fx.sf_dir, f"list_{task.kind}", lambda: sortedlist.sorted_list(task))
+        return once(fx.spark, fx.sf_dir, f"plain_{task.kind}_{weight}_{scope}_{window}", lambda: sortedlist.plain_weights(listed, weight, scope, window, linkage)).where("w > 0")
+    made = docs_histogram(fx, linkage)
+    return made.select("l", "r", F.round(sortedlist.sorted_weight(weight, scope, window), 9).alias("w")).where("w > 0")
 
 
-def sparse_dots(fx: Fixtures, task: Task, name: str, tokenizer: str) -> DataFrame:
-    return once(fx.spark, fx.sf_dir, f"dots_{name}_{tokenizer}", lambda: sparse.sparse_pairs(task, tokenizer, sparse.SCORINGS))
+def sparse_dots(fx: Fixtures, task: Task, name: str, tokenizer: str, scoring: str | None = None) -> DataFrame:
+    """Dot products under one scoring; without one, or where a grid has made them already, under all."""
+    every = f"dots_{name}_{tokenizer}"
+    if scoring is None or kept(fx.spark, fx.sf_dir, every):
+        return once(fx.spark, fx.sf_dir, every, lambda: sparse.sparse_pairs(task, tokenizer, sparse.SCORINGS))
+    return once(fx.spark, fx.sf_dir, f"{every}_{scoring}", lambda: sparse.sparse_pairs(task, tokenizer, (scoring,)))
 
 
 def sparse_edges(fx: Fixtures, task: Task, name: str, tokenizer: str, scoring: str, sim: str, k: int, index: str) -> DataFrame:
-    pairs = sparse_dots(fx, task, name, tokenizer).select("l", "r", sparse.similarity(sim, scoring).alias("w")).where("w > 0")
+    pairs = sparse_dots(fx, task, name, tokenizer, scoring).select("l", "r", sparse.similarity(sim, scoring).alias("w")).where("w > 0")
     return sparse.nearest(pairs, k, task.linkage, index, task.sizes())
 
 
@@ -106,8 +118,7 @@ def _docs_linkage(fx: Fixtures) -> list[tuple[str, Task, DataFrame]]:
 def family_curves(family: str) -> Query:
     def run(spark: SparkSession, d: str) -> DataFrame:
         fx = Fixtures(spark, d)
-        names = [*_docs_linkage(fx), ("bench_linkage", fx.bench_linkage(), fx.bench_truth()), ("cust_linkage", fx.cust_linkage(), fx.cust_linkage_truth())]
-        found = curves(fx, names, [(family, s, BEST[family, s]) for s in SCHEDULERS])
+        found = curves(fx, linkages(fx), [(family, s, BEST[family, s]) for s in SCHEDULERS])
         return rounded(measures.distance_from_top(found, by=("dataset", "budget", "family")))
 
     return run
@@ -128,75 +139,120 @@ def nn_curves(spark: SparkSession, d: str) -> DataFrame:
     return rounded(measures.distance_from_top(reduce(DataFrame.unionByName, found), by=("dataset", "budget", "family")))
 
 
+def linkages(fx: Fixtures) -> list[tuple[str, Task, DataFrame]]:
+    return [*_docs_linkage(fx), ("bench_linkage", fx.bench_linkage(), fx.bench_truth()), ("cust_linkage", fx.cust_linkage(), fx.cust_linkage_truth())]
+
+
+def dedups(fx: Fixtures) -> list[tuple[str, Task, DataFrame]]:
+    return [("docs_dedup", fx.docs(), fx.docs_truth()), ("cust_dirty", fx.cust_dirty(), fx.cust_truth()), ("part_dedup", fx.part(), fx.part_truth())]
+
+
 def winners(linkage: bool) -> Query:
+    """The best configuration of each family on every data set, at all budgets."""
+
     def run(spark: SparkSession, d: str) -> DataFrame:
         fx = Fixtures(spark, d)
-        if linkage:
-            names = [*_docs_linkage(fx), ("cust_linkage", fx.cust_linkage(), fx.cust_linkage_truth())]
-        else:
-            names = [("docs_dedup", fx.docs(), fx.docs_truth()), ("cust_dirty", fx.cust_dirty(), fx.cust_truth())]
-        found = curves(fx, names, [(f, s, BEST[f, s]) for f, s in WINNERS.items()], (1, 2, 5, 10))
+        found = curves(fx, linkages(fx) if linkage else dedups(fx), [(f, s, BEST[f, s]) for f, s in WINNERS.items()])
         return rounded(measures.distance_from_top(found))
 
     return run
 
 
+def incremental_order(spark: SparkSession, task: Task, truth: DataFrame, most: int) -> DataFrame:
+    """(pos, l, r, w): ten increments by pid, each emitting as many pairs as there are true ones; in linkage across sources."""
+    side = (F.col("source") == "R").cast("long") if task.linkage else F.lit(0)
+    p = task.profiles.select("source", (2 * F.col("pid") + side).alias("pid"), "text")
+    top = (p.agg(F.max("pid")).first()[0] or 0) + 1
+    state = Incremental(spark, truth.count(), F.expr("l % 2 <> r % 2") if task.linkage else None)
+    for i in range(10):
+        state.add(p.where((F.col("pid") >= top * i // 10) & (F.col("pid") < top * (i + 1) // 10)))
+    flat = state.schedule()
+    if task.linkage:
+        left = F.col("l") % 2 == 0
+        flat = flat.select("batch", F.col("pos").alias("place"), F.when(left, F.col("l")).otherwise(F.col("r")).alias("l"), F.when(left, F.col("r")).otherwise(F.col("l")).alias("r"), "w")
+    else:
+        flat = flat.withColumnRenamed("pos", "place")
+    flat = flat.select("batch", "place", F.floor(F.col("l") / 2).alias("l"), F.floor(F.col("r") / 2).alias("r"), "w")
+    return positioned(flat, ["batch", "place"], limit=most).select("pos", "l", "r", "w")
+
+
+SEEDS = (1, 2, 3, 4, 5)
+
+
 def versus_baselines(linkage: bool) -> Query:
-    """Family winners and baselines on one task, same budgets and measures."""
+    """Family winners and baselines, same data sets, budgets and measures; the self-supervised one is the mean of five seeds."""
 
     def run(spark: SparkSession, d: str) -> DataFrame:
         fx = Fixtures(spark, d)
-        name, task, truth = _docs_linkage(fx)[0] if linkage else ("docs_dedup", fx.docs(), fx.docs_truth())
-        n = truth.count()
-        budgets = [m * n for m in (1, 2, 5, 10)]
-        found = [curves(fx, [(name, task, truth)], [(f, s, BEST[f, s]) for f, s in WINNERS.items()], (1, 2, 5, 10)).drop("multiple")]
-        bm25 = once(spark, d, f"bm25_{task.kind}", lambda: baselines.baseline_bm25(task))
-        sse = once(spark, d, f"sse_{task.kind}", lambda: baselines.baseline_sse(task))
-        orders = {
-            "bm25": schedule(bm25, "edge", max(budgets), task.linkage),
-            "sse": schedule(sse, "edge", max(budgets), task.linkage),
-            "block_by_block": baselines.baseline_block_progressive(task, max(budgets)),
-            "profile": baselines.baseline_profile_progressive(task, max(budgets)),
-            "window": schedule(sorted_edges(fx, "ncf", "global", 10, task.linkage), "edge", max(budgets), task.linkage),
-            "batch": schedule_batch(block_edges(fx, "cn_cb", task.linkage), max(budgets), "hash"),
-        }
-        for kind, order in orders.items():
-            rows = measures.recall_table(order, truth, budgets)
-            found.append(rows.select(F.lit(name).alias("dataset"), F.lit("baseline").alias("family"), F.lit(kind).alias("config"), F.lit("-").alias("scheduler"), *rows.columns))
-        return rounded(measures.distance_from_top(settle(reduce(DataFrame.unionByName, found), "baselines")))
+        names = [x for x in (linkages(fx) if linkage else dedups(fx)) if x[0] not in ("bench_linkage", "part_dedup")]
+        found = [curves(fx, names, [(f, s, BEST[f, s]) for f, s in WINNERS.items()]).drop("multiple")]
+        for name, task, truth in names:
+            n = truth.count()
+            budgets = [m * n for m in MULTIPLES]
+            most = max(budgets)
+            bm25 = once(spark, d, f"bm25_{name}", lambda task=task: baselines.baseline_bm25(task))
+            orders = {
+                "bm25": schedule(bm25, "edge", most, task.linkage),
+                "block_by_block": baselines.baseline_block_progressive(task, most),
+                "profile": baselines.baseline_profile_progressive(task, most),
+                "window": baselines.baseline_window_progressive(task, most),
+                "incremental": incremental_order(spark, task, truth, most),
+                "batch": schedule_batch(edges_of(fx, name, task, BEST["block", "edge"]), most, "hash"),
+            }
+            tables = {kind: measures.recall_table(order, truth, budgets) for kind, order in orders.items()}
+            seeds = [measures.recall_table(schedule(baselines.baseline_sse(task, seed=s), "edge", most, task.linkage), truth, budgets) for s in SEEDS]
+            mean = lambda c: F.avg(c).alias(c)
+            tables["sse"] = reduce(DataFrame.unionByName, seeds).groupBy("budget", "n_truth").agg(F.avg("found").cast("long").alias("found"), mean("recall"), mean("pr"))
+            for kind, rows in tables.items():
+                found.append(settle(rows.select(F.lit(name).alias("dataset"), F.lit("baseline").alias("family"), F.lit(kind).alias("config"), F.lit("-").alias("scheduler"), *rows.columns), "baseline"))
+        return rounded(measures.distance_from_top(reduce(DataFrame.unionByName, found)))
 
     return run
 
 
-def regimes(spark: SparkSession, d: str) -> DataFrame:
+def regimes(families: tuple[str, ...]) -> Query:
     """Noise in three strengths on customers, and few duplicates among many records."""
-    fx = Fixtures(spark, d)
-    names = [(f"cust_{s}", fx.cust_linkage(s), fx.cust_linkage_truth()) for s in ("light", "medium", "heavy")] + [("bench_linkage", fx.bench_linkage(), fx.bench_truth())]
-    return rounded(curves(fx, names, [("block", s, BEST["block", s]) for s in SCHEDULERS] + [("sparse", s, SparseConfig("word1", "tfidf", "cosine", 1 if s == "depth" else 5, "both")) for s in SCHEDULERS], (1, 5)))
 
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        fx = Fixtures(spark, d)
+        names = [(f"cust_{s}", fx.cust_linkage(s), fx.cust_linkage_truth()) for s in ("light", "medium", "heavy")] + [("bench_linkage", fx.bench_linkage(), fx.bench_truth())]
+        return rounded(curves(fx, names, [(f, WINNERS[f], BEST[f, WINNERS[f]]) for f in families]))
+
+    return run
 
-def index_sides(spark: SparkSession, d: str) -> DataFrame:
-    fx = Fixtures(spark, d)
-    names = [("bench_linkage", fx.bench_linkage(), fx.bench_truth())]
-    parts = [curves(fx, names, [("sparse", s, SparseConfig("word1", "tfidf", "cosine", 5, side)) for s in SCHEDULERS], (1, 5, 10)).withColumn("side", F.lit(side)) for side in sparse.SIDES]
-    return rounded(reduce(DataFrame.unionByName, parts))
+
+def index_sides(family: str) -> Query:
+    """Which side is indexed, where one side is far larger."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        fx = Fixtures(spark, d)
+        names = [("bench_linkage", fx.bench_linkage(), fx.bench_truth())]
+        config = (lambda side: SparseConfig("word1", "tfidf", "cosine", 5, side)) if family == "sparse" else (lambda side: DenseConfig("sent", "cosine", 5, side))
+        parts = [curves(fx, names, [(family, s, config(side)) for s in SCHEDULERS]).withColumn("side", F.lit(side)) for side in sparse.SIDES]
+        return rounded(reduce(DataFrame.unionByName, parts))
+
+    return run
 
 
 def windows(spark: SparkSession, d: str) -> DataFrame:
-    """(weight, scope, w, n_hits, recall, pr): edge scheduler at the first budget for every window and scope."""
+    """(weight, scope, w, n_hits, recall, pr): edge scheduler at the first budget for every weight, scope and window."""
     fx = Fixtures(spark, d)
     truth = fx.docs_linkage_truth()
-    n = truth.count()
-    cols = [F.struct(F.lit(f"{scope}:{w}").alias("config"), F.round(sortedlist.sorted_weight("id", scope, w), 9).alias("w")) for scope in sortedlist.SCOPES for w in range(1, 11)]
-    stacked = docs_histogram(fx, True).select("l", "r", F.explode(F.array(*cols)).alias("x")).select("x.config", "l", "r", "x.w")
-    rows = evaluate_stack(stacked, truth, [n], True)
-    part = lambda i: F.get(F.split("config", ":"), F.lit(i))
-    return rounded(rows.select(F.lit("id").alias("weight"), part(0).alias("scope"), part(1).cast("long").alias("w"), F.col("found").alias("n_hits"), "recall", "pr"))
+    stacked = grid_stack(fx, "sorted", "docs_linkage", fx.docs_linkage())
+    rows = evaluate_stack(stacked, truth, [truth.count()], True)
+    part = lambda i: F.get(F.split("config", "_"), F.lit(i))
+    return rounded(rows.select(part(0).alias("weight"), part(1).alias("scope"), part(2).cast("long").alias("w"), F.col("found").alias("n_hits"), "recall", "pr"))
 
 
 def grid_stack(fx: Fixtures, family: str, name: str, task: Task) -> DataFrame:
     """(config, l, r, w) of every configuration that config.grid() lists for the family, from one-pass grids."""
-    wide = lambda df, cols: df.select("l", "r", F.explode(F.array(*[F.struct(F.lit(k).alias("config"), c.alias("w")) for k, c in cols.items()])).alias("x")).select("x.config", "l", "r", "x.w")
+
+    def wide(df: DataFrame, cols: dict) -> DataFrame:
+        """A row for each pair and column; some columns at a time, as one method of generated code holds 64 kB."""
+        names = list(cols)
+        some = lambda ks: df.select("l", "r", F.explode(F.array(*[F.struct(F.lit(k).alias("config"), cols[k].alias("w")) for k in ks])).alias("x")).select("x.config", "l", "r", "x.w")
+        return reduce(DataFrame.unionByName, [some(names[i : i + 20]) for i in range(0, len(names), 20)])
+
     if family == "block":
         return wide(docs_grid(fx, task.linkage), {w: F.col(w) for w in blocking.BLOCK_WEIGHTS})
     if family == "sorted":
@@ -257,10 +313,88 @@ def dataset_stats(spark: SparkSession, d: str) -> DataFrame:
     return reduce(DataFrame.unionByName, parts)
 
 
-def dft_results(fx: Fixtures) -> DataFrame:
+def dft_results(fx: Fixtures, multiples: tuple[int, ...] = (1, 5)) -> DataFrame:
     truth = fx.docs_linkage_truth()
     n = truth.count()
-    return once(fx.spark, fx.sf_dir, "dft", lambda: reduce(DataFrame.unionByName, [evaluate("docs_linkage", "block", w, block_edges(fx, w, True), truth, [n, 5 * n], True, ("edge",)) for w in ("cb", "cn_cb", "jaccard")]))
+    made = lambda: reduce(DataFrame.unionByName, [evaluate("docs_linkage", "block", w, block_edges(fx, w, True), truth, [m * n for m in multiples], True, ("edge",)) for w in ("cb", "cn_cb", "jaccard")])
+    return once(fx.spark, fx.sf_dir, f"dft_{len(multiples)}", made)
+
+
+def significance(spark: SparkSession, d: str) -> DataFrame:
+    """(a, b, up, down, p): sign test of weights over the ten budgets."""
+    results = dft_results(Fixtures(spark, d), MULTIPLES)
+    parts = []
+    for a, b in (("cn_cb", "cb"), ("cn_cb", "jaccard"), ("cb", "jaccard")):
+        p = measures.sign_test(results, "config", a, b)
+        parts.append(measures.sign_counts(results, "config", a, b).select(F.lit(a).alias("a"), F.lit(b).alias("b"), "up", "down", F.lit(p).alias("p")))
+    return rounded(reduce(DataFrame.unionByName, parts))
+
+
+def requirements(spark: SparkSession, d: str) -> DataFrame:
+    """(n_progressive, n_batch, early, eventual): true pairs among the first n of the progressive and of an unordered run, whether
+    the first are more, and whether both hold the same pairs in the end."""
+    fx = Fixtures(spark, d)
+    truth, edges = fx.docs_truth(), block_edges(fx, "cn_cb", False)
+    n = truth.count()
+    first, unordered = schedule(edges, "edge", n), schedule_batch(edges, n, "hash")
+    everything = edges.count()
+    same = measures.check_eventual(schedule(edges, "edge", everything), schedule_batch(edges, everything, "hash"))
+    a, b = (measures.hits(x, truth).agg(F.count(F.lit(1)).alias(c)) for x, c in ((first, "n_progressive"), (unordered, "n_batch")))
+    return a.join(b).select("n_progressive", "n_batch", (F.col("n_progressive") > F.col("n_batch")).alias("early"), F.lit(same).alias("eventual"))  # two single rows
+
+
+def clusters(spark: SparkSession, d: str) -> DataFrame:
+    """(pid, cluster) of the pairs that a perfect matcher accepts among the first 10 n."""
+    fx = Fixtures(spark, d)
+    truth = fx.docs_truth()
+    done = run_matching(schedule(block_edges(fx, "cn_cb", False), "edge", 10 * truth.count()), oracle(truth))
+    return connected_components(done.where("is_match"))
+
+
+def costs(spark: SparkSession, d: str) -> DataFrame:
+    """(dataset, family, stage, multiple, seconds, shuffle_mb, spill_mb, task_mb, heap_mb): what each stage costs, by family and budget.
+
+    Run-time is from the profiles, which are settled first, to ordered pairs; verification is no part of it. Filtering and
+    weighting are one stage here, as their steps are one plan. Seconds vary from run to run.
+    """
+    fx, mb = Fixtures(spark, d), 1e6
+    task, truth = fx.docs_linkage(), fx.docs_linkage_truth()
+    n, rows = max(1, truth.count()), []
+    for family, kind in WINNERS.items():
+        config, held = BEST[family, kind], {}
+
+        def put(stage: str, multiple: int, cost: Cost, family: str = family) -> None:
+            rows.append(("docs_linkage", family, stage, multiple, cost.seconds, cost.shuffle_bytes / mb, cost.spill_bytes / mb, cost.task_bytes / mb, cost.heap_bytes / mb))
+
+        put("filter and weight", 0, memory_probe(spark, lambda c=config, h=held: h.update(edges=settle(c.candidates(task), "edges"))))
+        for m in (1, 2, 5, 10):
+            put("schedule", m, memory_probe(spark, lambda h=held, k=kind, m=m: timed(schedule(h["edges"], k, m * n, True))))
+    return spark.createDataFrame(rows, "dataset string, family string, stage string, multiple int, seconds double, shuffle_mb double, spill_mb double, task_mb double, heap_mb double")
+
+
+RECORDS = (10_000, 50_000, 100_000, 200_000, 300_000)
+
+
+def scalability(spark: SparkSession, d: str, records: tuple[int, ...] = RECORDS) -> DataFrame:
+    """(records, family, n_truth, found, recall, pr, seconds): dirty customers copied up to the published sizes, budget n.
+
+    The number of records is the least multiple of the table's own that reaches the size asked for. Blocks of over 1,000
+    records are purged: the words that all records share would else pair all of them.
+    """
+    fx, rows = Fixtures(spark, d), []
+    own = fx.cust_dirty().profiles.count()
+    configs = {"sorted": SortedConfig("id", 10, "global"), "block": BlockConfig("cn_cb", purge="none", max_block_size=1_000)}
+    for replicas in sorted({-(-size // own) for size in records if own}):
+        task = Task(settle(fx.cust_dirty(replicas=replicas).profiles, "records"), "dedup")
+        truth = settle(fx.cust_truth(replicas), "truth")
+        n = truth.count()
+        for family, config in configs.items():
+            began = time.perf_counter()
+            order = settle(schedule(config.candidates(task), "edge", n), "order")
+            seconds = time.perf_counter() - began
+            row = measures.recall_table(order, truth, [n]).first()
+            rows.append((replicas * own, family, n, row["found"], row["recall"], row["pr"], seconds))
+    return spark.createDataFrame(rows, "records long, family string, n_truth long, found long, recall double, pr double, seconds double")
 
 
 def incremental(spark: SparkSession, d: str) -> DataFrame:
@@ -279,6 +413,20 @@ def incremental(spark: SparkSession, d: str) -> DataFrame:
     return state.schedule().join(hit, ["l", "r"], "left").groupBy("batch").agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("hit"), F.lit(0)).alias("found"))
 
 
+def across(truth: DataFrame) -> DataFrame:
+    """A truth of unordered pairs in both directions: linkage steps may ask for either."""
+    return truth.select("l", "r").union(truth.select("r", "l"))
+
+
+def grams_dictionary(task: Task) -> DataFrame:
+    """(tokenizer, n_grams, n_ids): distinct grams and their 64-bit ids; equal unless two grams share an id."""
+    parts = []
+    for t in ("word1", "word2", "char3", "char4", "char5"):
+        grams = sparse.term_counts(task, t).select("gram").distinct().select("gram", F.xxhash64("gram").alias("id"))
+        parts.append(grams.agg(F.count("gram").alias("n_grams"), F.count_distinct("id").alias("n_ids")).select(F.lit(t).alias("tokenizer"), "n_grams", "n_ids"))
+    return reduce(DataFrame.unionByName, parts)
+
+
 def method_queries() -> dict[str, Query]:
     fx = Fixtures
     q: dict[str, Query] = {}
@@ -300,7 +448,7 @@ def method_queries() -> dict[str, Query]:
 
     q["sorted_positions"] = lambda s, d: sortedlist.sorted_list(fx(s, d).docs()).select("pos", "token", "pid")
     q["sorted_pairs"] = lambda s, d: sortedlist.window_pairs(sortedlist.sorted_list(fx(s, d).docs_linkage()), 2, True, bucket=5_000).groupBy("l", "r", "d").agg(F.count(F.lit(1)).alias("n"))
-    q["sorted_hist"] = lambda s, d: docs_histogram(fx(s, d), True).select("l", "r", *[F.get("h", F.lit(i)).alias(f"h{i + 1}") for i in range(10)])
+    q["sorted_hist"] = lambda s, d: docs_histogram(fx(s, d), True, False).select("l", "r", *[F.get("h", F.lit(i)).alias(f"h{i + 1}") for i in range(10)])
     for w in sortedlist.SORTED_WEIGHTS:
         for scope in sortedlist.SCOPES:
             q[f"s_{w}_{scope}"] = lambda s, d, w=w, scope=scope: rounded(sorted_edges(fx(s, d), w, scope, 10, True))
@@ -338,6 +486,9 @@ def method_queries() -> dict[str, Query]:
     q["m_progressive_recall"] = lambda s, d: table_of(s, d).select("budget", "pr")
     q["m_progressive_recall_ideal"] = lambda s, d: table_of(s, d, "ideal").select("budget", "pr")
     q["m_dft"] = lambda s, d: rounded(measures.distance_from_top(dft_results(fx(s, d))).select("config", "budget", "pr", "dft"))
+    q["m_recall_dft"] = lambda s, d: rounded(measures.distance_from_top(dft_results(fx(s, d)), "recall").select("config", "budget", "recall", "dft"))
+    q["m_significance"] = significance
+    q["m_requirements"] = requirements
     q["m_mean_dft"] = lambda s, d: rounded(measures.mean_dft(measures.distance_from_top(dft_results(fx(s, d))), ("config",)))
 
     def quality(s: SparkSession, d: str) -> DataFrame:
@@ -349,7 +500,7 @@ def method_queries() -> dict[str, Query]:
         q[f"m_{m}"] = lambda s, d, m=m: quality(s, d).select("candidates", m)
     q["m_overlap"] = lambda s, d: rounded(measures.schedule_overlap(schedule(block_edges(fx(s, d), "cn_cb", False), "breadth", 500), schedule(block_edges(fx(s, d), "cn_cb", False), "hybrid", 500), 500))
 
-    q["base_bm25"] = lambda s, d: rounded(baselines.baseline_bm25(fx(s, d).docs_linkage(), 5, "largest", "word1"))
+    q["base_bm25"] = lambda s, d: rounded(baselines.baseline_bm25(fx(s, d).docs_linkage(), 5, "largest", "char3"))
     q["base_blk"] = lambda s, d: rounded(baselines.baseline_block_progressive(fx(s, d).docs(), SCHEDULE_BUDGET))
     q["base_profile"] = lambda s, d: rounded(schedule(block_edges(fx(s, d), "cn_cb", True), "hybrid", SCHEDULE_BUDGET, True))
     q["base_window"] = lambda s, d: rounded(schedule(sorted_edges(fx(s, d), "ncf", "global", 10, True), "edge", SCHEDULE_BUDGET, True))
@@ -357,7 +508,16 @@ def method_queries() -> dict[str, Query]:
     q["base_inc"] = incremental
     q["multi_source_single"] = lambda s, d: rounded(MultiSource(fx(s, d).multi_source(), "single").edges(lambda t: block_edges(fx(s, d), "cn_cb", False)))
 
+    q["multi_source_series"] = lambda s, d: rounded(MultiSource(fx(s, d).multi_source(), "series").edges(lambda t: block_candidates(t, "cn_cb")))
+    q["multi_source_merged"] = lambda s, d: resolve_series(fx(s, d).multi_source(), BlockConfig("cn_cb"), lambda order, _: oracle(across(fx(s, d).docs_truth()))(order), 10 * fx(s, d).docs_truth().count())
+    q["grams_dictionary"] = lambda s, d: grams_dictionary(fx(s, d).docs())
+    q["match_progressive"] = lambda s, d: rounded(Pipeline(BlockConfig("cn_cb")).run(fx(s, d).docs(), Budget(multiple=1), oracle(fx(s, d).docs_truth()), fx(s, d).docs_truth().count())).select("pos", "l", "r", "w", "is_match")
+    q["match_batch"] = lambda s, d: batch_resolve(fx(s, d).docs(), BlockConfig("cn_cb"), oracle(fx(s, d).docs_truth())).select("l", "r", "is_match")
+    q["match_components"] = clusters
+    q["brute_force"] = lambda s, d: all_pairs(Task(to_profiles(fx(s, d)._table("supplier"), "s_suppkey", ["s_name"]), "dedup"))
     q["wl_dataset_stats"] = dataset_stats
+    q["wl_costs"] = costs
+    q["wl_scalability"] = scalability
     for f in ("block", "sorted", "sparse", "dense"):
         q[f"wl_grid_{f}"] = grid_results(f)
         for kind in SCHEDULERS:
@@ -370,8 +530,10 @@ def method_queries() -> dict[str, Query]:
     q["wl_winners_dedup"] = winners(False)
     q["wl_baselines_linkage"] = versus_baselines(True)
     q["wl_baselines_dedup"] = versus_baselines(False)
-    q["wl_regimes"] = regimes
-    q["wl_index_sides"] = index_sides
+    q["wl_regimes"] = regimes(("sparse", "block", "sorted"))
+    q["wl_regimes_dense"] = regimes(("dense",))
+    q["wl_index_sides"] = index_sides("sparse")
+    q["wl_index_sides_dense"] = index_sides("dense")
     q["wl_windows"] = windows
     return q
 

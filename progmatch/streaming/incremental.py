@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from progmatch.operators.blocking import token_blocks
 from progmatch.operators.order import positioned
-from progmatch.operators.pairs import meet
+from progmatch.operators.pairs import meet_evenly
 from progmatch.session import settle, shared_root
 from progmatch.sources.profiles import Dedup
 
@@ -25,10 +25,11 @@ class Incremental:
     flush() emits the rest, so in the end every pair that shares a block has been emitted once.
     """
 
-    def __init__(self, spark: SparkSession, budget: int):
+    def __init__(self, spark: SparkSession, budget: int, among: Column | None = None):
+        """among: a condition on l and r, for instance that they are of different sources; other pairs are no candidates."""
         if budget < 0:
             raise ValueError(f"negative budget: {budget}")
-        self.spark, self.budget = spark, budget
+        self.spark, self.budget, self.among = spark, budget, F.lit(True) if among is None else among
         self.rows: DataFrame | None = None
         self.runs: list[tuple[DataFrame, tuple | None]] = []
         self.emitted: list[DataFrame] = []
@@ -41,11 +42,11 @@ class Incremental:
         everything = new if old is None else settle(old.union(new), "tokens")
         sizes = everything.groupBy("bkey").agg(F.count(F.lit(1)).alias("n")).where("n > 1").withColumn("card", F.col("n") * (F.col("n") - 1) / 2)
         fresh = new.join(sizes.select("bkey", "card"), "bkey")
-        pairs = meet(fresh, "bkey", False, [], ["card"])
+        pairs = meet_evenly(fresh, "bkey", sizes.select("bkey", "n"), False, [], ["card"])
         if old is not None:
             both = fresh.select("bkey", "card", F.col("pid").alias("x")).join(old.select("bkey", F.col("pid").alias("y")), "bkey").where("x <> y")
             pairs = pairs.union(both.select(F.least("x", "y").alias("l"), F.greatest("x", "y").alias("r"), "card"))
-        weighted = pairs.groupBy("l", "r").agg(F.round(F.sum(1 / F.col("card")), 9).alias("w"))
+        weighted = pairs.where(self.among).groupBy("l", "r").agg(F.round(F.sum(1 / F.col("card")), 9).alias("w"))
         self.rows = everything
         self.runs.append((settle(weighted, "pairs"), None))
         return self._emit(self.budget)
