@@ -50,13 +50,20 @@ def scored(counts: DataFrame, n_records: int, scorings: tuple[str, ...] = SCORIN
 
 
 def dot_products(vectors: DataFrame, linkage: bool, scorings: tuple[str, ...], limit: int = KEY_ROWS) -> DataFrame:
-    """(l, r, x_<scoring>, l2 and r2 norms): every scoring from one join on the gram; only pairs that share a gram."""
+    """(l, r, x_<scoring>): every scoring from one join on the gram; only pairs that share a gram."""
     sizes = vectors.groupBy("gram").agg(F.count(F.lit(1)).alias("n"))
     hot = sizes.where(F.col("n") > limit).limit(1).count() > 0
     rows = with_cells(vectors, "gram", sizes, limit) if hot else vectors
     met = meet(rows, "gram", linkage, list(scorings), [], cells=hot)
-    dots = met.groupBy("l", "r").agg(*[F.sum(F.col(f"{s}_l") * F.col(f"{s}_r")).alias(f"x_{s}") for s in scorings])
-    norms = vectors.groupBy("source", "pid").agg(*[F.sum(F.col(s) * F.col(s)).alias(s) for s in scorings])
+    return met.groupBy("l", "r").agg(*[F.sum(F.col(f"{s}_l") * F.col(f"{s}_r")).alias(f"x_{s}") for s in scorings])
+
+
+def norms_of(vectors: DataFrame, scorings: tuple[str, ...]) -> DataFrame:
+    """(source, pid, a column of the squared norm for each scoring)"""
+    return vectors.groupBy("source", "pid").agg(*[F.sum(F.col(s) * F.col(s)).alias(s) for s in scorings])
+
+
+def with_norms(dots: DataFrame, norms: DataFrame, linkage: bool, scorings: tuple[str, ...]) -> DataFrame:
     for side in "lr":
         own = norms.where(F.col("source") == side.upper()) if linkage else norms
         dots = dots.join(own.select(F.col("pid").alias(side), *[F.col(s).alias(f"{side}2_{s}") for s in scorings]), side)
@@ -73,6 +80,17 @@ def similarity(sim: str, scoring: str) -> Column:
     raise ValueError(f"unknown similarity: {sim}")
 
 
+def _likely(pairs: DataFrame, q: str, i: str, k: int) -> DataFrame:
+    """Pairs that can be among the k best of q: not below the least of the best weights in k lots of neighbours.
+
+    The bound is exact and is combined before it is shuffled; what is left to be ranked are a few pairs of each query.
+    """
+    lot = F.pmod(F.xxhash64(i), F.lit(k))
+    tops = [F.coalesce(F.max(F.when(lot == b, F.col("w"))), F.lit(0.0)) for b in range(k)]
+    floors = pairs.groupBy(q).agg((F.least(*tops) if k > 1 else tops[0]).alias("__floor"))
+    return pairs.join(floors, q).where(F.col("w") >= F.col("__floor")).drop("__floor")
+
+
 def nearest(pairs: DataFrame, k: int, linkage: bool, side: str, sizes: dict[str, int]) -> DataFrame:
     """(l, r, w): pairs that are among the k best of a query, similarity first, then the neighbour's id.
 
@@ -87,12 +105,12 @@ def nearest(pairs: DataFrame, k: int, linkage: bool, side: str, sizes: dict[str,
     queries = "lr" if not linkage or side == "both" else large if side == "smallest" else small
     if not linkage:  # one ranking over both directions
         ends = pairs.select(F.explode(F.array(F.struct(F.col("l").alias("q"), F.col("r").alias("i")), F.struct(F.col("r").alias("q"), F.col("l").alias("i")))).alias("e"), "w").select("e.*", "w")
-        best = ends.withColumn("t", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("w"), "i"))).where(F.col("t") <= k)
+        best = _likely(ends, "q", "i", k).withColumn("t", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("w"), "i"))).where(F.col("t") <= k)
         return best.groupBy(F.least("q", "i").alias("l"), F.greatest("q", "i").alias("r")).agg(F.max("w").alias("w"))
     found = None
     for q in queries:
         i = "r" if q == "l" else "l"
-        best = pairs.withColumn("t", F.row_number().over(Window.partitionBy(q).orderBy(F.desc("w"), i))).where(F.col("t") <= k).select("l", "r", "w")
+        best = _likely(pairs, q, i, k).withColumn("t", F.row_number().over(Window.partitionBy(q).orderBy(F.desc("w"), i))).where(F.col("t") <= k).select("l", "r", "w")
         found = best if found is None else found.union(best)
     return found.groupBy("l", "r").agg(F.max("w").alias("w")) if len(queries) > 1 else found
 
@@ -114,10 +132,15 @@ def nearest_stack(stacked: DataFrame, ks: tuple[int, ...], linkage: bool, sizes:
     return near.select("config", "l", "r", "w", F.explode(F.filter(choices, lambda c: c["near"])).alias("c")).select(F.concat_ws("_", "config", "c.name").alias("config"), "l", "r", "w")
 
 
+def sparse_vectors(task: Task, tokenizer: str, scorings: tuple[str, ...], max_df: int | None = None) -> DataFrame:
+    """(source, pid, gram id, a column for each scoring)"""
+    return scored(encode_grams(term_counts(task, tokenizer)), sum(task.sizes().values()), scorings, max_df)
+
+
 def sparse_pairs(task: Task, tokenizer: str, scorings: tuple[str, ...], max_df: int | None = None) -> DataFrame:
-    sizes = task.sizes()
-    counts = encode_grams(term_counts(task, tokenizer))
-    return dot_products(scored(counts, sum(sizes.values()), scorings, max_df), task.linkage, scorings)
+    """(l, r, x_<scoring>, l2 and r2 norms)"""
+    vectors = sparse_vectors(task, tokenizer, scorings, max_df)
+    return with_norms(dot_products(vectors, task.linkage, scorings), norms_of(vectors, scorings), task.linkage, scorings)
 
 
 def sparse_candidates(task: Task, tokenizer: str = "word1", scoring: str = "tfidf", sim: str = "cosine", k: int = 5, index: str = "largest", max_df: int | None = None) -> DataFrame:

@@ -77,10 +77,13 @@ def sorted_edges(fx: Fixtures, weight: str, scope: str, window: int, linkage: bo
 
 def sparse_dots(fx: Fixtures, task: Task, name: str, tokenizer: str, scoring: str | None = None) -> DataFrame:
     """Dot products under one scoring; without one, or where a grid has made them already, under all."""
-    every = f"dots_{name}_{tokenizer}"
-    if scoring is None or kept(fx.spark, fx.sf_dir, every):
-        return once(fx.spark, fx.sf_dir, every, lambda: sparse.sparse_pairs(task, tokenizer, sparse.SCORINGS))
-    return once(fx.spark, fx.sf_dir, f"{every}_{scoring}", lambda: sparse.sparse_pairs(task, tokenizer, (scoring,)))
+    every = f"{name}_{tokenizer}"
+    all_of_them = scoring is None or kept(fx.spark, fx.sf_dir, f"dots_{every}")
+    scorings, label = (sparse.SCORINGS, every) if all_of_them else ((scoring,), f"{every}_{scoring}")
+    vectors = once(fx.spark, fx.sf_dir, f"postings_{label}", lambda: sparse.sparse_vectors(task, tokenizer, scorings))
+    dots = once(fx.spark, fx.sf_dir, f"dots_{label}", lambda: sparse.dot_products(vectors, task.linkage, scorings))
+    norms = once(fx.spark, fx.sf_dir, f"norms_{label}", lambda: sparse.norms_of(vectors, scorings))
+    return sparse.with_norms(dots, norms, task.linkage, scorings)
 
 
 def sparse_edges(fx: Fixtures, task: Task, name: str, tokenizer: str, scoring: str, sim: str, k: int, index: str) -> DataFrame:
