@@ -3,8 +3,10 @@
 from __future__ import annotations
 
 import contextlib
+import ctypes
 import gc
 import tempfile
+import time
 import uuid
 from collections.abc import Iterable, Iterator
 
@@ -40,23 +42,38 @@ def shared_path(spark: SparkSession, what: str) -> str:
     return f"{shared_root(spark)}/progmatch/{what}-{uuid.uuid4().hex}"
 
 
-def settle(df: DataFrame, what: str) -> DataFrame:
-    """Writes a table to the shared folder and reads it again: cuts lineage and outlives any executor."""
+def settle(df: DataFrame, what: str, large: bool = False) -> DataFrame:
+    """Writes a table to the shared folder and reads it again: cuts lineage and outlives any executor.
+
+    large: texts or most rows were shuffled for it, and their files go before the next step. A plan just run is still
+    referred to for a moment, so that takes a second release.
+    """
     spark = df.sparkSession
     path = shared_path(spark, what)
     df.write.parquet(path)
     release(spark)
+    if large:
+        time.sleep(0.2)
+        release(spark)
     made = spark.read.schema(df.schema).parquet(path)
     made.settled_at = path
     return made
 
 
+def trim() -> None:
+    """Gives memory that this Python process has freed back to the system, where its allocators can."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
 def release(spark: SparkSession) -> None:
     """Gives back what finished plans held: shuffle files and broadcasts go once the driver collects its garbage.
 
     The driver's native memory is trimmed where its virtual machine has that command.
     """
     gc.collect()
+    trim()
     jvm = spark._jvm
     jvm.System.gc()
     with contextlib.suppress(Exception):
@@ -106,6 +123,8 @@ def gathered(batches: Iterable[pa.RecordBatch], column: str, most: int = 3 << 20
             held, size = [], 0
     if held and sum(b.num_rows for b in held):
         yield pa.Table.from_batches(held)
+    held.clear()
+    trim()  # a worker lives on after its task, beside those of other tasks
 
 
 def texts_of(part: pa.Table, column: str = "text") -> pa.Array:

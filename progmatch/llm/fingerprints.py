@@ -71,7 +71,7 @@ def with_follower(docs: DataFrame, carried: list[str], ranges: int) -> DataFrame
     docs = docs.drop(*[f"next_{c}" for c in carried])
     key = [F.col("doc_id").desc_nulls_last(), F.col("__h")]
     ranged = docs.withColumn("__h", F.xxhash64("text")).repartitionByRange(ranges, *key).withColumn("__at", F.spark_partition_id())
-    ranged = settle(ranged, "ranged")
+    ranged = settle(ranged, "ranged", large=True)
     place = F.row_number().over(Window.partitionBy("__at").orderBy(*key))
     heads = ranged.withColumn("__n", place).where("__n = 1").drop("__n")  # a row for each range: the group limit comes before the shuffle
     number = Window.orderBy("__at")

@@ -215,7 +215,7 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
     spark = docs.sparkSession
     least, width = least_agreements(threshold, tolerance), shuffle_width(spark)
     rows = nodes_of(docs)
-    nodes = settle(rows.groupBy("node").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("times"), F.first("n").alias("n"), F.first("sig").alias("sig")), "nodes")
+    nodes = settle(rows.groupBy("node").agg(F.min("doc_id").alias("first"), F.count(F.lit(1)).alias("times"), F.first("n").alias("n"), F.first("sig").alias("sig")), "nodes", large=True)
 
     keys = _band_keys(nodes)
     met = keys.groupBy("bucket").agg(F.count(F.lit(1)).alias("m"), F.min("band").alias("band"), F.bit_xor(F.xxhash64("node")).alias("x"), F.bit_xor(F.xxhash64("node", F.lit(1))).alias("y")).where("m > 1")
@@ -241,7 +241,7 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
                 used = pa.array(np.unique(np.concatenate((i, j))))
                 yield from part.select(["bucket", "part_a", "part_b", "band", "part", "node"]).take(used).to_batches()
 
-    left = settle(dealt(cells).mapInArrow(prune, "bucket long, part_a int, part_b int, band int, part int, node string"), "pruned")
+    left = settle(dealt(cells).mapInArrow(prune, "bucket long, part_a int, part_b int, band int, part int, node string"), "pruned", large=True)
     needed = left.select("node").distinct().join(nodes.select("node", "first"), "node")
     needed = settle(needed.select("node", "first"), "needed")
     sets = _sets(docs, needed)
@@ -261,7 +261,7 @@ def jaccard_classes(docs: DataFrame, threshold: float = THRESHOLD, tolerance: fl
             if len(some):
                 yield pa.RecordBatch.from_arrays([pa.array([names[k] for k in some]), pa.array([names[root[k]] for k in some]), pa.array(linked[some].astype(np.int64))], ["a", "b", "linked"])
 
-    links = settle(dealt(full).mapInArrow(verify, "a string, b string, linked long"), "links")
+    links = settle(dealt(full).mapInArrow(verify, "a string, b string, linked long"), "links", large=True)
     discard(left, needed)
     roots = components(links.select("a", "b"))
     linked = links.groupBy(F.col("a").alias("node")).agg(F.sum("linked").alias("linked"))

@@ -34,7 +34,7 @@ MARK = "▁"
 START, FAR = -2, np.int64(2**40)
 CACHE_BITS = 21
 #: Characters of distinct units in one suffix array, bytes of text in one batch, ids decoded at once.
-SLICE, BATCH_BYTES, DECODE_IDS = 150_000, 2 << 20, 250_000
+SLICE, BATCH_BYTES, DECODE_IDS = 150_000, 1 << 20, 250_000
 
 
 def merge_all(text: str, rank: dict[str, int]) -> tuple[list[str], tuple[str, str] | None]:
@@ -89,7 +89,7 @@ class Pieces:
 
     def memo(self) -> WordMemo:
         """Of one task: what a worker keeps between tasks are the tables alone."""
-        return WordMemo(self.tables.encode_units, 250_000)
+        return WordMemo(self.tables.encode_units, 120_000)
 
     @cached_property
     def decoder(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

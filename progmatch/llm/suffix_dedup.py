@@ -324,7 +324,7 @@ def repeated_spans(docs: DataFrame, scales: tuple[Scale, ...] = (BYTES,)) -> Dat
     """
     parsed = settle(parse(docs, scales), "phrases")
     again = settle(parsed.groupBy("common").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("common"), "common")
-    rows = settle(parsed.join(_few(again), "common", "left_semi").groupBy(*PHRASE).agg(F.count(F.lit(1)).alias("k")), "parse")
+    rows = settle(parsed.join(_few(again), "common", "left_semi").groupBy(*PHRASE).agg(F.count(F.lit(1)).alias("k")), "parse", large=True)
     discard(parsed, again)
     words = F.get(F.array(*[F.lit(s.words) for s in scales]), F.col("scale").cast("int"))
     elsewhere = (F.min("__text_key") != F.max("__text_key")) | (F.max("k") > 1)
@@ -341,13 +341,13 @@ def repeated_spans(docs: DataFrame, scales: tuple[Scale, ...] = (BYTES,)) -> Dat
     asked = settle(asked, "asked")
     texts = with_text_key(docs).select("__text_key", "__text_size", "text").join(_few(asked.select("__text_key", "__text_size")), ["__text_key", "__text_size"], "left_semi")
     texts = texts.groupBy("__text_key", "__text_size").agg(F.first("text").alias("text")).join(asked, ["__text_key", "__text_size"])
-    entries = settle(_looked_up(texts.select("__text_key", "text", "asked"), scales), "entries")
+    entries = settle(_looked_up(texts.select("__text_key", "text", "asked"), scales), "entries", large=True)
     discard(groups, asked)
     hits = _sorted_hits(entries.where("symbols is not null"), scales)
     if entries.where("symbols is null").limit(1).count():
         hits = hits.union(_hashed_hits(entries.where("symbols is null"), scales))
     whole = dictionary.where("places > 1").select("scale", "common", "phrase", "windows", F.lit(0).alias("low"), (F.col("windows") - 1).alias("high"))
-    repeated = settle(whole.union(hits), "repeated")
+    repeated = settle(whole.union(hits), "repeated", large=True)
     discard(entries, dictionary)
     span = F.get(F.array(*[F.lit(s.span) for s in scales]), F.col("scale").cast("int"))
     # windows of one phrase lie within `span` of one another: what they cover has no gap
