@@ -9,7 +9,8 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from progmatch.functions.text import words
-from progmatch.operators.pairs import KEY_ROWS, meet, with_cells
+from progmatch.operators.pairs import KEY_ROWS, meet_evenly
+from progmatch.session import settle
 from progmatch.sources.profiles import Task
 
 
@@ -69,8 +70,8 @@ def filter_blocks(blocks: DataFrame, stats: DataFrame, ratio: float = 0.8) -> Da
 
 
 def refined(task: Task, purge: str = "size", ratio: float | None = 0.8, max_block_size: int | None = None, block_fn=None) -> tuple[DataFrame, DataFrame]:
-    """(blocks, stats) after purging and filtering; blocks carry n and card."""
-    blocks = token_blocks(task, block_fn)
+    """(blocks, stats) after purging and filtering; blocks carry n and card. The tokens are settled, as each step reads them."""
+    blocks = settle(token_blocks(task, block_fn), "tokens")
     records = task.profiles.count() if purge == "size" else None
     stats = purge_blocks(blocks, block_stats(blocks, task.linkage), purge, records)
     if max_block_size:
@@ -82,10 +83,10 @@ def refined(task: Task, purge: str = "size", ratio: float | None = 0.8, max_bloc
 
 def block_graph(blocks: DataFrame, stats: DataFrame, linkage: bool, limit: int = KEY_ROWS) -> DataFrame:
     """(l, r, cb, sn, cn): one row for each pair that shares a block; sums are combined before they are shuffled."""
-    hot = stats.where(F.col("n") > limit).limit(1).count() > 0
-    rows = with_cells(blocks, "bkey", stats.select("bkey", "n"), limit) if hot else blocks
-    met = meet(rows, "bkey", linkage, [], ["n", "card"], cells=hot)
-    return met.groupBy("l", "r").agg(F.count(F.lit(1)).alias("cb"), F.sum(1 / F.col("n")).alias("sn"), F.sum(1 / F.col("card")).alias("cn"))
+    number = lambda df: df.withColumn("bkey", F.xxhash64("bkey"))  # noqa: E731  what is joined are 64-bit ids of the keys
+    rows = number(blocks).select("bkey", "source", "pid", (1 / F.col("n")).alias("sn"), (1 / F.col("card")).alias("cn"))
+    met = meet_evenly(rows, "bkey", number(stats.select("bkey", "n")), linkage, [], ["sn", "cn"], limit)
+    return met.groupBy("l", "r").agg(F.count(F.lit(1)).alias("cb"), F.sum("sn").alias("sn"), F.sum("cn").alias("cn"))
 
 
 def block_nodes(blocks: DataFrame) -> DataFrame:
