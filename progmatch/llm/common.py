@@ -46,11 +46,11 @@ def settle(df: DataFrame, what: str, large: bool = False) -> DataFrame:
     """Writes a table to the shared folder and reads it again: cuts lineage and outlives any executor.
 
     large: texts or most rows were shuffled for it, and their files go before the next step. A plan just run is still
-    referred to for a moment, so that takes a second release.
+    referred to for a moment, so that takes a second release. Such a table is packed more tightly.
     """
     spark = df.sparkSession
     path = shared_path(spark, what)
-    df.write.parquet(path)
+    df.write.parquet(path, compression="zstd" if large else None)
     release(spark)
     if large:
         time.sleep(0.2)

@@ -95,7 +95,7 @@ def scan_ledger(versions: DataFrame, text: str = "text", ledger: DataFrame | Non
     if ledger is not None:
         held = ledger.select(F.col("blob"), F.col("rules"), F.col("spans"))
         made = held.unionByName(made).groupBy("blob").agg(F.flatten(F.collect_list("rules")).alias("rules"), F.flatten(F.collect_list("spans")).alias("spans"))
-    return settle(made.select("blob", "rules", "spans"), "secret-ledger")
+    return settle(made.select("blob", "rules", "spans"), "secret-ledger", large=True)
 
 
 def with_findings(versions: DataFrame, ledger: DataFrame, text: str = "text", rules: tuple[SecretRule, ...] = RULES, out: str = "secret_spans") -> DataFrame:
