@@ -32,15 +32,12 @@ def block_stats(blocks: DataFrame, linkage: bool) -> DataFrame:
 
 
 def purge_limit(stats: DataFrame, factor: float = 1.025) -> int | None:
-    """Adaptive purging: the largest cardinality to keep, or None for all. The driver sees one row for each cardinality."""
+    """Adaptive purging: the largest cardinality to keep, or None for all. Cardinalities, a row for each, are ordered in one task."""
     levels = stats.groupBy("card").agg(F.sum("n").alias("a"), (F.count(F.lit(1)) * F.col("card")).alias("k"))
-    cut, a, k, before = None, 0, 0, None
-    for row in levels.orderBy("card").toLocalIterator():
-        a, k = a + row["a"], k + row["k"]
-        if before and before[0] * k < factor * a * before[1]:
-            cut = row["card"]
-        before = (a, k)
-    return cut
+    order = Window.orderBy("card")
+    sums = levels.select("card", *[F.sum(c).over(order).cast("double").alias(c) for c in ("a", "k")])
+    behind = sums.withColumns({f"{c}0": F.lag(c).over(order) for c in ("a", "k")})
+    return behind.where(F.col("a0") * F.col("k") < factor * F.col("a") * F.col("k0")).agg(F.max("card")).first()[0]
 
 
 def purge_blocks(blocks: DataFrame, stats: DataFrame, mode: str = "size", records: int | None = None, max_card: int | None = None) -> DataFrame:

@@ -469,7 +469,7 @@ def method_queries() -> dict[str, Query]:
     for sim in sparse.SIMILARITIES:
         q[f"dense_exact_{sim}"] = lambda s, d, sim=sim: rounded(dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", sim, 5, "both"))
     q["dense_dedup"] = lambda s, d: rounded(dense.dense_candidates(fx(s, d).vec_linkage().where("source = 'L'"), "dedup", "cosine", 3))
-    q["dense_cells"] = lambda s, d: dense.index_recall(dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 5, "both", "cells", cells=16, probes=10), dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 5, "both"))
+    q["dense_cells"] = lambda s, d: dense.index_recall(dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 5, "both", "cells", cells=32, probes=8), dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 5, "both"))
     q["dense_lsh"] = lambda s, d: dense.index_recall(dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 1, "both", "lsh", bands=24, bits=5), dense.dense_candidates(fx(s, d).vec_linkage(), "linkage", "cosine", 1, "both"))
 
     for kind in SCHEDULERS:
