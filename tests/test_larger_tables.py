@@ -29,3 +29,24 @@ def test_shingle_truth_is_brute_force_and_a_common_passage_makes_few_candidates(
     sharing = sum(1 for a, b in combinations(sorted(sets), 2) if sets[a] & sets[b])
     assert setjoin.candidates(df.where("length(text) > 0 and text <> '...'"), 3, 0.8).count() < sharing / 10
     assert shingle_truth(df.limit(0)).count() == 0
+
+
+def test_packed_pairs_have_the_weights_of_the_histogram(spark):
+    from pyspark.sql import functions as F
+
+    from progmatch.operators import packedlist, sortedlist
+    from progmatch.sources.profiles import Dedup, Task
+
+    rows = [(s, i, t) for s, k in (("L", 0), ("R", 1)) for i, t in _texts()[k:40:2]]
+    df = spark.createDataFrame(rows, "source string, pid long, text string")
+    for task in (Task(df, "linkage"), Dedup(df.where("source = 'L'"))):
+        listed = sortedlist.sorted_list(task)
+        packed = packedlist.packed_list(task, chunk=7)
+        assert [k for r in packed.orderBy("at", "k").collect() for k in memoryview(r["keys"]).cast("q")] == [2 * r["pid"] + (r["source"] == "R") if task.linkage else r["pid"] for r in listed.orderBy("pos").collect()]
+        made = sortedlist.with_positions(sortedlist.histogram_of(listed, 10, task.linkage), sortedlist.list_nodes(listed), task.linkage).collect()
+        h = packedlist.histograms(packed, 10, task.linkage)
+        assert sorted((r["l"], r["r"], *r["h"]) for r in made) == sorted(tuple(r) for r in h.collect())
+        made = spark.createDataFrame(made)
+        for weight, scope in (("id", "global"), ("acf", "local"), ("ncf", "global"), ("dncf", "local"), ("cncf", "global")):
+            want = made.select("l", "r", F.round(sortedlist.sorted_weight(weight, scope, 10), 9).alias("w")).where("w > 0")
+            assert sorted(tuple(r) for r in want.collect()) == sorted(tuple(r) for r in packedlist.packed_weights(packed, weight, scope, 10, task.linkage).collect())
