@@ -184,16 +184,21 @@ def resolve_series(profiles: DataFrame, config, matcher: Callable[[DataFrame, Ta
     return reduce(DataFrame.unionByName, parts) if parts else profiles.select(F.col("pid").alias("l"), F.col("pid").alias("r"), F.lit(0).alias("step")).limit(0)
 
 
-def all_pairs(task: Task, most_pairs: int = 10_000_000) -> DataFrame:
-    """Every pair; refused beyond most_pairs."""
+#: Pairs that one task of all_pairs looks at.
+PAIRS_OF_A_TASK = 50_000_000
+
+
+def all_pairs(task: Task, most_pairs: int | None = 10_000_000) -> DataFrame:
+    """Every pair, in tasks of equal size; refused beyond most_pairs, None for any number."""
     sizes = task.sizes()
     n = sum(sizes.values())
     pairs = sizes.get("L", 0) * sizes.get("R", 0) if task.linkage else n * (n - 1) // 2
-    if pairs > most_pairs:
+    if most_pairs is not None and pairs > most_pairs:
         raise ValueError(f"{pairs} pairs are more than {most_pairs}")
     a = task.profiles.where("source = 'L'") if task.linkage else task.profiles
     b = task.profiles.where("source = 'R'") if task.linkage else task.profiles
-    both = a.select(F.col("pid").alias("l")).crossJoin(b.select(F.col("pid").alias("r")))
+    tasks = max(1, -(-pairs * (1 if task.linkage else 2) // PAIRS_OF_A_TASK))
+    both = a.select(F.col("pid").alias("l")).repartition(tasks).crossJoin(b.select(F.col("pid").alias("r")))
     return both if task.linkage else both.where("l < r")
 
 

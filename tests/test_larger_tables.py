@@ -50,3 +50,12 @@ def test_packed_pairs_have_the_weights_of_the_histogram(spark):
         for weight, scope in (("id", "global"), ("acf", "local"), ("ncf", "global"), ("dncf", "local"), ("cncf", "global")):
             want = made.select("l", "r", F.round(sortedlist.sorted_weight(weight, scope, 10), 9).alias("w")).where("w > 0")
             assert sorted(tuple(r) for r in want.collect()) == sorted(tuple(r) for r in packedlist.packed_weights(packed, weight, scope, 10, task.linkage).collect())
+
+
+def test_brute_force_takes_more_suppliers_than_the_guard(spark, tmp_path):
+    from progmatch.plans.workloads import method_queries
+
+    n = 4_600  # 10,577,700 pairs
+    spark.range(1, n + 1).selectExpr("id as s_suppkey", "concat('Supplier#', id) as s_name").write.parquet(f"{tmp_path}/supplier.parquet")
+    found = method_queries()["brute_force"](spark, str(tmp_path))
+    assert tuple(found.selectExpr("count(*)", "count_if(l < r)", "sum(r - l)").first()) == (n * (n - 1) // 2, n * (n - 1) // 2, (n - 1) * n * (n + 1) // 6)
