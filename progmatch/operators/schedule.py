@@ -7,7 +7,7 @@ of the anchor side count.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -27,10 +27,16 @@ def _ends(edges: DataFrame, linkage: bool, anchor: str) -> DataFrame:
     return edges.select(F.explode(both).alias("e"), "l", "r", "w").select("e.*", "l", "r", "w")
 
 
+def node_score(mean: Column) -> Column:
+    """The negative mean weight to nine places, rounded as doubles are: scaled, to the nearest whole, back. Means of two
+    weights of nine places often lie half-way, where rounding their decimal text gives another order than the SQL has."""
+    return -(F.round(mean * 1e9, 0) / 1e9)
+
+
 def _placed(edges: DataFrame, linkage: bool, anchor: str, nodes_limit: int | None = None, rounds: int | None = None) -> DataFrame:
     """Ends with s (negative node score) and t (place in the node's list)."""
     ends = _ends(edges, linkage, anchor)
-    scores = ends.groupBy("node").agg((-F.round(F.avg("w"), 9)).alias("s"))
+    scores = ends.groupBy("node").agg(node_score(F.avg("w")).alias("s"))
     if nodes_limit is not None:
         scores = scores.orderBy("s", "node").limit(nodes_limit)
     ends = ends.withColumn("t", F.row_number().over(Window.partitionBy("node").orderBy(F.desc("w"), "other")))

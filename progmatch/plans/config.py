@@ -14,7 +14,7 @@ from pyspark.sql.window import Window
 
 from progmatch.operators import blocking, dense, encoders, measures, sortedlist, sparse
 from progmatch.operators.matching import Budget, Matcher, run_matching
-from progmatch.operators.schedule import SCHEDULERS, schedule
+from progmatch.operators.schedule import SCHEDULERS, node_score, schedule
 from progmatch.session import settle
 from progmatch.sources.profiles import Linkage, MultiSource, Task
 
@@ -228,7 +228,7 @@ def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], lin
         sides = [end("l", "r"), end("r", "l")] if not linkage else [end("l", "r")] if anchor == "left" else [end("r", "l")]
         own = Window.partitionBy("config", "node")
         ends = edges.select("config", "l", "r", "w", F.explode(F.array(*sides)).alias("e")).select("config", "l", "r", "w", "e.*")
-        ends = ends.withColumn("t", F.row_number().over(own.orderBy(F.desc("w"), "other"))).withColumn("s", -F.round(F.avg("w").over(own), 9))
+        ends = ends.withColumn("t", F.row_number().over(own.orderBy(F.desc("w"), "other"))).withColumn("s", node_score(F.avg("w").over(own)))
         keys = ("t", "s", "node") if kind == "breadth" else ("s", "node", "t")
         edges = ends.groupBy("config", "l", "r").agg(F.first("w").alias("w"), F.min("t").alias("best"), F.min(F.struct(*keys)).alias("k"))
         order = [F.col(f"k.{k}") for k in keys]

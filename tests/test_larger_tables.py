@@ -59,3 +59,18 @@ def test_brute_force_takes_more_suppliers_than_the_guard(spark, tmp_path):
     spark.range(1, n + 1).selectExpr("id as s_suppkey", "concat('Supplier#', id) as s_name").write.parquet(f"{tmp_path}/supplier.parquet")
     found = method_queries()["brute_force"](spark, str(tmp_path))
     assert tuple(found.selectExpr("count(*)", "count_if(l < r)", "sum(r - l)").first()) == (n * (n - 1) // 2, n * (n - 1) // 2, (n - 1) * n * (n + 1) // 6)
+
+
+def test_half_way_scores_are_rounded_as_in_sql(spark):
+    import duckdb
+    from pyspark.sql import functions as F
+
+    from progmatch.operators.schedule import node_score
+
+    rows = [(i, w / 1e9) for i in range(400) for w in (1_000_003 * i % 999_983_777, 7_919 * i * i % 99_991_111 + i % 2)]
+    df = spark.createDataFrame(rows, "node long, w double")
+    got = {r["node"]: r["s"] for r in df.groupBy("node").agg(node_score(F.avg("w")).alias("s")).collect()}
+    values = ", ".join(f"({i}, {w!r}::DOUBLE)" for i, w in rows)
+    want = dict(duckdb.sql(f"SELECT node, -round(avg(w), 9) FROM (VALUES {values}) v(node, w) GROUP BY 1").fetchall())
+    assert got == want
+    assert any(r["s"] != want[r["node"]] for r in df.groupBy("node").agg((-F.round(F.avg("w"), 9)).alias("s")).collect())
