@@ -10,7 +10,7 @@ from pyspark.sql.window import Window
 
 from progmatch.functions.text import words
 from progmatch.operators.pairs import KEY_ROWS, meet_evenly
-from progmatch.session import settle
+from progmatch.session import drop, release, settle
 from progmatch.sources.profiles import Task
 
 
@@ -67,14 +67,17 @@ def filter_blocks(blocks: DataFrame, stats: DataFrame, ratio: float = 0.8) -> Da
 
 
 def refined(task: Task, purge: str = "size", ratio: float | None = 0.8, max_block_size: int | None = None, block_fn=None) -> tuple[DataFrame, DataFrame]:
-    """(blocks, stats) after purging and filtering; blocks carry n and card. The tokens are settled, as each step reads them."""
+    """(blocks, stats) after purging and filtering; blocks carry n and card. The tokens are settled, as each step reads them, and
+    so is what is kept, behind which tokens and shuffle files go."""
     blocks = settle(token_blocks(task, block_fn), "tokens")
     records = task.profiles.count() if purge == "size" else None
-    stats = purge_blocks(blocks, block_stats(blocks, task.linkage), purge, records)
+    stats = settle(purge_blocks(blocks, block_stats(blocks, task.linkage), purge, records), "stats")
     if max_block_size:
         stats = stats.where(F.col("n") <= max_block_size)
-    kept = filter_blocks(blocks, stats, ratio) if ratio else blocks.join(stats.select("bkey"), "bkey", "left_semi")
-    stats = block_stats(kept, task.linkage)
+    kept = settle(filter_blocks(blocks, stats, ratio) if ratio else blocks.join(stats.select("bkey"), "bkey", "left_semi"), "kept")
+    release(kept.sparkSession)
+    drop(blocks)
+    stats = settle(block_stats(kept, task.linkage), "stats")
     return kept.join(stats, "bkey"), stats
 
 

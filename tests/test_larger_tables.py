@@ -74,3 +74,33 @@ def test_half_way_scores_are_rounded_as_in_sql(spark):
     want = dict(duckdb.sql(f"SELECT node, -round(avg(w), 9) FROM (VALUES {values}) v(node, w) GROUP BY 1").fetchall())
     assert got == want
     assert any(r["s"] != want[r["node"]] for r in df.groupBy("node").agg((-F.round(F.avg("w"), 9)).alias("s")).collect())
+
+
+def _first_blocks(rows, linkage, budget):
+    """Pairs in the order of their first block, by brute force over (bkey, card, [(source, pid)])."""
+    found = {}
+    for bkey, card, members in rows:
+        for a, b in ((a, b) for a in members for b in members):
+            if (a[0] == "L" and b[0] == "R") if linkage else a[1] < b[1]:
+                found.setdefault((a[1], b[1]), []).append((card, bkey))
+    keyed = sorted((min(bs), -round(sum(1 / c for c, _ in bs), 9), *pair) for pair, bs in found.items())
+    return [(i, left, right, -w) for i, (_, w, left, right) in enumerate(keyed[:budget], 1)], len(found)
+
+
+def test_block_by_block_makes_the_pairs_of_the_smallest_blocks_only(spark):
+    from progmatch.operators import baselines, blocking
+    from progmatch.sources.profiles import Task
+
+    texts = _texts()[:60]
+    df = spark.createDataFrame([("L" if i % 2 else "R", i, t if i < 29 else f"{t} twin{i // 2} some{i // 5} other{i // 2}") for i, t in texts], "source string, pid long, text string")
+    for task in (Task(df.where("source = 'L'"), "dedup"), Task(df, "linkage")):
+        blocks, stats = blocking.refined(task, "none", None)
+        rows = {}
+        for r in blocks.collect():
+            rows.setdefault((r["bkey"], r["card"]), []).append((r["source"], r["pid"]))
+        for budget in (7, 10_000):
+            want, every = _first_blocks([(*k, m) for k, m in rows.items()], task.linkage, budget)
+            got = baselines.baseline_block_progressive(task, budget, "none", None)
+            assert [tuple(r) for r in got.orderBy("pos").collect()] == want
+            if budget == 7:
+                assert 7 <= baselines._first_pairs(blocks, stats, task.linkage, 7).count() < every / 10
