@@ -104,3 +104,49 @@ def test_block_by_block_makes_the_pairs_of_the_smallest_blocks_only(spark):
             assert [tuple(r) for r in got.orderBy("pos").collect()] == want
             if budget == 7:
                 assert 7 <= baselines._first_pairs(blocks, stats, task.linkage, 7).count() < every / 10
+
+
+def test_exact_neighbours_are_brute_force_and_no_vector_is_shuffled(spark):
+    import numpy as np
+
+    from progmatch.operators import dense
+
+    rng = np.random.default_rng(3)
+    vecs = np.concatenate((rng.normal(size=(30, 4)), np.repeat(rng.normal(size=(2, 4)), 20, axis=0), np.zeros((3, 4))))
+    ids = rng.permutation(len(vecs))
+    df = spark.createDataFrame([("L" if i % 3 else "R", int(p), [float(x) for x in v]) for i, (p, v) in enumerate(zip(ids, vecs, strict=True))], "source string, pid long, vec array<double>").repartition(3)
+    rows = {p: v for p, v in zip(ids, vecs, strict=True)}
+    source = {int(p): "L" if i % 3 else "R" for i, p in enumerate(ids)}
+    for sim in ("cosine", "euclid"):
+        want, names = {0: set(), 1: set()}, sorted(rows)
+        every = dict(zip(names, np.round(dense._similarities(np.stack([rows[p] for p in names]), np.stack([rows[p] for p in names]), sim), 9), strict=True))
+        for side, own, other in ((0, "L", "R"), (1, "R", "L")):
+            for q in (p for p in names if source[p] == own):
+                best = sorted((-every[q][names.index(i)], i) for i in names if source[i] == other)[:4]
+                want[side] |= {(side, q, i, -w) for w, i in best}
+        packed = dense.packed_vectors(df, 7)
+        assert packed.count() >= 9
+        got = dense.exact_neighbours(packed.where("source = 'L'"), packed.where("source = 'R'"), sim, 4, False)
+        assert {tuple(r) for r in got.collect()} == want[0] | want[1]
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert "CartesianProduct" in plan and "FlatMapGroupsInPandas" not in plan
+        alone = dense.exact_pairs(df.select("pid", "vec"), df.select("pid", "vec"), sim, 4, True, 7)
+        best = {(q, i, -w) for q in names for w, i in sorted((-every[q][names.index(i)], i) for i in names if i != q)[:4]}
+        assert {tuple(r) for r in alone.collect()} == best
+
+
+def test_vectors_made_row_by_row_are_those_of_the_joined_weights(spark):
+    import numpy as np
+
+    from progmatch.operators import encoders
+    from progmatch.operators.sparse import scored, term_counts
+    from progmatch.sources.profiles import Dedup
+
+    task = Dedup(spark.createDataFrame([("L", i, t) for i, t in _texts()], "source string, pid long, text string"))
+    n = task.profiles.count()
+    joined = encoders._hashed_vectors(scored(term_counts(task, "word1"), n, ("tfidf",)).withColumnRenamed("tfidf", "w"), task.profiles, 16)
+    want = {r["pid"]: r["vec"] for r in joined.collect()}
+    made = encoders.encode(task, "sent", 16)
+    got = {r["pid"]: r["vec"] for r in made.collect()}
+    assert set(got) == set(want) and all(np.allclose(got[p], want[p], atol=1e-12) for p in want)
+    assert "Exchange" not in made._jdf.queryExecution().executedPlan().toString()
