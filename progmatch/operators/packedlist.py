@@ -15,6 +15,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from progmatch.functions.text import words
+from progmatch.operators.order import positioned
+from progmatch.operators.schedule import SCHEDULERS
 from progmatch.operators.sortedlist import SCOPES, SORTED_WEIGHTS
 from progmatch.session import release, settle, shuffle_width
 from progmatch.sources.profiles import Task
@@ -98,8 +100,9 @@ def position_pairs(keys: np.ndarray, behind: np.ndarray, reach: int, linkage: bo
 Finish = Callable[[np.ndarray, np.ndarray, np.ndarray], list[np.ndarray]]  # (l, r, h of shape (pairs, reach)) -> columns
 
 
-def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Finish) -> DataFrame:
-    """(l, r, columns of `finish`) of every pair of profiles at most `reach` positions apart, each once."""
+def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Finish, whole: bool = False) -> DataFrame:
+    """(l, r, columns of `finish`) of every pair of profiles at most `reach` positions apart, each once; with `whole`, what finish
+    makes of all pairs of some owners is the result: pairs of a call are in the order of l and r, and no other call has the same l."""
     spark = packed.sparkSession
     behind = spark.sparkContext.broadcast(_following(packed, reach))
     lots, bits = LOTS * shuffle_width(spark), reach.bit_length()
@@ -148,8 +151,8 @@ def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Fi
             pair = np.cumsum(new) - 1
             l, r, n = l[new], r[new], int(pair[-1]) + 1  # noqa: E741
             h = np.bincount(pair * reach + d - 1, minlength=n * reach).reshape(n, reach)
-            columns = [l, r, *finish(l, r, h)]
-            for a in range(0, n, 1 << 16):
+            columns = finish(l, r, h) if whole else [l, r, *finish(l, r, h)]
+            for a in range(0, len(columns[0]), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(c[a : a + (1 << 16)]) for c in columns], names)
 
         now, parts = None, []
@@ -212,19 +215,94 @@ def position_counts(packed: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     return rows["key"].to_numpy(np.int64), rows["p"].to_numpy(np.float64)
 
 
-def packed_weights(packed: DataFrame, weight: str, scope: str, window: int, linkage: bool) -> DataFrame:
-    """(l, r, w), rounded, of every pair inside the window."""
+def _weigher(packed: DataFrame, weight: str, scope: str, linkage: bool) -> Callable[[np.ndarray, np.ndarray, np.ndarray], np.ndarray]:
+    """(l, r, h) -> weights, not rounded."""
     if weight not in SORTED_WEIGHTS or scope not in SCOPES:
         raise ValueError(f"unknown weight or scope: {weight}, {scope}")
     if weight in ("acf", "id"):
-        made = summed(packed, window, linkage, "l long, r long, w double", lambda l, r, h: [weights(h, weight, scope)])
-    else:
-        known = packed.sparkSession.sparkContext.broadcast(position_counts(packed))
+        return lambda l, r, h: weights(h, weight, scope)
+    known = packed.sparkSession.sparkContext.broadcast(position_counts(packed))
+
+    def weigh(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> np.ndarray:  # noqa: E741
+        keys, p = known.value
+        of = lambda x: p[np.searchsorted(keys, x)]
+        return weights(h, weight, scope, of(2 * l if linkage else l), of(2 * r + 1 if linkage else r))
 
-        def finish(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
-            keys, p = known.value
-            of = lambda x: p[np.searchsorted(keys, x)]
-            return [weights(h, weight, scope, of(2 * l if linkage else l), of(2 * r + 1 if linkage else r))]
+    return weigh
 
-        made = summed(packed, window, linkage, "l long, r long, w double", finish)
+
+def packed_weights(packed: DataFrame, weight: str, scope: str, window: int, linkage: bool) -> DataFrame:
+    """(l, r, w), rounded, of every pair inside the window."""
+    weigh = _weigher(packed, weight, scope, linkage)
+    made = summed(packed, window, linkage, "l long, r long, w double", lambda l, r, h: [weigh(l, r, h)])
     return made.withColumn("w", F.round("w", 9)).where("w > 0")
+
+
+def _nine(x: np.ndarray) -> np.ndarray:
+    return np.floor(x * 1e9 + 0.5) / 1e9
+
+
+def _order_keys(kind: str, l: np.ndarray, r: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:  # noqa: E741
+    """Four numbers that put a linkage's pairs in the scheduler's order, the left profile its node. All pairs of a node are there, by l and r."""
+    zero = np.zeros(len(l), np.int64)
+    if kind == "edge":
+        return zero, -w, l, r
+    node = np.cumsum(np.diff(l, prepend=l[:1]) != 0)
+    first = np.searchsorted(node, np.arange(node[-1] + 1 if len(node) else 0))
+    s = -_nine(np.bincount(node, w) / np.bincount(node))[node]
+    order = np.lexsort((r, -w, node))
+    t = np.empty(len(l), np.int64)
+    t[order] = np.arange(len(l)) - first[node] + 1
+    if kind == "depth":
+        return zero, s, l, t
+    if kind == "breadth":
+        return t, s, l, zero
+    best = t == 1
+    return np.where(best, 1, 2), np.where(best, -w, s), l, np.where(best, r, t)
+
+
+#: Steps in which the second key of an order is counted: as many as doubles have in their upper bits.
+KEY_BITS = 24
+
+
+def _steps(first: np.ndarray, second: np.ndarray) -> np.ndarray:
+    """Whole numbers that never fall where (first, second) rises."""
+    bits = (second + 0.0).view(np.int64)
+    rising = np.where(bits < 0, ~bits, bits | np.int64(-(1 << 63))).view(np.uint64) >> np.uint64(64 - KEY_BITS)
+    return first << KEY_BITS | rising.astype(np.int64)
+
+
+def packed_schedule(packed: DataFrame, weight: str, scope: str, window: int, kind: str, budget: int) -> DataFrame:
+    """(pos, l, r, w): what schedule() gives for packed_weights() of a linkage, anchor left, without all pairs on disk.
+
+    A node's pairs are all in one task, which knows their places in the order but for the number of pairs before. So pairs are
+    added up twice: to count them by steps of the order, then to give on those of the steps that the budget reaches.
+    """
+    if kind not in SCHEDULERS:
+        raise ValueError(f"unknown scheduler: {kind}")
+    if budget < 0:
+        raise ValueError(f"negative budget: {budget}")
+    weigh = _weigher(packed, weight, scope, True)
+
+    def keyed(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, ...]:  # noqa: E741
+        w = _nine(weigh(l, r, h))
+        l, r, w = l[w > 0], r[w > 0], w[w > 0]  # noqa: E741
+        return l, r, w, *_order_keys(kind, l, r, w)
+
+    def count(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
+        step, n = np.unique(_steps(*keyed(l, r, h)[3:5]), return_counts=True)
+        return [step, n.astype(np.int64)]
+
+    counts = summed(packed, window, True, "step long, n long", count, True).groupBy("step").agg(F.sum("n").alias("n")).toPandas().sort_values("step")
+    release(packed.sparkSession)
+    reached = counts["step"][counts["n"].cumsum() >= budget]
+    last = int(reached.iloc[0]) if len(reached) else np.iinfo(np.int64).max
+
+    def give(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
+        columns = keyed(l, r, h)
+        use = _steps(*columns[3:5]) <= last
+        return [c[use] for c in columns]
+
+    near = settle(summed(packed, window, True, "l long, r long, w double, o0 long, o1 double, o2 long, o3 long", give, True), "scheduled")
+    release(packed.sparkSession)
+    return positioned(near, ["o0", "o1", "o2", "o3", "l", "r"], limit=budget).select("pos", "l", "r", "w")

@@ -204,11 +204,13 @@ def all_pairs(task: Task, most_pairs: int | None = 10_000_000) -> DataFrame:
 
 def evaluate(dataset: str, family: str, name: str, edges: DataFrame, truth: DataFrame, budgets: list[int], linkage: bool, schedulers: tuple[str, ...] = SCHEDULERS) -> DataFrame:
     """(dataset, family, config, scheduler, budget, n_truth, found, recall, pr): one schedule to the largest budget serves all."""
-    parts = []
-    for kind in schedulers:
-        rows = measures.recall_table(schedule(edges, kind, max(budgets), linkage), truth, budgets)
-        parts.append(rows.select(F.lit(dataset).alias("dataset"), F.lit(family).alias("family"), F.lit(name).alias("config"), F.lit(kind).alias("scheduler"), *rows.columns))
-    return reduce(DataFrame.unionByName, parts)
+    return reduce(DataFrame.unionByName, [evaluate_order(dataset, family, name, kind, schedule(edges, kind, max(budgets), linkage), truth, budgets) for kind in schedulers])
+
+
+def evaluate_order(dataset: str, family: str, name: str, kind: str, order: DataFrame, truth: DataFrame, budgets: list[int]) -> DataFrame:
+    """What evaluate gives for an order that is there."""
+    rows = measures.recall_table(order, truth, budgets)
+    return rows.select(F.lit(dataset).alias("dataset"), F.lit(family).alias("family"), F.lit(name).alias("config"), F.lit(kind).alias("scheduler"), *rows.columns)
 
 
 def evaluate_stack(stacked: DataFrame, truth: DataFrame, budgets: list[int], linkage: bool, kind: str = "edge", anchor: str = "left") -> DataFrame:

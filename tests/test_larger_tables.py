@@ -150,3 +150,23 @@ def test_vectors_made_row_by_row_are_those_of_the_joined_weights(spark):
     got = {r["pid"]: r["vec"] for r in made.collect()}
     assert set(got) == set(want) and all(np.allclose(got[p], want[p], atol=1e-12) for p in want)
     assert "Exchange" not in made._jdf.queryExecution().executedPlan().toString()
+
+
+def test_packed_schedules_are_the_schedules_of_all_pairs(spark):
+    from progmatch.operators import packedlist
+    from progmatch.operators.schedule import SCHEDULERS, schedule
+    from progmatch.session import settle
+    from progmatch.sources.profiles import Task
+
+    df = spark.createDataFrame([("LR"[i % 2], i, t) for i, t in _texts()], "source string, pid long, text string")
+    packed = packedlist.packed_list(Task(df, "linkage"), chunk=50)
+    for weight, window, kinds in (("acf", 10, SCHEDULERS), ("dncf", 3, ("depth",))):
+        edges = settle(packedlist.packed_weights(packed, weight, "global", window, True), "edges")
+        n = edges.count()
+        for kind in kinds:
+            want = [tuple(r) for r in schedule(edges, kind, n, True).orderBy("pos").collect()]
+            for budget in (40, n + 5) if kind == "hybrid" else (40,):
+                got = packedlist.packed_schedule(packed, weight, "global", window, kind, budget)
+                assert [tuple(r) for r in got.orderBy("pos").collect()] == want[:budget]
+    steps = packedlist._steps(*[c.repeat(4) for c in (packedlist.np.array([0, 0, 1]), packedlist.np.array([-2.0, 3.0, -9.0]))])
+    assert (packedlist.np.diff(steps) >= 0).all() and len(set(steps.tolist())) == 3
