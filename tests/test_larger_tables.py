@@ -170,3 +170,34 @@ def test_packed_schedules_are_the_schedules_of_all_pairs(spark):
                 assert [tuple(r) for r in got.orderBy("pos").collect()] == want[:budget]
     steps = packedlist._steps(*[c.repeat(4) for c in (packedlist.np.array([0, 0, 1]), packedlist.np.array([-2.0, 3.0, -9.0]))])
     assert (packedlist.np.diff(steps) >= 0).all() and len(set(steps.tolist())) == 3
+
+
+def test_packed_postings_give_the_nearest_of_the_joined_ones(spark, monkeypatch):
+    from progmatch.operators import postings, sparse
+    from progmatch.session import settle
+    from progmatch.sources.profiles import Task
+
+    df = spark.createDataFrame([("LR"[i % 3 == 0], i, t) for i, t in _texts()], "source string, pid long, text string").repartition(2)
+    for task, scoring in ((Task(df, "linkage"), "tfidf"), (Task(df.where("source = 'L'"), "dedup"), "tf")):
+        pairs = settle(sparse.sparse_pairs(task, "word2", (scoring,)).select("l", "r", sparse.similarity("cosine", scoring).alias("w")).where("w > 0"), "pairs")
+        packed = postings.packed_postings(task, "word2", scoring, 7)
+        left, right = (packed.where(f"source = '{s}'") if task.linkage else packed for s in "LR")
+        met = postings.nearest_cosine(left, right, 3, not task.linkage)
+        assert "CartesianProduct" in met._jdf.queryExecution().executedPlan().toString()
+        near = settle(met, "near")
+        for side in sparse.SIDES if task.linkage else ("both",):
+            want = sorted(tuple(r) for r in sparse.nearest(pairs, 3, task.linkage, side, task.sizes()).collect())
+            assert want and sorted(tuple(r) for r in postings.edges_of_side(near, task.linkage, side, task.sizes()).collect()) == want
+    import numpy as np
+
+    rng = np.random.default_rng(1)
+    blocks = [(np.sort(rng.integers(0, 9, 40)), rng.integers(0, n, 40), rng.normal(size=40)) for n in (5, 6)]
+    want = np.zeros((5, 6))
+    for g, i, a in zip(*blocks[0], strict=True):
+        for h, j, b in zip(*blocks[1], strict=True):
+            want[i, j] += a * b * (g == h)
+    monkeypatch.setattr(postings, "HELD_PRODUCTS", 3)
+    assert np.allclose(postings.products(*blocks, 5, 6), want)
+    assert postings.products(*[tuple(c[:0] for c in b) for b in blocks], 5, 6).sum() == 0
+    monkeypatch.setattr(postings, "MOST_GRAMS", 3)
+    assert postings.packed_postings(task, "word2", "tf") is None
