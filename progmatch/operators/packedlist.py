@@ -1,8 +1,9 @@
 """The sorted list and its position pairs in packed form: few bytes for each pair go through the shuffle, and nothing else does.
 
-The list is put in order once and kept as chunks of profile keys; a position is its place. Each chunk, with the first keys of
-the next, gives the pairs that begin in it, dealt by the profile that owns them and packed as bytes; a task adds up the pairs
-of its owners. The sums go straight to their reader: pairs are neither shuffled as rows nor settled.
+The list is put in order once and kept as chunks of profile keys; a position is its place. A chunk, with the first keys of the
+next, has the pairs that begin in it. Each task reads the whole list, takes the pairs that its profiles own and adds them up:
+no pair is shuffled. What tasks read grows with the square of the list, so a list of over MOST_READ positions is read once, its
+pairs dealt by their owner and packed as bytes. The sums go straight to their reader: pairs are not settled.
 """
 
 from __future__ import annotations
@@ -27,6 +28,10 @@ LOTS = 8
 #: Numbers of positions are sent to every task up to so many profiles.
 MOST_PROFILES = 4_000_000
 LARGEST_ID = 1 << 57
+#: Every task reads the list up to so many positions; beyond, pairs are shuffled.
+MOST_READ = 1 << 28
+#: Position pairs that a task of the list's readers holds at most, about.
+TASK_PAIRS = 1 << 22
 
 
 def packed_list(task: Task, seed: int = 0, chunk: int = CHUNK) -> DataFrame:
@@ -100,12 +105,90 @@ def position_pairs(keys: np.ndarray, behind: np.ndarray, reach: int, linkage: bo
 Finish = Callable[[np.ndarray, np.ndarray, np.ndarray], list[np.ndarray]]  # (l, r, h of shape (pairs, reach)) -> columns
 
 
+def owned_pairs(every: np.ndarray, n: int, at: np.ndarray, reach: int, linkage: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(l, r, d) of the pairs that begin at one of the first `n` keys and whose l stands at one of the places `at`."""
+    steps = np.concatenate((np.arange(-reach, 0), np.arange(1, reach + 1)))
+    there = at[:, None] + steps
+    begin = np.minimum(at[:, None], there)
+    use = (begin >= 0) & (begin < n) & (there < len(every))
+    l, r = every[at], every[np.where(use, there, 0)]  # noqa: E741
+    use &= r & 1 == 1 if linkage else r > l[:, None]
+    row, step = np.nonzero(use)
+    l, r, d = l[row], r[row, step], np.abs(steps)[step]  # noqa: E741
+    return (l >> 1, r >> 1, d) if linkage else (l, r, d)
+
+
+def _lots_of(l: np.ndarray, lots: int) -> np.ndarray:  # noqa: E741
+    """The lot of each owner, 0 to lots - 1."""
+    return ((l.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) * np.uint64(lots) >> np.uint64(32)).astype(np.int64)
+
+
+def _check_ids(*ids: np.ndarray) -> None:
+    if max(abs(int(x)) for c in ids for x in (c.min(), c.max())) >= LARGEST_ID:
+        raise ValueError("ids of 2^57 and more can't be packed")
+
+
 def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Finish, whole: bool = False) -> DataFrame:
     """(l, r, columns of `finish`) of every pair of profiles at most `reach` positions apart, each once; with `whole`, what finish
     makes of all pairs of some owners is the result: pairs of a call are in the order of l and r, and no other call has the same l."""
-    spark = packed.sparkSession
+    spark, bits = packed.sparkSession, reach.bit_length()
     behind = spark.sparkContext.broadcast(_following(packed, reach))
-    lots, bits = LOTS * shuffle_width(spark), reach.bit_length()
+    names = [f.split(" ")[0] for f in schema.split(", ")]
+
+    def added(l: np.ndarray, value: np.ndarray) -> Iterator[pa.RecordBatch]:  # noqa: E741
+        order = np.lexsort((value, l))
+        l, value = l[order], value[order]  # noqa: E741
+        r, d = value >> bits, value & ((1 << bits) - 1)
+        new = np.ones(len(l), bool)
+        new[1:] = (l[1:] != l[:-1]) | (r[1:] != r[:-1])
+        pair = np.cumsum(new) - 1
+        l, r, n = l[new], r[new], int(pair[-1]) + 1  # noqa: E741
+        h = np.bincount(pair * reach + d - 1, minlength=n * reach).reshape(n, reach)
+        columns = finish(l, r, h) if whole else [l, r, *finish(l, r, h)]
+        for a in range(0, len(columns[0]), 1 << 16):
+            yield pa.RecordBatch.from_arrays([pa.array(c[a : a + (1 << 16)]) for c in columns], names)
+
+    positions = packed.agg(F.coalesce(F.sum(F.length("keys")), F.lit(0))).first()[0] // 8
+    if positions <= MOST_READ:
+        return _summed_by_reading(packed, behind, reach, linkage, schema, added, positions)
+    return _summed_by_dealing(packed, behind, reach, linkage, schema, added)
+
+
+def _summed_by_reading(packed: DataFrame, behind, reach: int, linkage: bool, schema: str, added: Callable, positions: int) -> DataFrame:
+    spark, bits = packed.sparkSession, reach.bit_length()
+    tasks = max(shuffle_width(spark), -(-positions * reach // (2 * TASK_PAIRS if linkage else TASK_PAIRS)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[tuple[np.ndarray, np.ndarray]]] = [[] for _ in range(LOTS)]
+        for batch in batches:
+            for row in range(batch.num_rows):
+                at, k, task = (batch.column(c)[row].as_py() for c in (0, 1, 3))
+                keys = np.frombuffer(batch.column(2)[row].as_buffer(), "<i8")
+                every = np.concatenate((keys, behind.value[at, k]))
+                lot = _lots_of(every >> 1 if linkage else every, tasks * LOTS)
+                mine = lot // LOTS == task
+                l, r, d = owned_pairs(every, len(keys), np.flatnonzero(mine & (every & 1 == 0) if linkage else mine), reach, linkage)  # noqa: E741
+                if not len(l):
+                    continue
+                _check_ids(l, r)
+                lot, value = _lots_of(l, tasks * LOTS) % LOTS, r << bits | d
+                for j in range(LOTS):
+                    use = lot == j
+                    if use.any():
+                        held[j].append((l[use], value[use]))
+        for j in range(LOTS):
+            if parts := held[j]:
+                held[j] = []
+                yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+
+    # one partition of the list meets each task: the task streams it
+    ask = spark.range(0, tasks, 1, tasks).select(F.col("id").alias("task")).hint("shuffle_replicate_nl")
+    return packed.select("at", "k", "keys").coalesce(1).crossJoin(ask).mapInArrow(run, schema)
+
+
+def _summed_by_dealing(packed: DataFrame, behind, reach: int, linkage: bool, schema: str, added: Callable) -> DataFrame:
+    spark, bits = packed.sparkSession, reach.bit_length()
+    lots = LOTS * shuffle_width(spark)
 
     def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -114,9 +197,8 @@ def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Fi
                 l, r, d = position_pairs(keys, behind.value[at, k], reach, linkage)  # noqa: E741
                 if not len(l):
                     continue
-                if max(abs(int(x)) for c in (l, r) for x in (c.min(), c.max())) >= LARGEST_ID:
-                    raise ValueError("ids of 2^57 and more can't be packed")
-                lot = ((l.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)) % np.uint64(lots)).astype(np.int32)
+                _check_ids(l, r)
+                lot = _lots_of(l, lots).astype(np.int32)
                 order = np.lexsort((l, lot))
                 l, value, lot = l[order], (r << bits | d)[order], lot[order]  # noqa: E741
                 new = np.ones(len(l), bool)
@@ -139,32 +221,16 @@ def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Fi
         return np.repeat(owners, counts), _whole(data, at, m)[0]
 
     def add_up(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        names = [f.split(" ")[0] for f in schema.split(", ")]
-
-        def of(parts: list[tuple[np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
-            l, value = (np.concatenate(c) for c in zip(*parts, strict=True))  # noqa: E741
-            order = np.lexsort((value, l))
-            l, value = l[order], value[order]  # noqa: E741
-            r, d = value >> bits, value & ((1 << bits) - 1)
-            new = np.ones(len(l), bool)
-            new[1:] = (l[1:] != l[:-1]) | (r[1:] != r[:-1])
-            pair = np.cumsum(new) - 1
-            l, r, n = l[new], r[new], int(pair[-1]) + 1  # noqa: E741
-            h = np.bincount(pair * reach + d - 1, minlength=n * reach).reshape(n, reach)
-            columns = finish(l, r, h) if whole else [l, r, *finish(l, r, h)]
-            for a in range(0, len(columns[0]), 1 << 16):
-                yield pa.RecordBatch.from_arrays([pa.array(c[a : a + (1 << 16)]) for c in columns], names)
-
         now, parts = None, []
         for batch in batches:
             for lot, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 if parts and lot != now:
-                    yield from of(parts)
+                    yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
                     parts = []
                 now = lot
                 parts.append(unpacked(data.as_buffer().to_pybytes()))
         if parts:
-            yield from of(parts)
+            yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
 
     # chunks are far smaller than what comes of them: each range of the list has its own task
     dealt = packed.repartition(max(1, packed.count()), "at", "k").mapInArrow(deal, "lot int, packed binary")

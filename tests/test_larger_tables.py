@@ -201,3 +201,26 @@ def test_packed_postings_give_the_nearest_of_the_joined_ones(spark, monkeypatch)
     assert postings.products(*[tuple(c[:0] for c in b) for b in blocks], 5, 6).sum() == 0
     monkeypatch.setattr(postings, "MOST_GRAMS", 3)
     assert postings.packed_postings(task, "word2", "tf") is None
+
+
+def test_position_pairs_are_not_shuffled_and_longer_lists_give_the_same(spark, monkeypatch, tmp_path):
+    from progmatch.operators import packedlist
+    from progmatch.plans import fixtures
+    from progmatch.sources.profiles import Dedup, Task
+
+    df = spark.createDataFrame([("LR"[i % 2], i, t) for i, t in _texts()], "source string, pid long, text string")
+    for task in (Task(df, "linkage"), Dedup(df)):
+        packed = fixtures.once(spark, str(tmp_path), f"packed_{task.kind}", lambda t=task: packedlist.packed_list(t, chunk=7))
+        assert "packed-list" in packed.settled_at  # written once
+        read = packedlist.histograms(packed, 10, task.linkage)
+        assert "CartesianProduct" in (plan := read._jdf.queryExecution().executedPlan().toString()) and "Exchange" not in plan
+        want = sorted(tuple(r) for r in read.collect())
+        with monkeypatch.context() as m:
+            m.setattr(packedlist, "TASK_PAIRS", 500)  # more tasks than the session's width
+            assert sorted(tuple(r) for r in packedlist.histograms(packed, 10, task.linkage).collect()) == want
+            m.setattr(packedlist, "MOST_READ", 0)
+            dealt = packedlist.histograms(packed, 10, task.linkage)
+            assert "Exchange" in dealt._jdf.queryExecution().executedPlan().toString()
+            assert sorted(tuple(r) for r in dealt.collect()) == want
+    empty = packedlist.packed_list(Task(df.limit(0), "linkage"))
+    assert packedlist.histograms(empty, 10, True).count() == 0
