@@ -224,3 +224,22 @@ def test_position_pairs_are_not_shuffled_and_longer_lists_give_the_same(spark, m
             assert sorted(tuple(r) for r in dealt.collect()) == want
     empty = packedlist.packed_list(Task(df.limit(0), "linkage"))
     assert packedlist.histograms(empty, 10, True).count() == 0
+
+
+def test_passages_are_found_byte_for_byte_without_a_join(spark, monkeypatch):
+    from progmatch.plans import fixtures
+    from progmatch.plans.fixtures import holders
+
+    monkeypatch.setattr(fixtures, "SEARCHED", 64)
+    data = fixtures.np.frombuffer(b"ab12345678" * 30, fixtures.np.uint8)
+    assert fixtures.places_of(data, fixtures.np.array([int.from_bytes(b"12345678", "little")], fixtures.np.uint64)).tolist() == list(range(2, 300, 10))
+
+    texts = [(1, "a łong pâssage stands here"), (2, "łong pâssage"), (3, None), (4, ""), (5, "long passage"), (None, "a łong pâssage"), (6, "x" * 3000 + "łong pâssage" + "y" * 3000)]
+    docs = spark.createDataFrame(texts, "r long, text string")
+    items = spark.createDataFrame([(10, "łong pâssage"), (11, "x" * 150), (12, None), (13, ""), (14, "łong pâssage stands"), (15, "łong pâssagf")], "l long, passage string")
+    got = holders(docs, items)
+    plan = got._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoopJoin" not in plan and "contains" not in plan.lower()
+    want = [(r["l"], r["r"]) for r in docs.crossJoin(items).where("contains(text, passage)").collect()]
+    key = lambda x: (x[0], x[1] or 0)
+    assert len(want) == 12 and sorted((tuple(r) for r in got.collect()), key=key) == sorted(want, key=key)
