@@ -243,3 +243,28 @@ def test_passages_are_found_byte_for_byte_without_a_join(spark, monkeypatch):
     want = [(r["l"], r["r"]) for r in docs.crossJoin(items).where("contains(text, passage)").collect()]
     key = lambda x: (x[0], x[1] or 0)
     assert len(want) == 12 and sorted((tuple(r) for r in got.collect()), key=key) == sorted(want, key=key)
+
+
+def test_packed_bm25_gives_the_best_of_the_joined_postings(spark, monkeypatch):
+    import numpy as np
+
+    from progmatch.operators import baselines, postings
+    from progmatch.sources.profiles import Dedup, Task
+
+    rows = [("LR"[i % 3 == 0], i, t) for i, t in _texts()[:40]] + [("L", 400, "é"), ("R", 401, "É !"), ("L", 402, "né 𝒳𝒳"), ("R", 403, "né 𝒳𝒳"), ("L", 404, None), ("R", 405, "..")]
+    df = spark.createDataFrame(rows, "source string, pid long, text string").repartition(2)
+    monkeypatch.setattr(postings, "BLOCK_ROWS", 7)
+    for task in (Task(df, "linkage"), Dedup(df.where("source = 'L'"))):
+        for index in ("largest", "smallest", "both") if task.linkage else ("largest",):
+            want = sorted(tuple(r) for r in baselines._joined_bm25(task, 3, index, "char3", 1.2, 0.75).collect())
+            found = baselines.baseline_bm25(task, 3, index)
+            assert "CartesianProduct" in found._jdf.queryExecution().executedPlan().toString()
+            got = sorted(tuple(r) for r in found.collect())
+            assert [r[:2] for r in got] == [r[:2] for r in want] and np.allclose([r[2] for r in got], [r[2] for r in want], atol=1.5e-9)
+    rng = np.random.default_rng(5)
+    blocks = [(np.sort(rng.integers(0, 9, 40)), rng.integers(0, n, 40), rng.normal(size=40)) for n in (5, 6)]
+    every = []
+    for share in (0, 1, 400):  # no gram, some, all as columns
+        monkeypatch.setattr(postings, "DENSE_SHARE", share)
+        every.append(postings.products(*blocks, 5, 6))
+    assert np.allclose(every[0], every[1]) and np.allclose(every[0], every[2])
