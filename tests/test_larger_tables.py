@@ -268,3 +268,15 @@ def test_packed_bm25_gives_the_best_of_the_joined_postings(spark, monkeypatch):
         monkeypatch.setattr(postings, "DENSE_SHARE", share)
         every.append(postings.products(*blocks, 5, 6))
     assert np.allclose(every[0], every[1]) and np.allclose(every[0], every[2])
+
+
+def test_the_shuffle_of_the_sample_goes_before_places_are_dealt(spark, monkeypatch):
+    from progmatch.operators import setjoin
+
+    done = []
+    noted = lambda name, f: lambda *a, **k: (f(*a, **k), done.append(name))[0]
+    for name in ("usual_grams", "release", "settle"):
+        monkeypatch.setattr(setjoin, name, noted(name, getattr(setjoin, name)))
+    df = spark.createDataFrame([("L", i, t) for i, t in _texts()[:20]], "source string, pid long, text string")
+    setjoin.candidates(df, 3, 0.5)
+    assert done[:3] == ["usual_grams", "release", "settle"]
