@@ -117,6 +117,25 @@ def test_incremental_emits_the_best_left_and_the_rest(spark, tmp_path):
     assert run_stream(spark, str(tmp_path / "in"), "source string, pid long, text string", budget=2).schedule().count() == 115 * 114 // 2 + 3
 
 
+@pytest.mark.parametrize("ahead", [1, 3, 50])
+def test_incremental_emits_no_pair_twice(spark, ahead):
+    """A later batch whose pairs are better than the last ones emitted must not bring those back; pairs left out of the pool return."""
+    texts = ["red green"] * 6 + ["red blue"] * 2 + [f"x{i // 2} red" for i in range(8)] + ["blue y"] * 3 + ["red", "lone"]
+    p, sets = profiles(spark, texts), [set(t.split()) for t in texts]
+    truth = spark.createDataFrame([(0, 7), (8, 9), (3, 16)], "l long, r long")
+    state, left, seen = Incremental(spark, 5, asked=truth, ahead=ahead), {}, []
+    for low, high in ((0, 6), (6, 12), (12, 16), (16, len(texts))):
+        rows = state.add(p.where((F.col("pid") >= low) & (F.col("pid") < high))).orderBy("pos").collect()
+        seen += range(low, high)
+        n = {t: sum(t in sets[i] for i in seen) for s in sets for t in s}
+        left |= {(i, j): round(sum(2 / (n[t] * (n[t] - 1)) for t in sets[i] & sets[j]), 9) for j in range(low, high) for i in range(j) if sets[i] & sets[j]}
+        best = sorted(left, key=lambda k: (-left[k], k))[:5]
+        assert [(r["l"], r["r"], r["w"]) for r in rows] == [(*k, left.pop(k)) for k in best]
+    assert state.rest() == (len(left), sum((r["l"], r["r"]) in left for r in truth.collect()))
+    assert [(r["l"], r["r"]) for r in state.flush().orderBy("pos").collect()] == sorted(left, key=lambda k: (-left[k], k))
+    assert state.rest() == (0, 0) and state.flush() is None
+
+
 def test_incremental_query_emits_every_pair(spark):
     from progmatch.plans.fixtures import Fixtures
     from progmatch.plans.workloads import incremental
