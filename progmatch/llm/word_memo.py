@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from itertools import repeat
 
 import numpy as np
 
@@ -18,7 +19,7 @@ class WordMemo:
     def __call__(self, words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(ids, first id of each word, its number of ids)."""
         at = self.at
-        place = np.fromiter((at.get(w, -1) for w in words), np.int64, len(words))
+        place = np.fromiter(map(at.get, words, repeat(-1)), np.int64, len(words))
         new = np.flatnonzero(place < 0)
         ids, lengths = self.ids, self.lengths
         if len(new):
@@ -29,7 +30,7 @@ class WordMemo:
             room = self.most - len(at)
             if room > 0:
                 base = len(self.lengths)
-                at.update((w, base + i) for i, w in enumerate(fresh_words[:room]))
+                at.update(zip(fresh_words[:room], range(base, base + room), strict=False))
                 upto = base + min(room, len(new))
                 self.lengths = lengths[:upto].copy()
                 self.ids = ids[: int(self.lengths.sum())].copy()

@@ -221,6 +221,34 @@ def test_token_files(spark):
     assert token_files.write_files(table(spark, []), path, shared_path(spark, "none")).count() == 0
 
 
+def test_new_words_are_encoded_together(monkeypatch):
+    """Only the mark is encoded by the call that tells where ids lie, and a word with the mark inside takes 4,096 words at most apart."""
+    import tokenizers
+
+    path = public_tokenizers.path("word_bpe_49k.json")
+    real, calls = tokenizers.Tokenizer.from_file(path), Counter()
+
+    class Counting:
+        from_file = staticmethod(lambda _: Counting())
+
+        def encode(self, text, **kw):
+            calls["slow"] += 1
+            return real.encode(text, **kw)
+
+        def encode_batch_fast(self, texts, **kw):
+            calls["texts"] += len(texts)
+            return real.encode_batch_fast(texts, **kw)
+
+    monkeypatch.setattr(tokenizers, "Tokenizer", Counting)
+    monkeypatch.setattr(token_files, "_MEMOS", {})
+    texts = [" ".join(f"Word{i}é's," for i in range(9000)), None, "", "a\x01b \x01 don't", *[t or "" for t in TEXTS]]
+    for _ in range(2):  # new words, then known ones
+        ids, ends = token_files.encoded(pa.array([t or "" for t in texts], pa.large_string()), path)
+        for t, a, b in zip(texts, [0, *ends[:-1]], ends, strict=True):
+            assert ids[a:b].tolist() == real.encode(t or "", add_special_tokens=False).ids + [2]
+    assert calls["slow"] == 1 and calls["texts"] <= 4096 + 2
+
+
 @pytest.mark.parametrize("bits", [3, 8])
 def test_direct_access(bits):
     rng = np.random.default_rng(bits)
