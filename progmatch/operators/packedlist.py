@@ -338,6 +338,12 @@ def _steps(first: np.ndarray, second: np.ndarray) -> np.ndarray:
     return first << KEY_BITS | rising.astype(np.int64)
 
 
+def _steps_of(kind: str, keys: tuple[np.ndarray, ...]) -> np.ndarray:
+    """The steps of an order's keys. Breadth rises with the place in the node, at which each node has one pair at most: the driver sees
+    no more steps than the largest node has pairs."""
+    return keys[0] if kind == "breadth" else _steps(*keys[:2])
+
+
 def packed_schedule(packed: DataFrame, weight: str, scope: str, window: int, kind: str, budget: int) -> DataFrame:
     """(pos, l, r, w): what schedule() gives for packed_weights() of a linkage, anchor left, without all pairs on disk.
 
@@ -356,17 +362,17 @@ def packed_schedule(packed: DataFrame, weight: str, scope: str, window: int, kin
         return l, r, w, *_order_keys(kind, l, r, w)
 
     def count(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
-        step, n = np.unique(_steps(*keyed(l, r, h)[3:5]), return_counts=True)
+        step, n = np.unique(_steps_of(kind, keyed(l, r, h)[3:]), return_counts=True)
         return [step, n.astype(np.int64)]
 
-    counts = summed(packed, window, True, "step long, n long", count, True).groupBy("step").agg(F.sum("n").alias("n")).toPandas().sort_values("step")
+    counts = summed(packed, window, True, "step long, n long", count, True).groupBy("step").agg(F.sum("n").alias("n")).orderBy("step").toArrow()
     release(packed.sparkSession)
-    reached = counts["step"][counts["n"].cumsum() >= budget]
-    last = int(reached.iloc[0]) if len(reached) else np.iinfo(np.int64).max
+    reached = counts.column("step").to_numpy()[np.cumsum(counts.column("n").to_numpy()) >= budget]
+    last = int(reached[0]) if len(reached) else np.iinfo(np.int64).max
 
     def give(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
         columns = keyed(l, r, h)
-        use = _steps(*columns[3:5]) <= last
+        use = _steps_of(kind, columns[3:]) <= last
         return [c[use] for c in columns]
 
     near = settle(summed(packed, window, True, "l long, r long, w double, o0 long, o1 double, o2 long, o3 long", give, True), "scheduled")

@@ -172,6 +172,24 @@ def test_packed_schedules_are_the_schedules_of_all_pairs(spark):
     assert (packedlist.np.diff(steps) >= 0).all() and len(set(steps.tolist())) == 3
 
 
+def test_the_driver_sees_few_steps_of_a_packed_schedule(spark, monkeypatch):
+    from progmatch.operators import packedlist
+    from progmatch.operators.schedule import schedule
+    from progmatch.session import settle
+    from progmatch.sources.profiles import Task
+
+    df = spark.createDataFrame([("LR"[i % 2], i, t) for i, t in _texts()], "source string, pid long, text string")
+    packed = packedlist.packed_list(Task(df, "linkage"), chunk=50)
+    edges = settle(packedlist.packed_weights(packed, "acf", "global", 10, True), "edges")
+    want = [tuple(r) for r in schedule(edges, "breadth", 200, True).orderBy("pos").collect()]
+    largest, seen, kind = edges.groupBy("l").count().agg({"count": "max"}).first()[0], [], type(df)
+    for name in ("toPandas", "toArrow"):
+        monkeypatch.setattr(kind, name, lambda self, f=getattr(kind, name): seen.append(self.count()) or f(self))
+    got = packedlist.packed_schedule(packed, "acf", "global", 10, "breadth", 200)
+    assert 0 < max(seen) <= largest
+    assert [tuple(r) for r in got.orderBy("pos").collect()] == want
+
+
 def test_packed_postings_give_the_nearest_of_the_joined_ones(spark, monkeypatch):
     from progmatch.operators import postings, sparse
     from progmatch.session import settle
