@@ -19,19 +19,21 @@ from progmatch.functions.text import words
 from progmatch.operators.order import positioned
 from progmatch.operators.schedule import SCHEDULERS
 from progmatch.operators.sortedlist import SCOPES, SORTED_WEIGHTS
-from progmatch.session import release, settle, shuffle_width
+from progmatch.session import drop, release, settle, shuffle_width
 from progmatch.sources.profiles import Task
 
 CHUNK = 1 << 17
 #: Owners are dealt into so many lots for each task of the session.
-LOTS = 8
+LOTS = 16
 #: Numbers of positions are sent to every task up to so many profiles.
 MOST_PROFILES = 4_000_000
 LARGEST_ID = 1 << 57
 #: Every task reads the list up to so many positions; beyond, pairs are shuffled.
 MOST_READ = 1 << 28
 #: Position pairs that a task of the list's readers holds at most, about.
-TASK_PAIRS = 1 << 22
+TASK_PAIRS = 1 << 23
+#: Tasks whose pairs are counted first, to tell about how far a budget reaches, and by how much more is given on at once.
+TRIED, MARGIN = 6, 1.25
 
 
 def packed_list(task: Task, seed: int = 0, chunk: int = CHUNK) -> DataFrame:
@@ -123,40 +125,63 @@ def _lots_of(l: np.ndarray, lots: int) -> np.ndarray:  # noqa: E741
     return ((l.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(32)) * np.uint64(lots) >> np.uint64(32)).astype(np.int64)
 
 
+def _as_one(l: np.ndarray, value: np.ndarray, bits: int) -> tuple[np.ndarray, ...]:  # noqa: E741
+    """(l, value), or where ids are small enough one number for both: it takes half the room and sorts far faster."""
+    room = (63 - bits) // 2
+    fits = min(l.min(), value.min()) >= 0 and l.max() < 1 << room and value.max() < 1 << room + bits
+    return (l << room + bits | value,) if fits else (l, value)
+
+
+def _in_order(parts: list[tuple[np.ndarray, ...]], bits: int) -> tuple[np.ndarray, np.ndarray]:
+    """(l, value) of all parts, in this order."""
+    low = (63 - bits) // 2 + bits
+    apart = lambda both: (both >> low, both & ((1 << low) - 1))
+    if all(len(p) == 1 for p in parts):
+        both = np.concatenate([p[0] for p in parts])
+        both.sort()
+        return apart(both)
+    l, value = (np.concatenate(c) for c in zip(*[apart(*p) if len(p) == 1 else p for p in parts], strict=True))  # noqa: E741
+    order = np.lexsort((value, l))
+    return l[order], value[order]
+
+
 def _check_ids(*ids: np.ndarray) -> None:
     if max(abs(int(x)) for c in ids for x in (c.min(), c.max())) >= LARGEST_ID:
         raise ValueError("ids of 2^57 and more can't be packed")
 
 
-def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Finish, whole: bool = False) -> DataFrame:
+def summed(packed: DataFrame, reach: int, linkage: bool, schema: str, finish: Finish, whole: bool = False, tried: bool = False) -> DataFrame:
     """(l, r, columns of `finish`) of every pair of profiles at most `reach` positions apart, each once; with `whole`, what finish
-    makes of all pairs of some owners is the result: pairs of a call are in the order of l and r, and no other call has the same l."""
+    makes of all pairs of some owners is the result: pairs of a call are in the order of l and r, and no other call has the same l.
+    tried: of some owners only, where they are a small part; the result's `share` tells which part of all owners they are, about."""
     spark, bits = packed.sparkSession, reach.bit_length()
     behind = spark.sparkContext.broadcast(_following(packed, reach))
     names = [f.split(" ")[0] for f in schema.split(", ")]
 
-    def added(l: np.ndarray, value: np.ndarray) -> Iterator[pa.RecordBatch]:  # noqa: E741
-        order = np.lexsort((value, l))
-        l, value = l[order], value[order]  # noqa: E741
+    def added(parts: list[tuple[np.ndarray, ...]]) -> Iterator[pa.RecordBatch]:
+        l, value = _in_order(parts, bits)  # noqa: E741
         r, d = value >> bits, value & ((1 << bits) - 1)
         new = np.ones(len(l), bool)
         new[1:] = (l[1:] != l[:-1]) | (r[1:] != r[:-1])
         pair = np.cumsum(new) - 1
         l, r, n = l[new], r[new], int(pair[-1]) + 1  # noqa: E741
-        h = np.bincount(pair * reach + d - 1, minlength=n * reach).reshape(n, reach)
+        h = np.bincount((d - 1) * n + pair, minlength=n * reach).reshape(reach, n).T
         columns = finish(l, r, h) if whole else [l, r, *finish(l, r, h)]
         for a in range(0, len(columns[0]), 1 << 16):
             yield pa.RecordBatch.from_arrays([pa.array(c[a : a + (1 << 16)]) for c in columns], names)
 
     positions = packed.agg(F.coalesce(F.sum(F.length("keys")), F.lit(0))).first()[0] // 8
     if positions <= MOST_READ:
-        return _summed_by_reading(packed, behind, reach, linkage, schema, added, positions)
-    return _summed_by_dealing(packed, behind, reach, linkage, schema, added)
+        return _summed_by_reading(packed, behind, reach, linkage, schema, added, positions, tried)
+    made = _summed_by_dealing(packed, behind, reach, linkage, schema, added)
+    made.share = 1.0
+    return made
 
 
-def _summed_by_reading(packed: DataFrame, behind, reach: int, linkage: bool, schema: str, added: Callable, positions: int) -> DataFrame:
+def _summed_by_reading(packed: DataFrame, behind, reach: int, linkage: bool, schema: str, added: Callable, positions: int, tried: bool) -> DataFrame:
     spark, bits = packed.sparkSession, reach.bit_length()
-    tasks = max(shuffle_width(spark), -(-positions * reach // (2 * TASK_PAIRS if linkage else TASK_PAIRS)))
+    tasks = max(2 * spark.sparkContext.defaultParallelism, -(-positions * reach // (2 * TASK_PAIRS if linkage else TASK_PAIRS)))
+    some = min(tasks, TRIED) if tried else tasks
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[list[tuple[np.ndarray, np.ndarray]]] = [[] for _ in range(LOTS)]
@@ -171,19 +196,21 @@ def _summed_by_reading(packed: DataFrame, behind, reach: int, linkage: bool, sch
                 if not len(l):
                     continue
                 _check_ids(l, r)
-                lot, value = _lots_of(l, tasks * LOTS) % LOTS, r << bits | d
+                lot, packed_pairs = _lots_of(l, tasks * LOTS) % LOTS, _as_one(l, r << bits | d, bits)
                 for j in range(LOTS):
                     use = lot == j
                     if use.any():
-                        held[j].append((l[use], value[use]))
+                        held[j].append(tuple(c[use] for c in packed_pairs))
         for j in range(LOTS):
             if parts := held[j]:
                 held[j] = []
-                yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+                yield from added(parts)
 
     # one partition of the list meets each task: the task streams it
-    ask = spark.range(0, tasks, 1, tasks).select(F.col("id").alias("task")).hint("shuffle_replicate_nl")
-    return packed.select("at", "k", "keys").coalesce(1).crossJoin(ask).mapInArrow(run, schema)
+    ask = spark.range(0, some, 1, some).select(F.col("id").alias("task")).hint("shuffle_replicate_nl")
+    made = packed.select("at", "k", "keys").coalesce(1).crossJoin(ask).mapInArrow(run, schema)
+    made.share = some / tasks
+    return made
 
 
 def _summed_by_dealing(packed: DataFrame, behind, reach: int, linkage: bool, schema: str, added: Callable) -> DataFrame:
@@ -225,12 +252,12 @@ def _summed_by_dealing(packed: DataFrame, behind, reach: int, linkage: bool, sch
         for batch in batches:
             for lot, data in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 if parts and lot != now:
-                    yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+                    yield from added(parts)
                     parts = []
                 now = lot
-                parts.append(unpacked(data.as_buffer().to_pybytes()))
+                parts.append(_as_one(*unpacked(data.as_buffer().to_pybytes()), bits))
         if parts:
-            yield from added(*(np.concatenate(c) for c in zip(*parts, strict=True)))
+            yield from added(parts)
 
     # chunks are far smaller than what comes of them: each range of the list has its own task
     dealt = packed.repartition(max(1, packed.count()), "at", "k").mapInArrow(deal, "lot int, packed binary")
@@ -246,11 +273,10 @@ def histograms(packed: DataFrame, window: int, linkage: bool) -> DataFrame:
 def weights(h: np.ndarray, weight: str, scope: str, p: np.ndarray | None = None, q: np.ndarray | None = None) -> np.ndarray:
     """sortedlist.sorted_weight on arrays."""
     window = h.shape[1]
-    h = h.astype(np.float64)
     times = [window - d if scope == "global" else 1 for d in range(window)]
     if weight in ("acf", "id"):
         return sum(h[:, d] * times[d] / (d + 1 if weight == "id" else 1) for d in range(window))
-    acf = np.cumsum(h, axis=1)
+    acf = np.cumsum(h, axis=1).astype(np.float64)
 
     def norm(a: np.ndarray) -> np.ndarray:
         if weight == "dncf":
@@ -308,6 +334,17 @@ def _nine(x: np.ndarray) -> np.ndarray:
     return np.floor(x * 1e9 + 0.5) / 1e9
 
 
+def _heaviest_first(node: np.ndarray, w: np.ndarray) -> np.ndarray:
+    """The order by node, then falling w, then place, as one sort of numbers where they fit. Nodes ascend from 0."""
+    levels = np.unique(w)
+    places, steps = len(w).bit_length(), len(levels).bit_length()
+    if not len(w) or int(node[-1]).bit_length() + steps + places > 63:
+        return np.lexsort((-w, node))
+    keys = (node << steps | (len(levels) - 1 - np.searchsorted(levels, w))) << places | np.arange(len(w))
+    keys.sort()
+    return keys & ((1 << places) - 1)
+
+
 def _order_keys(kind: str, l: np.ndarray, r: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:  # noqa: E741
     """Four numbers that put a linkage's pairs in the scheduler's order, the left profile its node. All pairs of a node are there, by l and r."""
     zero = np.zeros(len(l), np.int64)
@@ -316,7 +353,7 @@ def _order_keys(kind: str, l: np.ndarray, r: np.ndarray, w: np.ndarray) -> tuple
     node = np.cumsum(np.diff(l, prepend=l[:1]) != 0)
     first = np.searchsorted(node, np.arange(node[-1] + 1 if len(node) else 0))
     s = -_nine(np.bincount(node, w) / np.bincount(node))[node]
-    order = np.lexsort((r, -w, node))
+    order = _heaviest_first(node, w)
     t = np.empty(len(l), np.int64)
     t[order] = np.arange(len(l)) - first[node] + 1
     if kind == "depth":
@@ -347,8 +384,9 @@ def _steps_of(kind: str, keys: tuple[np.ndarray, ...]) -> np.ndarray:
 def packed_schedule(packed: DataFrame, weight: str, scope: str, window: int, kind: str, budget: int) -> DataFrame:
     """(pos, l, r, w): what schedule() gives for packed_weights() of a linkage, anchor left, without all pairs on disk.
 
-    A node's pairs are all in one task, which knows their places in the order but for the number of pairs before. So pairs are
-    added up twice: to count them by steps of the order, then to give on those of the steps that the budget reaches.
+    A node's pairs are all in one task, which knows their places in the order but for the number of pairs before. Pairs of some nodes
+    are counted by steps of the order first, which tells about what step the budget reaches; all nodes then give on their pairs up to
+    a step beyond. Should these be fewer than the budget, all pairs are counted, so the result never depends on the guess.
     """
     if kind not in SCHEDULERS:
         raise ValueError(f"unknown scheduler: {kind}")
@@ -365,16 +403,29 @@ def packed_schedule(packed: DataFrame, weight: str, scope: str, window: int, kin
         step, n = np.unique(_steps_of(kind, keyed(l, r, h)[3:]), return_counts=True)
         return [step, n.astype(np.int64)]
 
-    counts = summed(packed, window, True, "step long, n long", count, True).groupBy("step").agg(F.sum("n").alias("n")).orderBy("step").toArrow()
-    release(packed.sparkSession)
-    reached = counts.column("step").to_numpy()[np.cumsum(counts.column("n").to_numpy()) >= budget]
-    last = int(reached[0]) if len(reached) else np.iinfo(np.int64).max
-
-    def give(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
-        columns = keyed(l, r, h)
-        use = _steps_of(kind, columns[3:]) <= last
-        return [c[use] for c in columns]
-
-    near = settle(summed(packed, window, True, "l long, r long, w double, o0 long, o1 double, o2 long, o3 long", give, True), "scheduled")
-    release(packed.sparkSession)
+    def reached(tried: bool) -> tuple[int, bool]:
+        """(the step that the budget reaches, or about, and whether the step is sure)"""
+        made = summed(packed, window, True, "step long, n long", count, True, tried)
+        share = made.share
+        counts = made.groupBy("step").agg(F.sum("n").alias("n")).orderBy("step").toArrow()
+        release(packed.sparkSession)
+        most = budget if share == 1 else budget * share * MARGIN + 4 * (budget * share) ** 0.5 + 10
+        found = counts.column("step").to_numpy()[np.cumsum(counts.column("n").to_numpy()) >= most]
+        return int(found[0]) if len(found) else np.iinfo(np.int64).max, share == 1 or not len(found)
+
+    def given(last: int) -> DataFrame:
+        def give(l: np.ndarray, r: np.ndarray, h: np.ndarray) -> list[np.ndarray]:  # noqa: E741
+            columns = keyed(l, r, h)
+            use = _steps_of(kind, columns[3:]) <= last
+            return [c[use] for c in columns]
+
+        near = settle(summed(packed, window, True, "l long, r long, w double, o0 long, o1 double, o2 long, o3 long", give, True), "scheduled")
+        release(packed.sparkSession)
+        return near
+
+    last, sure = reached(True)
+    near = given(last)
+    if not sure and near.count() < budget:
+        drop(near)
+        near = given(reached(False)[0])
     return positioned(near, ["o0", "o1", "o2", "o3", "l", "r"], limit=budget).select("pos", "l", "r", "w")

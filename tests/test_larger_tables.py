@@ -298,3 +298,34 @@ def test_the_shuffle_of_the_sample_goes_before_places_are_dealt(spark, monkeypat
     df = spark.createDataFrame([("L", i, t) for i, t in _texts()[:20]], "source string, pid long, text string")
     setjoin.candidates(df, 3, 0.5)
     assert done[:3] == ["usual_grams", "release", "settle"]
+
+
+def test_a_schedule_adds_up_all_pairs_once_and_is_right_where_the_guess_is_not(spark, monkeypatch):
+    import numpy as np
+
+    from progmatch.operators import packedlist
+    from progmatch.operators.schedule import schedule
+    from progmatch.session import settle
+    from progmatch.sources.profiles import Task
+
+    df = spark.createDataFrame([("LR"[i % 2], i, t) for i, t in _texts()], "source string, pid long, text string")
+    packed = packedlist.packed_list(Task(df, "linkage"), chunk=50)
+    edges = {w: settle(packedlist.packed_weights(packed, w, "global", 10, True), "edges") for w in ("id", "acf")}
+    real, calls = packedlist.summed, []
+    monkeypatch.setattr(packedlist, "summed", lambda *a: calls.append(made := real(*a)) or made)
+    monkeypatch.setattr(packedlist, "TASK_PAIRS", 200)
+    monkeypatch.setattr(packedlist, "TRIED", 2)
+    for weight, kind, margin, least, passes in (("id", "edge", 2.0, 0.0, 2), ("acf", "hybrid", 0.01, -1000.0, 3)):
+        calls.clear()
+        want = [tuple(r) for r in schedule(edges[weight], kind, 150, True).orderBy("pos").collect()]
+        monkeypatch.setattr(packedlist, "MARGIN", margin + least)
+        got = [tuple(r) for r in packedlist.packed_schedule(packed, weight, "global", 10, kind, 150).orderBy("pos").collect()]
+        assert got == want and calls[0].share < 0.5
+        assert passes == 3 or sum(c.share for c in calls) < 1.5  # all pairs once, some owners before
+        assert len(calls) >= passes
+    ids = np.array([5, 5, 1 << 50, 3]), np.array([9, 2, 7, 1])
+    parts = [packedlist._as_one(*(c[a:b] for c in ids), 4) for a, b in ((0, 2), (2, 4))]
+    assert [len(p) for p in parts] == [1, 2]
+    assert [c.tolist() for c in packedlist._in_order(parts, 4)] == [[3, 5, 5, 1 << 50], [1, 2, 9, 7]]
+    node, w = np.array([0, 0, 0, 1, 1]), np.array([1.0, 2.5, 1.0, 0.5, 3.0])
+    assert packedlist._heaviest_first(node, w).tolist() == [1, 0, 2, 4, 3]
