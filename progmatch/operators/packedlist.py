@@ -8,6 +8,7 @@ pairs dealt by their owner and packed as bytes. The sums go straight to their re
 
 from __future__ import annotations
 
+from bisect import bisect_left, bisect_right
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -23,50 +24,132 @@ from progmatch.session import drop, release, settle, shuffle_width
 from progmatch.sources.profiles import Task
 
 CHUNK = 1 << 17
+#: Positions dealt to ranges at once, and positions of a range, about.
+DEALT_ROWS, RANGE_ROWS = 1 << 18, 1 << 21
+#: Texts from which the ranges are told, and of their positions one in so many.
+CUT_TEXTS, CUT_PART = 1000, 16
 #: Owners are dealt into so many lots for each task of the session.
-LOTS = 16
+LOTS = 32
 #: Numbers of positions are sent to every task up to so many profiles.
 MOST_PROFILES = 4_000_000
 LARGEST_ID = 1 << 57
 #: Every task reads the list up to so many positions; beyond, pairs are shuffled.
 MOST_READ = 1 << 28
 #: Position pairs that a task of the list's readers holds at most, about.
-TASK_PAIRS = 1 << 23
+TASK_PAIRS = 1 << 24
 #: Tasks whose pairs are counted first, to tell about how far a budget reaches, and by how much more is given on at once.
 TRIED, MARGIN = 6, 1.25
 
 
 def packed_list(task: Task, seed: int = 0, chunk: int = CHUNK) -> DataFrame:
-    """Settled (at, k, keys): chunk k of range `at`, keys in the list's order as 64-bit integers; linkage: 2 pid + (0 for L, 1 for R)."""
+    """Settled (at, k, keys): chunk k of range `at`, keys in the list's order as 64-bit integers; linkage: 2 pid + (0 for L, 1 for R).
+
+    Positions are dealt to ranges of tokens and ties as blobs, each with a dictionary of its tokens, and put in order as numbers.
+    """
+    spark = task.profiles.sparkSession
     key = 2 * F.col("pid") + F.when(F.col("source") == "L", 0).otherwise(1) if task.linkage else F.col("pid")
-    rows = task.profiles.select(F.explode(F.array_distinct(words(F.col("text")))).alias("token"), "source", "pid")
     tie = F.unhex(F.md5(F.concat("token", F.lit("|"), "source", F.lit(":"), F.col("pid").cast("string"), F.lit(f"|{seed}"))))
-    dealt = rows.repartitionByRange(shuffle_width(task.profiles.sparkSession), "token", tie)
-    placed = dealt.withColumn("tie", tie).sortWithinPartitions("token", "tie").select(F.spark_partition_id().alias("at"), key.alias("key"))
 
-    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        at, k, held, size = 0, 0, [], 0
+    def rows_of(profiles: DataFrame) -> DataFrame:
+        rows = profiles.select(F.explode(F.array_distinct(words(F.col("text")))).alias("token"), "source", "pid")
+        return rows.select("token", tie.alias("tie"), key.alias("key"))
 
-        def out(keys: np.ndarray) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([at], pa.int32()), pa.array([k], pa.int32()), pa.array([keys.astype("<i8").tobytes()], pa.binary())], ["at", "k", "keys"])
+    cuts = _cuts(task.profiles, rows_of)
+    known = spark.sparkContext.broadcast(cuts)
 
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
         for batch in batches:
-            if batch.num_rows:
-                at = batch.column(0)[0].as_py()
-                held.append(batch.column(1).to_numpy())
-                size += batch.num_rows
-                while size >= chunk:
-                    keys = np.concatenate(held)
-                    yield out(keys[:chunk])
-                    held, size, k = [keys[chunk:]], size - chunk, k + 1
+            held.append(batch)
+            size += batch.num_rows
+            if size >= DEALT_ROWS:
+                yield _dealt(pa.Table.from_batches(held).combine_chunks().to_batches()[0], *known.value)
+                held, size = [], 0
         if size:
-            yield out(np.concatenate(held))
+            yield _dealt(pa.Table.from_batches(held).combine_chunks().to_batches()[0], *known.value)
+
+    def pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, []
+
+        def out() -> Iterator[pa.RecordBatch]:
+            keys = _sorted_keys(held)
+            held.clear()
+            for k in range(-(-len(keys) // chunk)):
+                data = keys[k * chunk : (k + 1) * chunk].astype("<i8").tobytes()
+                yield pa.RecordBatch.from_arrays([pa.array([now], pa.int32()), pa.array([k], pa.int32()), pa.array([data], pa.binary())], ["at", "k", "keys"])
 
-    made = settle(placed.mapInArrow(pack, "at int, k int, keys binary"), "packed-list", "zstd")
+        for batch in batches:
+            for at, *parts in zip(batch.column(0).to_pylist(), *(batch.column(c) for c in range(1, 5)), strict=True):
+                if at != now and held:
+                    yield from out()
+                now = at
+                tokens, *numbers = (x.as_py() for x in parts)
+                held.append((tokens, *(np.frombuffer(x, t) for x, t in zip(numbers, ("<i4", "<u8", "<i8"), strict=True))))
+        if held:
+            yield from out()
+
+    kinds = "at int, tokens array<binary>, codes binary, ties binary, keys binary"
+    dealt = rows_of(task.profiles).mapInArrow(deal, kinds).repartitionById(len(cuts[0]) + 1, "at").sortWithinPartitions("at")
+    made = settle(dealt.mapInArrow(pack, "at int, k int, keys binary"), "packed-list", "zstd")
     release(made.sparkSession)
     return made
 
 
+def _cuts(profiles: DataFrame, rows_of: Callable[[DataFrame], DataFrame]) -> tuple[list[bytes], np.ndarray]:
+    """(tokens, upper halves of ties) where ranges of the list begin, from the positions of a sample: any cuts give the same list."""
+    share = min(1.0, CUT_TEXTS / max(1, profiles.count()))
+    some = profiles.where(F.pmod(F.xxhash64("pid", F.lit(5)), F.lit(1_000_000)) < int(share * 1_000_000) + 1)
+    rows = rows_of(some).where(F.substring("tie", 1, 1) < F.lit(bytearray([256 // CUT_PART])))
+    seen = rows.select(F.encode("token", "UTF-8").alias("token"), F.substring("tie", 1, 8).alias("tie")).toArrow()
+    release(profiles.sparkSession)
+    # the first byte of a tie is low in this sample; stretched, ties cover all of their range again
+    points = sorted(zip(seen.column(0).to_pylist(), (int.from_bytes(x, "big") * CUT_PART for x in seen.column(1).to_pylist()), strict=True))
+    ranges = max(shuffle_width(profiles.sparkSession), int(len(points) * CUT_PART / share) // RANGE_ROWS + 1)
+    points = [points[len(points) * k // ranges] for k in range(1, ranges)] if points else []
+    points = sorted(set(points))
+    return [t for t, _ in points], np.array([x for _, x in points], np.uint64)
+
+
+def _dealt(rows: pa.RecordBatch, tokens: list[bytes], ties: np.ndarray) -> pa.RecordBatch:
+    """(at, tokens, codes, ties, keys) of each range that some of the rows (token, tie, key) lie in."""
+    words_of = rows.column(0).dictionary_encode()
+    names, code = [x.encode() for x in words_of.dictionary.to_pylist()], words_of.indices.to_numpy().astype(np.int64)
+    tie = np.frombuffer(b"".join(rows.column(1).to_pylist()), ">u8").astype(np.uint64).reshape(-1, 2)
+    key = rows.column(2).to_numpy()
+    low, high = (np.array([side(tokens, x) for x in names], np.int64) for side in (bisect_left, bisect_right))
+    at = low[code]
+    cut = np.flatnonzero((low < high)[code])
+    if len(cut):  # tokens that more than one range has
+        order = cut[np.argsort(code[cut], kind="stable")]
+        heads = np.flatnonzero(np.diff(code[order], prepend=-1))
+        for a, b in zip(heads, [*heads[1:], len(order)], strict=True):
+            own, c = order[a:b], code[order[a]]
+            at[own] += np.searchsorted(ties[low[c] : high[c]], tie[own, 0], "right")
+    order = np.argsort(at, kind="stable")
+    ends = np.flatnonzero(np.diff(at[order], append=-1)) + 1
+    made = []
+    for a, b in zip([0, *ends[:-1]], ends, strict=True):
+        own = order[a:b]
+        used, codes = np.unique(code[own], return_inverse=True)
+        made.append((int(at[own[0]]), [names[c] for c in used], codes.astype("<i4").tobytes(), tie[own].astype("<u8").tobytes(), key[own].astype("<i8").tobytes()))
+    types = (pa.int32(), pa.list_(pa.binary()), pa.binary(), pa.binary(), pa.binary())
+    return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*made, strict=True), types, strict=True)], ["at", "tokens", "codes", "ties", "keys"])
+
+
+def _sorted_keys(parts: list[tuple[list[bytes], np.ndarray, np.ndarray, np.ndarray]]) -> np.ndarray:
+    """Keys of a range's parts (tokens, codes, ties, keys) in the order of tokens and ties."""
+    rank = {x: k for k, x in enumerate(sorted({x for p in parts for x in p[0]}))}
+    token = np.concatenate([np.array([rank[x] for x in p[0]], np.uint64)[p[1]] for p in parts])
+    tie, key = np.concatenate([p[2] for p in parts]).reshape(-1, 2), np.concatenate([p[3] for p in parts])
+    bits = np.uint64(max(1, len(rank).bit_length()))
+    near = token << (np.uint64(64) - bits) | tie[:, 0] >> bits
+    order = np.argsort(near)
+    near = near[order]
+    if (near[1:] == near[:-1]).any():
+        order = np.lexsort((tie[:, 1], tie[:, 0], token))
+    return key[order]
+
+
 def _following(packed: DataFrame, reach: int) -> dict[tuple[int, int], np.ndarray]:
     """The first `reach` keys behind each chunk: the driver sees so many keys of each."""
     rows = sorted((r["at"], r["k"], bytes(r["head"])) for r in packed.select("at", "k", F.substring("keys", 1, 8 * reach).alias("head")).collect())

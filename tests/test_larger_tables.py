@@ -315,10 +315,10 @@ def test_a_schedule_adds_up_all_pairs_once_and_is_right_where_the_guess_is_not(s
     monkeypatch.setattr(packedlist, "summed", lambda *a: calls.append(made := real(*a)) or made)
     monkeypatch.setattr(packedlist, "TASK_PAIRS", 200)
     monkeypatch.setattr(packedlist, "TRIED", 2)
-    for weight, kind, margin, least, passes in (("id", "edge", 2.0, 0.0, 2), ("acf", "hybrid", 0.01, -1000.0, 3)):
+    for weight, kind, margin, passes in (("id", "edge", 2.0, 2), ("acf", "hybrid", -1000.0, 3)):
         calls.clear()
         want = [tuple(r) for r in schedule(edges[weight], kind, 150, True).orderBy("pos").collect()]
-        monkeypatch.setattr(packedlist, "MARGIN", margin + least)
+        monkeypatch.setattr(packedlist, "MARGIN", margin)
         got = [tuple(r) for r in packedlist.packed_schedule(packed, weight, "global", 10, kind, 150).orderBy("pos").collect()]
         assert got == want and calls[0].share < 0.5
         assert passes == 3 or sum(c.share for c in calls) < 1.5  # all pairs once, some owners before
@@ -329,3 +329,21 @@ def test_a_schedule_adds_up_all_pairs_once_and_is_right_where_the_guess_is_not(s
     assert [c.tolist() for c in packedlist._in_order(parts, 4)] == [[3, 5, 5, 1 << 50], [1, 2, 9, 7]]
     node, w = np.array([0, 0, 0, 1, 1]), np.array([1.0, 2.5, 1.0, 0.5, 3.0])
     assert packedlist._heaviest_first(node, w).tolist() == [1, 0, 2, 4, 3]
+
+
+def test_the_packed_list_is_made_in_one_pass_in_the_order_of_tokens_and_ties(spark, monkeypatch):
+    from progmatch.operators import packedlist, sortedlist
+    from progmatch.sources.profiles import Task
+
+    df = spark.createDataFrame([("LR"[i % 2], i, t) for i, t in [*_texts(), (9001, "über Zoë ﬀ 漢字 𝒳"), (9002, "zoë 漢字 a"), (9003, None)]], "source string, pid long, text string")
+    task = Task(df, "linkage")
+    want = [2 * r["pid"] + (r["source"] == "R") for r in sortedlist.sorted_list(task).orderBy("pos").collect()]
+    for name, value in (("DEALT_ROWS", 100), ("RANGE_ROWS", 150), ("CUT_TEXTS", 60), ("CUT_PART", 2)):
+        monkeypatch.setattr(packedlist, name, value)
+    plans, kind = [], type(df)
+    real = kind.repartitionByRange
+    monkeypatch.setattr(kind, "repartitionByRange", lambda self, *a: plans.append(a) or real(self, *a))
+    packed = packedlist.packed_list(task, chunk=50)
+    assert [k for r in packed.orderBy("at", "k").collect() for k in memoryview(r["keys"]).cast("q")] == want
+    assert not plans  # a partition by ranges reads and splits all texts twice
+    assert packed.select("at").distinct().count() > 4
