@@ -83,8 +83,9 @@ def packed_list(task: Task, seed: int = 0, chunk: int = CHUNK) -> DataFrame:
                 if at != now and held:
                     yield from out()
                 now = at
-                tokens, *numbers = (x.as_py() for x in parts)
-                held.append((tokens, *(np.frombuffer(x, t) for x, t in zip(numbers, ("<i4", "<u8", "<i8"), strict=True))))
+                tokens, codes, ties, keys = (x.as_py() for x in parts)
+                n = len(ties) // 16
+                held.append((tokens, _whole(codes, 0, n)[0], np.frombuffer(ties, "<u8"), _whole(keys, 0, n)[0]))
         if held:
             yield from out()
 
@@ -131,7 +132,7 @@ def _dealt(rows: pa.RecordBatch, tokens: list[bytes], ties: np.ndarray) -> pa.Re
     for a, b in zip([0, *ends[:-1]], ends, strict=True):
         own = order[a:b]
         used, codes = np.unique(code[own], return_inverse=True)
-        made.append((int(at[own[0]]), [names[c] for c in used], codes.astype("<i4").tobytes(), tie[own].astype("<u8").tobytes(), key[own].astype("<i8").tobytes()))
+        made.append((int(at[own[0]]), [names[c] for c in used], _trimmed(codes), tie[own].astype("<u8").tobytes(), _trimmed(key[own])))
     types = (pa.int32(), pa.list_(pa.binary()), pa.binary(), pa.binary(), pa.binary())
     return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*made, strict=True), types, strict=True)], ["at", "tokens", "codes", "ties", "keys"])
 
